@@ -9,12 +9,43 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .langid import language_id
+
+    return language_id(table(spark, sf_dir, "documents"))
+
+
+def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .sharding import lpt_shards
+
+    placed = lpt_shards(table(spark, sf_dir, "documents"), 40)
+    return placed.withColumns({"law": F.lit("bytes"), "grown_shard": F.lit(None).cast("int")}).withColumn("shard", F.col("shard").cast("int"))
+
+
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontaminate import contamination
+
+    return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op6_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .token_shards import token_files
+
+    return token_files(table(spark, sf_dir, "documents"))
+
+
 def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .near_dedup import near_components
 
     return near_components(table(spark, sf_dir, "documents"))
 
 
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mixing import mix
+
+    return mix(table(spark, sf_dir, "documents")).drop("copies")
+
+
 def op9_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .host_rules import host_quality
 
@@ -22,7 +53,7 @@ def op9_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.withColumn("host_rate", F.round("host_rate", 6))
 
 
-QUERIES = {f.__name__: f for f in (op7_near_dedup, op9_host_rules)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_sharding, op3_decontaminate, op6_token_shards, op7_near_dedup, op8_mixing, op9_host_rules)}
 
 ORACLES: dict[str, str] = {}
 
@@ -80,3 +111,26 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
   (NOT base_failed AND rate <= 0.5) AS kept, round(rate, 6) AS host_rate
 FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source
 """
+
+_WORDS3 = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+ORACLES["op3_decontaminate"] = f"""
+WITH it AS (SELECT item_id::VARCHAR AS item, {_WORDS3} AS ws FROM benchmark),
+win AS (
+  SELECT DISTINCT item, least(10, len(ws)) AS n, array_to_string(ws[i:i + 9], ' ') AS win
+  FROM (SELECT item, ws, unnest(range(1, greatest(len(ws) - 9, 1) + 1)) AS i FROM it WHERE len(ws) > 0)),
+d AS (SELECT doc_id, {_WORDS3} AS ws FROM documents),
+pos AS (SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS i FROM d),
+hit AS (
+  SELECT doc_id, i, win.n, item
+  FROM (SELECT DISTINCT n FROM win) sizes JOIN pos ON i + sizes.n - 1 <= len(ws)
+  JOIN win ON win.n = sizes.n AND win.win = array_to_string(ws[i:i + sizes.n - 1], ' ')),
+covered AS (
+  SELECT doc_id, count(DISTINCT j) AS n_hit FROM (SELECT doc_id, unnest(range(i, i + n)) AS j FROM hit) GROUP BY doc_id),
+items AS (
+  SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items
+  FROM (SELECT DISTINCT doc_id, item FROM hit) GROUP BY doc_id)
+SELECT d.doc_id, len(d.ws)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
+  sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN covered ON covered.doc_id = d.doc_id LEFT JOIN items ON items.doc_id = d.doc_id
+"""
