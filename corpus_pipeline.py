@@ -1,8 +1,66 @@
-"""The corpus pipeline (stages are filled in below)."""
+"""A corpus pipeline of five stages: quality rules, near-dedup, decontamination, mixing, token shards.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir), works on all rows that the one before kept and returns the columns
+of documents; the last one returns what it reads back from the token files.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession, functions as F
+
+from softsplit.llm._store import Workspace
+from softsplit.llm.decontaminate import contamination
+from softsplit.llm.host_rules import host_quality
+from softsplit.llm.mixing import mix
+from softsplit.llm.near_dedup import near_components
+from softsplit.llm.token_shards import token_files
+
+
+def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
+    """Rows whose id is not rejected; rows of a null id are judged together."""
+    gone = rejected.select(F.col("doc_id").alias("gone_id")).distinct()
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti")
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return _without(docs, host_quality(docs).filter(~F.col("kept")))
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return _without(docs, near_components(docs).filter(~F.col("kept")))
+
+
+def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
+    return _without(docs, contamination(docs, benchmark).filter("contaminated"))
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A document stands in the mix as often as it is copied, and not at all without a copy."""
+    copies = mix(docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.max("copies").alias("n_copies")).filter("n_copies > 0")
+    taken = docs.join(copies, docs["doc_id"].eqNullSafe(copies["mixed_id"]))
+    return taken.withColumn("nth_copy", F.explode(F.sequence(F.lit(1), "n_copies"))).select(*docs.columns)
+
+
+def token_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return token_files(docs)
+
+
+STAGES = [
+    ("quality_rules", quality),
+    ("near_dedup", near_dedup),
+    ("decontamination", decontaminate),
+    ("mixing", mixing),
+    ("token_shards", token_shards),
+]
+
+#: Pivotal rounding draws by a hash that SQL engines do not share; the pipeline is tested against a brute-force version.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ws = Workspace(spark, "pipeline")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES:
+        docs = ws.save(stage(spark, docs, sf_dir), name)
+    return docs
