@@ -28,6 +28,12 @@ def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op6_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_shards import token_files
 
@@ -53,7 +59,13 @@ def op9_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.withColumn("host_rate", F.round("host_rate", 6))
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_sharding, op3_decontaminate, op6_token_shards, op7_near_dedup, op8_mixing, op9_host_rules)}
+def op10_maxent(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .maxent import score_texts
+
+    return score_texts(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_sharding, op3_decontaminate, op5_suffix_dedup, op6_token_shards, op7_near_dedup, op8_mixing, op9_host_rules, op10_maxent)}
 
 ORACLES: dict[str, str] = {}
 
