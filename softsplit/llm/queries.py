@@ -28,6 +28,12 @@ def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .chat import format_chats
+
+    return format_chats(table(spark, sf_dir, "conversations"))
+
+
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .suffix_dedup import remove_repeats
 
@@ -65,7 +71,7 @@ def op10_maxent(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_texts(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_sharding, op3_decontaminate, op5_suffix_dedup, op6_token_shards, op7_near_dedup, op8_mixing, op9_host_rules, op10_maxent)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_sharding, op3_decontaminate, op4_chat_format, op5_suffix_dedup, op6_token_shards, op7_near_dedup, op8_mixing, op9_host_rules, op10_maxent)}
 
 ORACLES: dict[str, str] = {}
 
