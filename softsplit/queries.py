@@ -913,3 +913,246 @@ def math_expressions(spark, sf_dir):
         "c_custkey", F.round(F.sqrt(a), 6).alias("r"), F.round(F.log1p(a), 6).alias("l"), F.signum("c_acctbal").cast("int").alias("s"),
         F.greatest("c_nationkey", F.lit(10)).alias("g"), F.col("c_custkey").bitwiseAND(F.lit(7).cast("long")).cast("int").alias("b"),
     )
+
+
+# --- training, experiments, streaming (no SQL form; tests hold them against brute force and invariants) ----------------
+
+
+def _workload(name: str, spark: SparkSession, sf_dir: str, cells: int = 16):
+    from .experiments import workload
+
+    return workload(name, spark, sf_dir, cells)
+
+
+def _curve_of(spark, sf_dir, name, rounds, cells=16, engine="jobs", **kw):
+    from .operators.boost import fit
+
+    w = _workload(name, spark, sf_dir, cells)
+    model = fit(w.train, w.spec, w.loss, rounds, classes=w.classes, engine=engine, **kw)
+    return metrics.curve(model.staged(w.test), w.metric).select("round", F.round("value", 9).alias("value"))
+
+
+@query()
+def ssb_train_binary(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "emb_half", 8)
+
+
+@query()
+def ssb_train_multiclass(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "letters_lang", 5)
+
+
+@query()
+def ssb_train_separate_splitters(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "letters_lang", 3, share=False)
+
+
+@query()
+def ssb_train_sparse_words(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "words_quality", 5)
+
+
+@query()
+def ssb_train_barrier(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "emb_half", 3, engine="barrier", partitions=1)
+
+
+@query()
+def ssb_train_local(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "emb_half", 8, engine="local")
+
+
+@query()
+def ssb_train_federated(spark, sf_dir):
+    """The message log of two rounds with users as clients."""
+    from .operators.boost import fit_federated
+    from .plans.kernel import Spec
+
+    ev = load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    x = F.array(F.col("value") / 100, F.hour("ts") / 24.0, (F.col("event_id") % 7) / 7.0)
+    rows = ev.select(F.col("event_id").alias("rid"), x.alias("x"), (F.col("value") > 50).cast("double").alias("y"), (F.col("user_id") % 10).alias("client"))
+    _, messages = fit_federated(rows, "client", Spec("dense", 8, 3), rounds=2)
+    return spark.createDataFrame([(m["round"], m["step"], m["client"], m["bytes"]) for m in messages], "round int, step string, client string, bytes long")
+
+
+@query()
+def ssb_train_squared_block(spark, sf_dir):
+    """Cell scores of four squared-loss rounds from one scan."""
+    from .operators.boost import fit_squared_block
+
+    w = _workload("revenue", spark, sf_dir, 8)
+    model = fit_squared_block(w.train, w.spec, 4)
+    rows = [(r.round, j, float(x)) for r in model.rounds for j, x in enumerate(r.w[0])]
+    return spark.createDataFrame(rows, "round int, cell int, w double").withColumn("w", F.round("w", 6))
+
+
+@query()
+def ssb_predict_topk(spark, sf_dir):
+    """The ten test documents with the highest quality score."""
+    from .operators.boost import fit
+
+    w = _workload("words_quality", spark, sf_dir)
+    model = fit(w.train, w.spec, w.loss, 5, engine="jobs")
+    scored = model.transform(w.test.select("rid", "codes", "vals"))
+    return rel.top_scored(scored.select("rid", F.round(F.col("score")[0], 6).alias("score")), "score", 10, "rid")
+
+
+@query()
+def gbdt_depth_train(spark, sf_dir):
+    w = _workload("letters_lang", spark, sf_dir)
+    train = w.train.withColumn("y", (F.col("y") == 1).cast("double"))
+    model = trees.fit_gbdt_depth(train, depth=2, rounds=2, candidates="hist", bins=16)
+    scored = model.transform(w.test.withColumn("y", (F.col("y") == 1).cast("double"))).withColumn("s", F.col("score")[0])
+    return metrics.auc(scored, "s").select(F.round("auc", 6).alias("auc"), "positives", "negatives")
+
+
+@query()
+def gbdt_leaf_train(spark, sf_dir):
+    w = _workload("letters_lang", spark, sf_dir)
+    is_en = (F.col("y") == 1).cast("double")
+    edges = trees.quantile_bins(w.train, 26, 16)
+    model = trees.fit_gbdt_leaf(w.train.withColumn("y", is_en).withColumn("x", trees.to_bins("x", edges)), leaves=4, rounds=2)
+    scored = model.transform(w.test.withColumn("y", is_en)).withColumn("s", F.col("score")[0])
+    return metrics.auc(scored, "s").select(F.round("auc", 6).alias("auc"), "positives", "negatives")
+
+
+@query()
+def random_trees_leaves(spark, sf_dir):
+    w = _workload("letters_lang", spark, sf_dir)
+    return trees.fit_random_trees(w.train, 2, 1, 26)[0][1].select("leaf", "n", F.round("mean", 6).alias("mean"))
+
+
+@query("SELECT lang, count(*) / sum(count(*)) OVER () AS share FROM documents GROUP BY lang")
+def prior_baseline(spark, sf_dir):
+    docs = load(spark, sf_dir, "documents", ["lang"]).withColumnRenamed("lang", "y")
+    return trees.fit_prior(docs).withColumnRenamed("y", "lang")
+
+
+@query()
+def bundled_tree_train(spark, sf_dir):
+    """Leaf-wise trees on bundles of one-hot columns; one column for each bundle."""
+    li = load(spark, sf_dir, "lineitem", ["l_returnflag", "l_linestatus", "l_discount", "l_quantity"]).withColumn("rid", F.monotonically_increasing_id()).persist()
+    feats = features.one_hot(["l_returnflag", "l_linestatus", "l_discount"])
+    y = (F.col("l_discount") >= 0.05).cast("double")
+    names = [r[0] for r in li.select(F.explode(feats).alias("x")).select("x.f").distinct().collect()]
+    rows = bundling.bundled_vector(li.select("rid", feats.alias("feats"), y.alias("y")), bundling.one_hot_bundles(names))
+    model = trees.fit_gbdt_leaf(rows, leaves=3, rounds=1)
+    scored = model.transform(rows).withColumn("s", F.col("score")[0])
+    return metrics.auc(scored, "s").select(F.round("auc", 6).alias("auc"), "positives", "negatives")
+
+
+@query()
+def grid_search(spark, sf_dir):
+    from .operators.grid import grid_search as search
+
+    w = _workload("emb_half", spark, sf_dir)
+    found = search(w.train, w.test, w.spec, {"cells": [8, 16], "eta": [0.1, 0.3], "lam": [0.0, 1.0]}, 5)
+    rows = [(r["cells"], r["eta"], r["lam"], r["state"], r["best_value"], r["best_round"]) for r in found]
+    return spark.createDataFrame(rows, "cells int, eta double, lam double, state string, best_value double, best_round int").withColumn("best_value", F.round("best_value", 6))
+
+
+@query()
+def scoreboard(spark, sf_dir):
+    """Methods by place on the planted half-space; seconds are left out, since they differ between runs."""
+    from .experiments import run_accuracy
+
+    rows = run_accuracy([_workload("emb_half", spark, sf_dir)], rounds=10, engine="local")
+    values = spark.createDataFrame([(r["dataset"], r["method"], float(r["value"])) for r in rows], "dataset string, method string, value double")
+    return metrics.scoreboard(values).withColumn("value", F.round("value", 6))
+
+
+@query()
+def ablation_weight_laws(spark, sf_dir):
+    from .experiments import run_ablation
+
+    grid = [{"init": k} for k in ("uniform", "normal", "mixture", "fan_avg", "fan_in")] + [{"keep": 0.1}, {"norm": "as_printed"}, {"norm": "none"}, {"assign": "hard"}, {"temp": 4.0}, {"layers": (16,)}]
+    rows = run_ablation(_workload("letters_lang", spark, sf_dir), grid, rounds=5)
+    return spark.createDataFrame([(r["change"], float(r["value"]), r["dead_cells"]) for r in rows], "change string, value double, dead_cells int").withColumn("value", F.round("value", 6))
+
+
+@query()
+def scaling_bytes(spark, sf_dir):
+    """Bytes of a round as sent and by the formula, for two sizes and partition counts."""
+    from .experiments import run_scaling
+
+    rows = run_scaling(_workload("ids_sub", spark, sf_dir), (2, 4), (16, 64), rounds=2)
+    return spark.createDataFrame([(r["cells"], r["partitions"], float(r["bytes"]), float(r["formula_bytes"])) for r in rows], "cells int, partitions int, bytes double, formula_bytes double")
+
+
+@query()
+def bandwidth_model(spark, sf_dir):
+    """Modelled ratios from bytes at one second of compute; wide data, one level of one node of the trees."""
+    from .experiments import run_bandwidth_model
+
+    sent = {"soft_split": cost.comm_bytes("ssb", cells=64), "hist_trees": cost.comm_bytes("hist", nodes=1, features=390_000, bins=255)}
+    rows = [(r["method"], r["bandwidth"], round(r["modelled_s"], 6), round(r["ratio"], 6)) for r in run_bandwidth_model(1.0, sent)]
+    return spark.createDataFrame(rows, "method string, bandwidth double, modelled_s double, ratio double")
+
+
+# DuckDB day windows; the last day stays open in append mode and is filtered out on both sides
+_OPEN = "(SELECT date_trunc('day', max(ts) - INTERVAL 1 HOUR) FROM events)"
+
+
+def _stream(spark, sf_dir):
+    """The events as a file stream, from the one file of the table."""
+    from .sources import stream_events
+
+    schema = load(spark, sf_dir, "events").schema
+    return stream_events(spark, f"{sf_dir}/events.parquet*", schema)
+
+
+@query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def stream_tumbling(spark, sf_dir):
+    from . import streaming as st
+
+    got = st.run_available(st.tumbling_counts(_stream(spark, sf_dir)), f"tumbling_{id(spark)}_{abs(hash(sf_dir))}", "complete")
+    return got.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "event_type", "n")
+
+
+@query("""WITH w AS (SELECT date_trunc('day', ts) - INTERVAL (k) DAY AS day FROM events, range(2) r(k))
+SELECT strftime(day, '%Y-%m-%d') AS day, count(*) AS n FROM w GROUP BY 1""")
+def stream_sliding(spark, sf_dir):
+    from . import streaming as st
+
+    got = st.run_available(st.sliding_mean(_stream(spark, sf_dir)), f"sliding_{id(spark)}_{abs(hash(sf_dir))}", "complete")
+    return got.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "n")
+
+
+@query("""WITH o AS (SELECT user_id, ts, (ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 6 HOUR)::INT AS fresh FROM events),
+s AS (SELECT user_id, sum(coalesce(fresh, 1)) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM o)
+SELECT user_id, count(*) AS n FROM s GROUP BY user_id, s""")
+def stream_session(spark, sf_dir):
+    from . import streaming as st
+
+    got = st.run_available(st.session_counts(_stream(spark, sf_dir)), f"session_{id(spark)}_{abs(hash(sf_dir))}", "complete")
+    return got.select("user_id", "n")
+
+
+@query("SELECT count(*) AS n, count(DISTINCT event_id) AS kinds FROM events")
+def stream_dedup(spark, sf_dir):
+    from . import streaming as st
+
+    got = st.run_available(st.without_copies(_stream(spark, sf_dir)), f"dedup_{id(spark)}_{abs(hash(sf_dir))}")
+    return got.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("event_id").alias("kinds"))
+
+
+@query("SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
+def stream_running_state(spark, sf_dir):
+    from . import streaming as st
+
+    got = st.run_available(st.running_by_user(_stream(spark, sf_dir)), f"running_{id(spark)}_{abs(hash(sf_dir))}", "update")
+    return got.groupBy("user_id").agg(F.max("n").alias("n"))
+
+
+@query()
+def stream_score(spark, sf_dir):
+    """A frozen model over the event stream."""
+    from . import streaming as st
+    from .operators.boost import fit
+    from .plans.kernel import Spec
+
+    x = F.array(F.col("value") / 100, (F.col("event_id") % 7) / 7.0)
+    ev = load(spark, sf_dir, "events").select(F.col("event_id").alias("rid"), x.alias("x"), (F.col("value") > 50).cast("double").alias("y"))
+    model = fit(ev, Spec("dense", 8, 2), rounds=3, engine="local")
+    scored = st.run_available(st.score_stream(_stream(spark, sf_dir).select(F.col("event_id").alias("rid"), x.alias("x")), model), f"score_{id(spark)}_{abs(hash(sf_dir))}")
+    return scored.select("rid", F.round(F.col("score")[0], 6).alias("score"))
