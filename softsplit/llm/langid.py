@@ -129,6 +129,8 @@ def train(labelled: DataFrame, least_script: float = 0.01, smooth: float = 0.5)
     letters = table[-len(SCRIPTS) :]
     share = letters / np.maximum(letters.sum(0), 1)
     scripts = ((share >= least_script) * (1 << np.arange(len(SCRIPTS)))[:, None]).sum(0).astype(np.int64)
+    if not langs:
+        return Model([], np.zeros((len(ORDERS) * BUCKETS, 0), np.float32), scripts)
     grams = table[: -len(SCRIPTS)].reshape(len(ORDERS), BUCKETS, len(langs)) + smooth
     weights = np.log(grams / grams.sum(1, keepdims=True)).astype(np.float32).reshape(-1, len(langs))
     return Model(langs, weights, scripts)
@@ -155,46 +157,47 @@ def word_scores(model: Model, buf: np.ndarray, starts: np.ndarray, ends: np.ndar
     return scores, letters
 
 
-def _chunk_paths(scores: np.ndarray, starts: np.ndarray, sizes: np.ndarray, penalty: float, free: bool):
-    """Best scores (chunks x entry label x exit label) of runs of words, and what traces paths back.
+def _run_paths(scores: np.ndarray, starts: np.ndarray, sizes: np.ndarray, penalty: float, free: bool):
+    """Best scores (exit label x entry label x runs) of runs of words, and what traces paths back.
 
     With `free` there is no label before the run, and one entry. Runs must be given longest first.
     """
     n = scores.shape[1]
     entries = 1 if free else n
-    best = np.zeros((len(starts), entries, n), np.float32)
+    best = np.zeros((n, entries, len(starts)), np.float32)
+    back: list = []
     live = len(starts)
-    back_head, back_switch = [], []
     for t in range(int(sizes[0]) if len(sizes) else 0):
         while sizes[live - 1] <= t:
             live -= 1
-        gain = scores[starts[:live] + t][:, None, :]
+        gain = scores[starts[:live] + t].T[:, None, :]
         if t == 0:
-            first = np.zeros((1, n), np.float32) if free else np.where(np.eye(n, dtype=bool), 0, -penalty).astype(np.float32)
-            best[:live] = first[None] + gain
-            back_head.append(None)
-            back_switch.append(None)
+            first = np.zeros((n, 1), np.float32) if free else np.where(np.eye(n, dtype=bool), 0, -penalty).astype(np.float32)
+            best[:, :, :live] = first[:, :, None] + gain
+            back.append(None)
             continue
-        now = best[:live]
-        head = now.argmax(2)
-        top = np.take_along_axis(now, head[:, :, None], 2) - penalty
-        switch = top > now
-        best[:live] = np.maximum(now, top) + gain
-        back_head.append(head.astype(np.uint8 if n < 256 else np.uint16))
-        back_switch.append(switch)
-    return best, back_head, back_switch
-
-
-def _trace(back_head, back_switch, sizes: np.ndarray, starts: np.ndarray, entry: np.ndarray, leave: np.ndarray, out: np.ndarray) -> None:
+        now = best[:, :, :live]
+        top = now.max(0)
+        head = np.zeros(top.shape, np.uint8 if n < 256 else np.uint16)
+        for k in range(1, n):
+            head[now[k] == top] = k
+        top -= penalty
+        back.append((head, top > now))
+        np.maximum(now, top, out=now)
+        now += gain
+    return best, back
+
+
+def _trace(back: list, sizes: np.ndarray, starts: np.ndarray, entry: np.ndarray, leave: np.ndarray, out: np.ndarray) -> None:
     state = leave.copy()
-    live = np.searchsorted(-sizes, -np.arange(len(back_head)), "left")  # runs longer than t
-    for t in reversed(range(len(back_head))):
+    live = np.searchsorted(-sizes, -np.arange(len(back)), "left")  # runs longer than t
+    for t in reversed(range(len(back))):
         k = live[t]
         out[starts[:k] + t] = state[:k]
         if t:
             rows = np.arange(k)
-            moved = back_switch[t][rows, entry[:k], state[:k]]
-            state[:k] = np.where(moved, back_head[t][rows, entry[:k]], state[:k])
+            head, moved = back[t]
+            state[:k] = np.where(moved[state[:k], entry[:k], rows], head[entry[:k], rows], state[:k])
 
 
 def viterbi(scores: np.ndarray, at: np.ndarray, penalty: float, run: int = 512) -> np.ndarray:
@@ -208,25 +211,32 @@ def viterbi(scores: np.ndarray, at: np.ndarray, penalty: float, run: int = 512)
     short = np.flatnonzero((sizes > 0) & (sizes <= run))
     short = short[np.argsort(-sizes[short], kind="stable")]
     if len(short):
-        best, head, switch = _chunk_paths(scores, at[short], sizes[short], penalty, True)
-        _trace(head, switch, sizes[short], at[short], np.zeros(len(short), np.int64), best[:, 0].argmax(1), labels)
-    for i in np.flatnonzero(sizes > run):
-        cuts = np.arange(at[i], at[i + 1], run)
-        lens = np.minimum(cuts + run, at[i + 1]) - cuts
-        best, head, switch = _chunk_paths(scores, cuts, lens, penalty, False)
-        into = [best[0].max(0) * 0]  # score of each label before the first run: free entry
-        entries = []
-        for b in best:
-            paths = into[-1][:, None] + b
-            entries.append(paths.argmax(0))
-            into.append(paths.max(0))
-        leave = np.zeros(len(cuts), np.int64)
-        entry = np.zeros(len(cuts), np.int64)
-        state = int(into[-1].argmax())
-        for k in reversed(range(len(cuts))):
-            leave[k], entry[k] = state, entries[k][state]
-            state = int(entry[k])
-        _trace(head, switch, lens, cuts, entry, leave, labels)
+        best, back = _run_paths(scores, at[short], sizes[short], penalty, True)
+        _trace(back, sizes[short], at[short], np.zeros(len(short), np.int64), best[:, 0].argmax(0), labels)
+    long = np.flatnonzero(sizes > run)
+    if not len(long):
+        return labels
+    cuts = [np.arange(at[i], at[i + 1], run) for i in long]
+    owner = np.repeat(np.arange(len(long)), [len(c) for c in cuts])
+    cuts = np.concatenate(cuts)
+    lens = np.minimum(cuts + run, at[long + 1][owner]) - cuts
+    order = np.argsort(-lens, kind="stable")
+    best, back = _run_paths(scores, cuts[order], lens[order], penalty, False)
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    entry, leave = np.zeros(len(order), np.int64), np.zeros(len(order), np.int64)
+    edges = np.searchsorted(owner, np.arange(len(long) + 1))
+    for a, b in zip(edges[:-1], edges[1:]):
+        into, ways = np.zeros(scores.shape[1]), []  # before the first run any label is as good
+        for k in range(a, b):
+            paths = into[None, :] + best[:, :, place[k]]
+            ways.append(paths.argmax(1))
+            into = paths.max(1)
+        state = int(into.argmax())
+        for k in reversed(range(a, b)):
+            leave[place[k]] = state
+            entry[place[k]] = state = int(ways[k - a][state])
+    _trace(back, lens[order], cuts[order], entry, leave, labels)
     return labels
 
 
