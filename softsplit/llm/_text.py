@@ -11,7 +11,7 @@ import pyarrow as pa
 SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 #: Text bytes handled at once; bounds the work arrays.
-PIECE = 4 << 20
+PIECE = 1 << 20
 
 _rng = np.random.default_rng(20240607)
 _CODE = _rng.integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
