@@ -20,6 +20,8 @@ import numpy as np
 
 #: Symbols above which a reduced string is sorted by doubling instead of by queues of each symbol.
 MOST_SYMBOLS = 1024
+#: Tuples that small blocks are merged to before they are processed.
+MERGED = 1 << 20
 
 
 class TupleQueue:
@@ -52,11 +54,17 @@ class TupleQueue:
         pos = np.frombuffer(self.file.read(n * kind.itemsize), kind)
         return pos, np.frombuffer(self.file.read(n), np.uint8)
 
-    def pop(self, symbol: int) -> tuple[np.ndarray, np.ndarray] | None:
-        return self._load(self.blocks[symbol].popleft()) if self.blocks[symbol] else None
-
-    def pop_last(self, symbol: int) -> tuple[np.ndarray, np.ndarray] | None:
-        return self._load(self.blocks[symbol].pop()) if self.blocks[symbol] else None
+    def pop(self, symbol: int, last: bool = False) -> tuple[np.ndarray, np.ndarray] | None:
+        """The first (or last) waiting blocks of a symbol as one block, about MERGED tuples of them."""
+        blocks, got, n = self.blocks[symbol], [], 0
+        while blocks and n < MERGED:
+            got.append(self._load(blocks.pop() if last else blocks.popleft()))
+            n += len(got[-1][0])
+        if last:
+            got.reverse()
+        if len(got) < 2:
+            return got[0] if got else None
+        return np.concatenate([p for p, _ in got]), np.concatenate([x for _, x in got])
 
     def close(self) -> None:
         if self.file is not None:
@@ -187,7 +195,7 @@ def _induce(text, larger, seeds, seed_lcp, symbols, cap, budget, folder, emit) -
         edge = None  # prefix of the tuple processed just before with the next one
         if last >= 0:
             edge = -1
-        while (block := done.pop_last(c)) is not None:
+        while (block := done.pop(c, last=True)) is not None:
             pos, lcp = block
             bigger.append((pos, lcp))
             back = np.empty(len(lcp), np.uint8)
