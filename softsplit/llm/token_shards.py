@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ._store import Workspace, shuffle_partitions
-from ._text import slices
+from ._text import _BASE, _CODE, _INVERSE, mix, powers, raw, slices
 
 MAGIC = b"WVMX1\n"
 BLOCK = 512  # bits of a rank block
@@ -151,26 +151,109 @@ def unpack(data: bytes) -> tuple[WaveletMatrix, pa.Array, np.ndarray]:
     return WaveletMatrix(head["n"], head["zeros"], planes, ranks), ids, np.frombuffer(parts[2], "<i8")
 
 
+def _classes() -> np.ndarray:
+    """Class of each code point below 0x500: 0 letter, 1 number, 2 other, 3 white space."""
+    import regex
+
+    kinds = [regex.compile(k) for k in (r"\p{L}", r"\p{N}", r"[^\s\p{L}\p{N}]")]
+    return np.array([next((k for k, r in enumerate(kinds) if r.match(chr(c))), 3) for c in range(0x500)], np.uint8)
+
+
+def piece_starts(buf: np.ndarray, fresh: np.ndarray, classes: np.ndarray) -> np.ndarray:
+    """First bytes of the pieces that the vocabulary's pattern parts texts into.
+
+    buf: UTF-8 bytes of texts whose characters lie below U+0500 and whose white space is ASCII; fresh marks
+    each text's first byte. A run of letters, numbers or other characters takes one blank before it; of a
+    run of white space the last character stays apart when text follows; after a lone apostrophe the
+    endings s, t, re, ve, m, ll and d go with it.
+    """
+    n = len(buf)
+    kind = classes[buf]  # right for ASCII
+    lead = np.flatnonzero(buf >= 0xC2)
+    kind[lead] = classes[(buf[lead].astype(np.int64) & 0x1F) << 6 | buf[lead + 1] & 0x3F]
+    kind[lead + 1] = kind[lead]
+    run = fresh.copy()
+    run[1:] |= kind[1:] != kind[:-1]
+    space = kind == 3
+    text_after_space = np.zeros(n, bool)  # first byte of a run after white space of the same text
+    text_after_space[1:] = run[1:] & ~fresh[1:] & ~space[1:] & space[:-1]
+    blank_before = np.zeros(n, bool)
+    blank_before[1:] = ~fresh[1:] & (buf[:-1] == 32)
+    start = run & (space | ~blank_before)
+    start[:-1] |= text_after_space[1:]
+    lone = np.flatnonzero((buf == 39) & run & ~blank_before)
+    lone = lone[lone + 1 < n]
+    lone = lone[run[lone + 1] & ~fresh[lone + 1] & (kind[lone + 1] == 0)]
+    if len(lone):
+        last = len(buf) - 1
+        a, b = buf[lone + 1], buf[np.minimum(lone + 2, last)]
+        same = (lone + 2 <= last) & ~fresh[np.minimum(lone + 2, last)]
+        two = same & ((((a == 114) | (a == 118)) & (b == 101)) | ((a == 108) & (b == 108)))
+        one = np.isin(a, np.frombuffer(b"stmd", np.uint8))
+        hit = one | two
+        start[lone[hit] + 1] = False
+        after = (lone + np.where(one, 2, 3))[hit]
+        after = after[after < n]
+        start[after[~run[after]]] = True  # letters left of the run
+    return np.flatnonzero(start)
+
+
+class PieceTable:
+    """Numbers of 64-bit hashes in an open-addressing table; all look-ups of a block at once."""
+
+    def __init__(self, bits: int = 21):
+        self.mask = np.uint64((1 << bits) - 1)
+        self.keys, self.values, self.n = np.zeros(1 << bits, np.uint64), np.zeros(1 << bits, np.int32), 0
+
+    def find(self, h: np.ndarray) -> np.ndarray:
+        """The number of each hash, -1 for unknown ones."""
+        slot = (h & self.mask).astype(np.int64)
+        key = self.keys[slot]
+        out = np.where(key == h, self.values[slot], np.int32(-1))
+        live = np.flatnonzero((key != h) & (key != 0))
+        while len(live):
+            slot[live] = (slot[live] + 1) & int(self.mask)
+            key = self.keys[slot[live]]
+            hit = key == h[live]
+            out[live[hit]] = self.values[slot[live[hit]]]
+            live = live[~hit & (key != 0)]
+        return out
+
+    def add(self, h: np.ndarray) -> None:
+        """Numbers distinct new hashes on from those known."""
+        number = np.arange(self.n, self.n + len(h), dtype=np.int32)
+        self.n += len(h)
+        slot = (h & self.mask).astype(np.int64)
+        live = np.arange(len(h))
+        while len(live):
+            free = live[self.keys[slot[live]] == 0]
+            own, first = np.unique(slot[free], return_index=True)
+            placed = free[first]
+            self.keys[own], self.values[own] = h[placed], number[placed]
+            left = np.ones(len(h), bool)
+            left[placed] = False
+            live = live[left[live]]
+            taken = live[self.keys[slot[live]] != 0]
+            slot[taken] = (slot[taken] + 1) & int(self.mask)
+
+
 class Encoder:
     """Ids of whole texts by a byte-level BPE file of the tokenizers library, with a memory for pieces.
 
-    The tokenizer parts a text into pieces first and encodes each on its own, so texts of plain Latin,
-    Greek and Cyrillic characters are parted here by the same pattern and each distinct piece is
-    encoded once; other texts, and texts that may hold a special token, are encoded whole.
+    The tokenizer parts a text into pieces first and encodes each on its own. Texts of characters below
+    U+0500 are parted here in blocks, and each distinct piece, told by a 64-bit hash, is encoded once; other
+    texts, and texts that may hold a special token or odd white space, are encoded whole.
     """
 
     _made: dict[str, Encoder] = {}
-    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"  # fixed value: the pattern of this vocabulary
 
-    def __init__(self, path: str, most: int = 600_000):
+    def __init__(self, path: str, most: int = 1_200_000):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import regex
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.most = Tokenizer.from_file(path), most
-        self.pieces, self.odd = regex.compile(self.PATTERN).findall, regex.compile(r"[^\u0000-\u04FF]|<\|").search
+        self.tokenizer, self.most, self.classes = Tokenizer.from_file(path), most, _classes()
         self.bits = max(1, int(self.tokenizer.get_vocab_size() - 1).bit_length())
         self._forget()
 
@@ -181,47 +264,76 @@ class Encoder:
         return cls._made[path]
 
     def _forget(self) -> None:
-        self.known: dict[str, int] = {}
-        self.flat, self.first = np.zeros(0, np.int32), np.zeros(1, np.int64)
+        self.known = PieceTable()
+        self.flat, self.first = np.zeros(0, np.uint32), np.zeros(1, np.int64)
 
-    def _learn(self, new: list[str]) -> None:
+    def _learn(self, hashes: np.ndarray, new: list[str]) -> None:
         found, sizes = [], []
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
+        for at in range(0, len(new), 64):  # short lists are the fastest
+            part = new[at : at + 64]
             got = self.tokenizer.encode(part, is_pretokenized=True, add_special_tokens=False)
-            found.append(np.array(got.ids, np.int32))
+            found.append(np.array(got.ids, np.uint32))
             sizes.append(np.bincount(np.array(got.word_ids, np.int64), minlength=len(part)))
-        base = len(self.known)
-        self.known.update(zip(new, range(base, base + len(new))))
+        self.known.add(hashes)
         self.flat = np.concatenate([self.flat, *found])
         self.first = np.concatenate([self.first, self.first[-1] + np.cumsum(np.concatenate(sizes))])
 
-    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts, 0 after each, and each text's length with that end."""
-        if len(self.known) > self.most:
+    def _blocks(self, buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of texts fit for parting here, and each text's number of ids."""
+        if self.known.n > self.most:
             self._forget()
-        split = [None if t is not None and self.odd(t) else self.pieces(t or "") for t in texts]
-        new: set[str] = set()
-        for x in split:
-            if x:
-                new.update(x)
-        new.difference_update(self.known)
-        if new:
-            self._learn(sorted(new))
-        out, lengths = [], np.zeros(len(texts), np.int64)
-        end = np.zeros(1, np.int32)
-        for i, x in enumerate(split):
-            if x is None:
-                ids = np.array(self.tokenizer.encode(texts[i], add_special_tokens=False).ids, np.int32)
-            else:
-                k = np.fromiter(map(self.known.__getitem__, x), np.int64, len(x))
-                starts, sizes = self.first[k], self.first[k + 1] - self.first[k]
-                total = int(sizes.sum())
-                shift = starts - np.concatenate([[0], np.cumsum(sizes)[:-1]]) if len(k) else starts
-                ids = self.flat[np.repeat(shift, sizes) + np.arange(total)]
-            out += [ids, end]
-            lengths[i] = len(ids) + 1
-        return np.concatenate(out) if out else end[:0], lengths
+        sizes = np.diff(offsets)
+        if not len(buf):
+            return self.flat[:0], np.zeros(len(sizes), np.int64)
+        fresh = np.zeros(len(buf), bool)
+        fresh[offsets[:-1][sizes > 0]] = True
+        start = piece_starts(buf, fresh, self.classes)
+        sums = np.zeros(len(buf) + 1, np.uint64)
+        np.cumsum(_CODE[buf] * powers(_BASE, len(buf)), out=sums[1:])
+        end = np.append(start[1:], len(buf))
+        h = mix((sums[end] - sums[start]) * powers(_INVERSE, len(buf))[start]) | np.uint64(1)
+        k = self.known.find(h)
+        unknown = np.flatnonzero(k < 0)
+        if len(unknown):
+            new, first = np.unique(h[unknown], return_index=True)
+            text = buf.tobytes()
+            at = unknown[first]
+            self._learn(new, [text[a:b].decode() for a, b in zip(start[at].tolist(), end[at].tolist())])
+            k[unknown] = self.known.find(h[unknown])
+        head, size = self.first[k], self.first[k + 1] - self.first[k]
+        done = np.concatenate([[0], np.cumsum(size)])
+        ids = self.flat[np.repeat(head - done[:-1], size) + np.arange(done[-1])]
+        edge = done[np.searchsorted(start, offsets)]
+        return ids, np.diff(edge)
+
+    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts of a column, 0 after each, and each text's length with that end; nulls are empty."""
+        buf, offsets = raw(column)
+        n = len(offsets) - 1
+        odd = buf >= 0xD4
+        if len(buf) > 1:
+            odd[:-1] |= ((buf[:-1] == 60) & (buf[1:] == 124)) | ((buf[:-1] == 0xC2) & ((buf[1:] == 0x85) | (buf[1:] == 0xA0)))
+        bad = np.zeros(n, bool)
+        bad[np.searchsorted(offsets, np.flatnonzero(odd), "right") - 1] = True
+        if not bad.any():
+            ids, lengths = self._blocks(buf, offsets)
+        else:
+            plain = column.filter(pa.array(~bad))
+            ids_plain, len_plain = self._blocks(*raw(plain))
+            lengths = np.zeros(n, np.int64)
+            lengths[~bad] = len_plain
+            whole = [np.array(self.tokenizer.encode(column[int(i)].as_py(), add_special_tokens=False).ids, np.uint32) for i in np.flatnonzero(bad)]
+            lengths[bad] = [len(x) for x in whole]
+            ids = np.zeros(int(lengths.sum()), np.uint32)
+            from_bad = np.repeat(bad, lengths)
+            ids[~from_bad] = ids_plain
+            ids[from_bad] = np.concatenate(whole)
+        lengths = lengths + 1
+        out = np.zeros(int(lengths.sum()), np.uint32)
+        inner = np.ones(len(out), bool)
+        inner[np.cumsum(lengths) - 1] = False
+        out[inner] = ids
+        return out, lengths
 
 
 def write_shards(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int = 8_000_000, partitions: int | None = None) -> list:
@@ -258,8 +370,8 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, shard_tokens: int
 
         held = 0
         for whole in batches:
-            for batch in slices(whole, "text", 4 << 20):
-                got, sizes = encoder.encode(batch.column("text").to_pylist())
+            for batch in slices(whole, "text"):
+                got, sizes = encoder.encode(batch.column("text"))
                 ids.append(got)
                 docs_.append(batch.column("doc_id"))
                 lengths.append(sizes)
