@@ -69,9 +69,12 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return z
 
 
-def _move(table: np.ndarray, used: np.ndarray, rows: np.ndarray, grad: np.ndarray, rate: float, most: float) -> None:
-    """A step of each row against the mean of its gradients, its length falling with the row's uses."""
-    order = np.argsort(rows, kind="stable")
+def _move(table: np.ndarray, used: np.ndarray, rows: np.ndarray, base: int, grad: np.ndarray, rate: float, most: float) -> None:
+    """A step of each row against the mean of its gradients, its length falling with the row's uses.
+
+    The rows lie in the 2**16 rows from base on, so they are sorted as 16-bit numbers, by radix.
+    """
+    order = np.argsort((rows - base).astype(np.uint16), kind="stable")
     own = rows[order]
     at = np.concatenate([[0], np.flatnonzero(own[1:] != own[:-1]) + 1])
     n = np.diff(np.append(at, len(own))).astype(np.float32)
@@ -93,13 +96,13 @@ def descend(table: np.ndarray, used: np.ndarray, column: pa.Array, rate: float,
         kinds, inner = features(one[at : at + STEP], two[at : at + STEP], cls)
         p = _softmax(table[0] + table[kinds[0]] + table[kinds[1]] + table[kinds[2]])
         p[n, cls] -= 1
-        for rows in kinds:
-            _move(table, used, rows, p, rate, most)
+        for k, rows in enumerate(kinds):
+            _move(table, used, rows, 1 + k * N_FEATURES, p, rate, most)
         table[0] -= p.mean(0) * most
         used[0] += len(h)
         q = _softmax(table[inner])
         q[n, group] -= 1
-        _move(table, used, inner, q, rate, 2 * most)
+        _move(table, used, inner, 1 + 3 * N_FEATURES, q, rate, 2 * most)
 
 
 def context_score(table: np.ndarray, tok: np.ndarray, one: np.ndarray, two: np.ndarray) -> np.ndarray:
