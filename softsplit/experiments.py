@@ -212,6 +212,18 @@ def run_ablation(w: Workload, grid: Sequence[dict], rounds: int = 10, engine: st
     return out
 
 
+def run_duplicates(spark: SparkSession, sf_dir: str, rounds: int = 5, cells: int = 16) -> list[dict]:
+    """The language task on letters with and without exact copies: copies on both sides of a split leak."""
+    out = []
+    clean = workload("letters_lang", spark, sf_dir, cells)
+    docs = load(spark, sf_dir, "documents", ["doc_id", "text", "lang"])
+    rows = docs.select(F.col("doc_id").alias("rid"), features.letter_shares(F.col("text")).alias("x"), _class_code("lang", LANGS).alias("y"))
+    for name, w in (("without_copies", clean), ("with_copies", replace(clean, train=_split(rows)[0], test=_split(rows)[1]))):
+        model = fit(w.train, w.spec, w.loss, rounds, classes=w.classes, engine="local")
+        out.append({"rows": name, "train_rows": w.train.count(), "value": test_value(w, model.transform(w.test))})
+    return out
+
+
 def timed(fn) -> tuple[float, object]:
     began = time.perf_counter()
     result = fn()

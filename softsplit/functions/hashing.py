@@ -52,14 +52,28 @@ def mix_code(base: Column, round_: Column | int, cell: Column, seed: int = 0) ->
     return _xor_shift(x, 16)
 
 
+def _mod_prime(x: np.ndarray) -> np.ndarray:
+    """x modulo 2**31 - 1 in place, for 0 <= x < 2**62: folding, which unlike division runs in vector registers."""
+    for _ in range(2):
+        high = x >> 31
+        x &= PRIME
+        x += high
+    x[x == PRIME] = 0
+    return x
+
+
 def mix_code_np(base: np.ndarray, round_: int, cells: np.ndarray, seed: int = 0) -> np.ndarray:
     """mix_code for all pairs of base codes and cells: (features x cells) int64."""
     x = (base.astype(np.int64) * MULTIPLIERS[0] + (round_ + seed * 1009 + 1) * ADDENDS[0]) % PRIME
     x ^= x >> 15
-    x = (x[:, None] * MULTIPLIERS[1] + (cells.astype(np.int64) + 1)[None, :] * ADDENDS[1]) % PRIME
+    x *= MULTIPLIERS[1]
+    x = _mod_prime(x[:, None] + ((cells.astype(np.int64) + 1) * ADDENDS[1])[None, :])
     x ^= x >> 13
-    x = (x * MULTIPLIERS[2] + ADDENDS[2]) % PRIME
-    return x ^ (x >> 16)
+    x *= MULTIPLIERS[2]
+    x += ADDENDS[2]
+    _mod_prime(x)
+    x ^= x >> 16
+    return x
 
 
 def sym_np(code: np.ndarray) -> np.ndarray:

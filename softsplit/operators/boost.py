@@ -27,6 +27,8 @@ from .solve import round_objective, solve_scores
 
 #: Bytes of one global step's vectors (partitions x numbers) above which they are summed on executors first.
 DRIVER_SUM_BYTES = 256 << 20
+#: Rows whose scores may be kept on the driver.
+DRIVER_ROWS = 1_000_000
 
 
 def pin(df: DataFrame, partitions: int) -> DataFrame:
@@ -147,9 +149,15 @@ def fit(
     base_score: float = 0.0,
     subsample: float = 1.0,
     on_round: Callable[[int, float], None] | None = None,
+    state: str = "carry",
 ) -> SSBModel:
     """Fits a model on df (rid, y and the features of spec).
 
+    state says where the jobs engine keeps scores between rounds: `carry` in a column of the persisted rows,
+    `side` in a table (rid, score) joined by rid to rows that stay as they are, `driver` in the driver's
+    memory (at most DRIVER_ROWS rows). The barrier engine keeps them in its tasks. checkpoint_every=0 never
+    cuts lineage. rid must be unique for side and driver.
+
     Rows with a null label are left out of training. history has for each round the wall seconds, the bytes
     its global steps sent, the objective of its quadratic model, the solver path and the mean loss before it.
     """
@@ -160,7 +168,10 @@ def fit(
     engines = {"jobs": _fit_jobs, "barrier": _fit_barrier, "local": _fit_local}
     if engine not in engines:
         raise ValueError(f"unknown engine {engine!r}; one of {sorted(engines)}")
-    engines[engine](model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round)
+    if engine == "jobs":
+        _fit_jobs(model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round, state)
+    else:
+        engines[engine](model, df, rounds, lam, partitions, subsample, on_round)
     return model
 
 
@@ -188,16 +199,57 @@ def _columns(spec: Spec) -> list[str]:
     return ["rid", "y", "x"] if spec.kind == "dense" else ["rid", "y", "codes", "vals"]
 
 
-def _fit_jobs(model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round) -> None:
+class _State:
+    """Rows with their scores between rounds, by strategy."""
+
+    def __init__(self, base: DataFrame, start: list[float], strategy: str, partitions: int | None, checkpoint_every: int):
+        if strategy not in ("carry", "side", "driver"):
+            raise ValueError(f"unknown state strategy {strategy!r}")
+        self.strategy, self.every, self.base = strategy, checkpoint_every, base
+        self.parts = partitions or base.rdd.getNumPartitions()
+        first = F.array(*[F.lit(float(x)) for x in start])
+        if strategy == "carry":
+            self.rows = base.withColumn("score", first).persist(StorageLevel.MEMORY_AND_DISK)
+            return
+        if strategy == "driver" and base.count() > DRIVER_ROWS:
+            raise ValueError(f"more than {DRIVER_ROWS} rows: their scores are not kept on the driver")
+        self.base = base.repartition(self.parts, "rid").persist(StorageLevel.MEMORY_AND_DISK)
+        self.side = self.base.select("rid", first.alias("score"))
+        self.rows = self._joined()
+
+    def _joined(self) -> DataFrame:
+        return self.base.join(self.side, "rid").select(*self.base.columns, "score")
+
+    def advance(self, t: int, update: Callable) -> Callable[[], None]:
+        """Rows after an update of their scores; what it returns frees the old ones once the new are made."""
+        cut = self.every and t % self.every == 0 and self.base.sparkSession.sparkContext.getCheckpointDir()
+        schema = self.rows.schema
+        new = self.rows.mapInArrow(update, schema)
+        if self.strategy == "carry":
+            old = self.rows
+            self.rows = (new.checkpoint(eager=True) if cut else new).persist(StorageLevel.MEMORY_AND_DISK)
+            return old.unpersist
+        old = self.side
+        if self.strategy == "driver":
+            self.side = self.base.sparkSession.createDataFrame(new.select("rid", "score").toArrow(), new.select("rid", "score").schema)
+        else:
+            moved = new.select("rid", "score").repartition(self.parts, "rid")
+            self.side = (moved.checkpoint(eager=True) if cut else moved).persist(StorageLevel.MEMORY_AND_DISK)
+        self.rows = self._joined()
+        return old.unpersist
+
+    def close(self) -> None:
+        self.rows.unpersist()
+        self.base.unpersist()
+
+
+def _fit_jobs(model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round, strategy) -> None:
     spec, classes, share = model.spec, model.classes, model.share
-    spark = df.sparkSession
     numbers = classes * (spec.cells * (spec.cells + 1) // 2 + spec.cells) + 2
     base = df.select(*_columns(spec))
     base = pin(base, partitions) if partitions else base
-    start = np.full(classes, model.base_score).tolist()
-    state = base.withColumn("score", F.array(*[F.lit(float(x)) for x in start])).persist(StorageLevel.MEMORY_AND_DISK)
-    fields = state.columns
-    schema = state.schema
+    state = _State(base, [model.base_score] * classes, strategy, partitions, checkpoint_every)
+    fields = state.rows.columns
     ahead: dict[int, np.ndarray] = {}
     r: Round | None = None
     for t in range(rounds):
@@ -205,15 +257,14 @@ def _fit_jobs(model, df, rounds, lam, partitions, lookahead, checkpoint_every, s
         sent = 0
         if t not in ahead:
             span = list(range(t, min(t + lookahead, rounds)))
-            stats, sent = cell_stats_block(state, spec, span, classes, share)
+            stats, sent = cell_stats_block(state.rows, spec, span, classes, share)
             ahead = dict(zip(span, stats))
         mu, sd = moments(ahead.pop(t), spec.norm)
 
         def update(batches: Iterator[pa.RecordBatch], r=r) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 block = Block.of(batch, spec)
-                score = _scores(batch, classes)
-                score, _, _ = _block_step(model, block, None, score, r, None, 1.0)
+                score, _, _ = _block_step(model, block, None, _scores(batch, classes), r, None, 1.0)
                 cols = [batch.column(c) for c in fields[:-1]] + [_list_array(score)]
                 yield pa.RecordBatch.from_arrays(cols, names=fields)
 
@@ -225,20 +276,15 @@ def _fit_jobs(model, df, rounds, lam, partitions, lookahead, checkpoint_every, s
                 total, lost, n = total + part, lost + loss_, n + len(y)
             yield _emit(np.concatenate([total.ravel(), [lost, n]]))
 
-        old = state
-        if r is not None:
-            state = state.mapInArrow(update, schema)
-            if t % checkpoint_every == 0 and spark.sparkContext.getCheckpointDir():
-                state = state.checkpoint(eager=True)
-            state = state.persist(StorageLevel.MEMORY_AND_DISK)
-        total, more = _vector_sum(state.mapInArrow(sums, "pid long, v binary"), numbers)
-        if r is not None:
-            old.unpersist()
+        free = state.advance(t, update) if r is not None else None
+        total, more = _vector_sum(state.rows.mapInArrow(sums, "pid long, v binary"), numbers)
+        if free is not None:
+            free()
         sent += more
         r, objective = _solve_round(t, total[:-2].reshape(classes, -1), mu, sd, spec.cells, lam)
         model.rounds.append(r)
         _log(model, t, began, sent, objective, total[-2] / max(total[-1], 1), on_round)
-    state.unpersist()
+    state.close()
 
 
 def _log(model: SSBModel, t: int, began: float, sent: int, objective: float, lost: float, on_round) -> None:
@@ -305,7 +351,7 @@ def _rounds_together(task: _Task, rounds: int, lam: float, subsample: float, red
         _log(model, t, began, sent + more, objective, total[-2] / max(total[-1], 1), on_round)
 
 
-def _fit_barrier(model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round) -> None:
+def _fit_barrier(model, df, rounds, lam, partitions, subsample, on_round) -> None:
     """One barrier stage; partitions must fit the slots that run at once. The loop restarts as a whole on failure."""
     slots = df.sparkSession.sparkContext.defaultParallelism
     parts = partitions or slots
@@ -344,7 +390,7 @@ def _fit_barrier(model, df, rounds, lam, partitions, lookahead, checkpoint_every
             on_round(row["round"], row["wall_s"])
 
 
-def _fit_local(model, df, rounds, lam, partitions, lookahead, checkpoint_every, subsample, on_round) -> None:
+def _fit_local(model, df, rounds, lam, partitions, subsample, on_round) -> None:
     """The stand-alone trainer for data that fit the driver; the same blocks, no exchange."""
     task = _Task(model, df.select(*_columns(model.spec)).toArrow().to_batches())
     _rounds_together(task, rounds, lam, subsample, lambda v: (v, 0), on_round)

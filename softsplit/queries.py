@@ -1079,6 +1079,19 @@ def scaling_bytes(spark, sf_dir):
     return spark.createDataFrame([(r["cells"], r["partitions"], float(r["bytes"]), float(r["formula_bytes"])) for r in rows], "cells int, partitions int, bytes double, formula_bytes double")
 
 
+@query()
+def duplicates_sensitivity(spark, sf_dir):
+    from .experiments import run_duplicates
+
+    rows = [(r["rows"], r["train_rows"], float(r["value"])) for r in run_duplicates(spark, sf_dir)]
+    return spark.createDataFrame(rows, "rows string, train_rows long, value double").withColumn("value", F.round("value", 6))
+
+
+@query()
+def ssb_train_side_state(spark, sf_dir):
+    return _curve_of(spark, sf_dir, "emb_half", 4, state="side")
+
+
 @query()
 def bandwidth_model(spark, sf_dir):
     """Modelled ratios from bytes at one second of compute; wide data, one level of one node of the trees."""

@@ -146,6 +146,18 @@ def test_engines_agree(emb):
     assert not _close(local, fit(emb, Spec("dense", 8, 64, seed=1), rounds=2, engine="local"))
 
 
+def test_state_strategies_agree(emb, spark, tmp_path):
+    spec = Spec("dense", 4, 64)
+    one = fit(emb, spec, rounds=3, engine="local")
+    for state in ("carry", "side", "driver"):
+        assert _close(one, fit(emb, spec, rounds=3, partitions=3, state=state, checkpoint_every=0)), state
+    spark.sparkContext.setCheckpointDir(str(tmp_path))
+    for state in ("carry", "side"):
+        assert _close(one, fit(emb, spec, rounds=3, state=state, checkpoint_every=2)), state
+    with pytest.raises(ValueError):
+        fit(emb, spec, rounds=1, state="none")
+
+
 def test_sparse_and_multiclass_engines_agree(words, spark, sf_dir):
     from softsplit.experiments import workload
 
