@@ -267,7 +267,7 @@ def count_parts(packed: DataFrame, parts: int) -> DataFrame:
             if out:
                 yield _packed(out)
 
-    return packed.filter("part >= 0").repartition(parts, "part").mapInArrow(run, _PACKED)
+    return packed.filter("part >= 0").repartitionById(parts, "part").mapInArrow(run, _PACKED)
 
 
 def gather(rows: DataFrame, total: int, kinds: int) -> DataFrame:
