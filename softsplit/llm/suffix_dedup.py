@@ -73,18 +73,36 @@ def segments_of(buf: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.nd
     return tuple(np.concatenate(x) for x in zip(*out))
 
 
+def later_copies(m: np.ndarray, s: np.ndarray, ids: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Whether a segment with the same m and s and a smaller (id, start) is among those given."""
+    both = mix(m) + s
+    _, back, count = np.unique(both, return_inverse=True, return_counts=True)
+    some = np.flatnonzero(count[back] > 1)
+    order = some[np.lexsort((start[some], ids[some], s[some], m[some]))]
+    out = np.zeros(len(m), bool)
+    out[order[1:]] = (m[order[1:]] == m[order[:-1]]) & (s[order[1:]] == s[order[:-1]])
+    return out
+
+
 def segments(docs: DataFrame, width: int) -> DataFrame:
-    """(m, s, doc_id, start, windows) of all segments of docs (doc_id, text)."""
+    """(m, s, sure, doc_id, start, windows) of all segments of docs (doc_id, text).
+
+    A segment that repeats one with a smaller start of the same slice of rows is a sure repeat. It needs no
+    company of its hash, so its m is drawn from its place, which keeps large groups of copies apart.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole, "text"):
                 row, start, count, m, s = segments_of(*raw(batch.column("text")), width)
                 ids = batch.column("doc_id").take(pa.array(row))
-                cols = [pa.array(m.view(np.int64)), pa.array(s.view(np.int64)), ids, pa.array(start), pa.array(count)]
-                yield pa.RecordBatch.from_arrays(cols, names=["m", "s", "doc_id", "start", "windows"])
+                number = np.asarray(ids.fill_null(-(2**63)).to_numpy(zero_copy_only=False), np.int64)
+                sure = later_copies(m, s, number, start)
+                m = np.where(sure, mix(mix(number.view(np.uint64)) + start.astype(np.uint64)), m)
+                cols = [pa.array(m.view(np.int64)), pa.array(s.view(np.int64)), pa.array(sure), ids, pa.array(start), pa.array(count)]
+                yield pa.RecordBatch.from_arrays(cols, names=["m", "s", "sure", "doc_id", "start", "windows"])
 
-    return docs.mapInArrow(run, "m long, s long, doc_id long, start long, windows long")
+    return docs.mapInArrow(run, "m long, s long, sure boolean, doc_id long, start long, windows long")
 
 
 def cut_out(docs: DataFrame) -> DataFrame:
@@ -226,17 +244,17 @@ def remove_repeats(
         segments(long_enough, width)
         .withColumn("nth", F.row_number().over(first))
         .withColumn("many", F.min("s").over(group) != F.max("s").over(group))
-        .filter("nth > 1 or many")
-        .select("m", "doc_id", "start", (F.col("windows") + width - 1).alias("size"), "nth")
+        .filter("sure or nth > 1 or many")
+        .select("m", "doc_id", "start", (F.col("windows") + width - 1).alias("size"), (F.col("sure") | (F.col("nth") > 1)).alias("repeat"))
     )
     marked = ws.save(marked, "marked")
     wanted = (
-        marked.filter("nth = 1").groupBy("doc_id").agg(F.collect_list(F.struct("m", "start", "size")).alias("wanted"))
+        marked.filter("not repeat").groupBy("doc_id").agg(F.collect_list(F.struct("m", "start", "size")).alias("wanted"))
         .withColumnRenamed("doc_id", "id")
     )
     cut = cut_out(texts.join(wanted, F.col("doc_id").eqNullSafe(F.col("id"))).select("doc_id", "text", "wanted"))
     repeats = sorted_repeats(cut, width, shard_bytes, budget)
-    whole = marked.filter("nth > 1").select("doc_id", F.col("start").alias("a"), (F.col("start") + F.col("size")).alias("b"))
+    whole = marked.filter("repeat").select("doc_id", F.col("start").alias("a"), (F.col("start") + F.col("size")).alias("b"))
     gone = (
         repeats.unionByName(whole).groupBy(F.col("doc_id").alias("id")).agg(F.collect_list(F.struct("a", "b")).alias("gone"))
     )
