@@ -262,6 +262,17 @@ def confirm(members: DataFrame, percent: int, width: int) -> DataFrame:
     return ordered.mapInArrow(run, "a long, b long")
 
 
+def _with_class(rows: DataFrame, same: DataFrame, large: int = 256, small: int = 200_000) -> DataFrame:
+    """rows with the uid of their class; classes of more than `large` rows are broadcast when these are few."""
+    hot = same.filter(F.col("n") > large).drop("n")
+    rest = same.filter(F.col("n") <= large).drop("n")
+    if hot.count() > small:
+        return rows.join(same.drop("n"), ["h1", "h2"])
+    hot = F.broadcast(hot)
+    apart = rows.join(hot, ["h1", "h2"], "left_anti").join(rest, ["h1", "h2"])
+    return rows.join(hot, ["h1", "h2"]).unionByName(apart)
+
+
 def near_components(
     docs: DataFrame,
     id_col: str = "doc_id",
@@ -287,8 +298,8 @@ def near_components(
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     described = ws.save(describe(texts, width), "described")
     known = described.filter("n_shingles > 0 and doc_id is not null")
-    same = known.groupBy("h1", "h2").agg(F.min("doc_id").alias("uid"))
-    classes = ws.save(known.select("doc_id", "h1", "h2", "keys", "sign").join(same, ["h1", "h2"]), "classes")
+    same = ws.save(known.groupBy("h1", "h2").agg(F.min("doc_id").alias("uid"), F.count(F.lit(1)).alias("n")), "same")
+    classes = ws.save(_with_class(known.select("doc_id", "h1", "h2", "keys", "sign"), same), "classes")
     alone = classes.filter("doc_id = uid").select("uid", "keys", "sign")
     nodes, large = grow_trees(alone, ws, node_size, depth)
     links = propose(nodes.repartition("node"))
