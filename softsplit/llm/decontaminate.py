@@ -13,15 +13,15 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from ._store import Workspace
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: A word: ASCII digits and lower-case letters, and every character beyond ASCII.
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: What parts words, which are ASCII digits and lower-case letters, and every character beyond ASCII.
+BETWEEN_WORDS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 
 def folded_words(text: Column) -> Column:
     """The words of a text with A-Z lower-cased; a null text has none. lower() is the same on ASCII, and faster."""
     text = F.coalesce(text, F.lit(""))
     low = F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))
-    return F.regexp_extract_all(low, F.lit(WORD), F.lit(0))
+    return F.array_remove(F.split(low, BETWEEN_WORDS), "")
 
 
 def item_windows(items: DataFrame, width: int) -> DataFrame:
