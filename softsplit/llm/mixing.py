@@ -4,7 +4,8 @@ A document of a source is wanted c times, c = target / size of the source. floor
 each; the rest of c is a fractional copy. Fractional copies meet in pairs: words move from one to the
 other until one copy is whole or none, with the chances that keep each copy's expectation, and the other
 meets the next. So a block ends with one fractional copy, blocks are combined the same way level by
-level, and a source's taken words differ from its target by less than one document.
+level, and a source's taken words differ from its target by less than one document. Before that, a
+source's few longest copies meet the pool of all its others, so that this document is a short one.
 """
 
 from __future__ import annotations
@@ -75,7 +76,47 @@ aggregate(units,
 """
 
 
-def pivotal(units: DataFrame, ws: Workspace, seed: int = 11, block: int = 128) -> DataFrame:
+#: The meetings of a source's longest copies, one after the other, with the pool of all its others, whose
+#: copies share one fraction q: words move between the long copy and the whole pool.
+_POOL = """
+aggregate(long,
+  named_struct('q', q, 'out', CAST(array() AS array<struct<uid:bigint,h:bigint,n:double,p:double>>)),
+  (s, x) -> element_at(transform(
+    transform(
+      array(named_struct('a', least(x.n * (1 - x.p), w * s.q), 'b', least(w * (1 - s.q), x.n * x.p))),
+      t -> named_struct('a', t.a, 'b', t.b, 'up',
+        (shiftrightunsigned(xxhash64(x.h, {seed}L), 11) / 9007199254740992D) * (t.a + t.b) < t.b)),
+    t -> named_struct(
+      'q', greatest(0D, least(1D, IF(t.up, s.q - t.a / w, s.q + t.b / w))),
+      'out', concat(s.out, array(named_struct('uid', x.uid, 'h', x.h, 'n', x.n,
+        'p', IF(t.up, IF(t.a = x.n * (1 - x.p), 1D, x.p + t.a / x.n), IF(t.b = x.n * x.p, 0D, x.p - t.b / x.n))))))), 1))
+"""
+
+
+def _each(side: DataFrame, few: bool) -> DataFrame:
+    """A table of a row for each source, broadcast where the sources were counted to be few."""
+    return F.broadcast(side) if few else side
+
+
+def meet_long(units: DataFrame, ws: Workspace, seed: int, share: int = 64, few: bool = False) -> DataFrame:
+    """The units with new fractions after each source's long copies, if any, have met the pool of its others.
+
+    The units of a source share one fraction. Long copies have more than 1/share of its words, so there are
+    fewer than `share` of them; each becomes whole or none as far as the pool's words allow. What is left
+    to the ordinary meetings are short copies, and so is the last one, which alone can miss the target.
+    """
+    total = units.groupBy("sid").agg(F.sum("n").alias("all"), F.max("p").alias("q"))
+    marked = ws.save(units.join(_each(total, few), "sid").withColumn("is_long", F.col("n") * share > F.col("all")), "marked")
+    order = F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("o"), "h", "uid", "n", "p")))
+    long = marked.filter("is_long").groupBy("sid", "all", "q").agg(order.alias("long"), F.sum("n").alias("taken_up"))
+    pool = long.withColumn("w", F.col("all") - F.col("taken_up")).filter("w > 0").select("sid", F.expr(_POOL.format(seed=seed)).alias("s"))
+    pool = ws.save(pool, "pool")
+    met = pool.select("sid", F.explode("s.out").alias("x")).select("sid", "x.uid", "x.h", "x.n", "x.p")
+    rest = marked.join(_each(pool.select("sid", F.col("s.q").alias("new_q")), few), "sid", "left").filter("new_q is null or not is_long")
+    return met.unionByName(rest.select("sid", "uid", "h", "n", F.coalesce("new_q", "p").alias("p")))
+
+
+def pivotal(units: DataFrame, ws: Workspace, seed: int = 11, block: int = 128, few: bool = False) -> DataFrame:
     """(uid, take): whole copies 0 or 1 of units (sid, uid, h, n, p), by meetings in a tree of blocks.
 
     h is a hash that deals units to blocks and seeds the meetings, n > 0 the unit's words, p its fraction.
@@ -86,7 +127,7 @@ def pivotal(units: DataFrame, ws: Workspace, seed: int = 11, block: int = 128) -
         counts = units.groupBy("sid").agg(F.ceil(F.count(F.lit(1)) / block).alias("blocks"))
         counts = ws.save(counts, f"counts{level}")
         widest = counts.agg(F.max("blocks")).first()[0] or 0
-        dealt = units.join(counts, "sid").withColumn("block", F.pmod(F.xxhash64("h", F.lit(level)), F.col("blocks")))
+        dealt = units.join(_each(counts, few), "sid").withColumn("block", F.pmod(F.xxhash64("h", F.lit(level)), F.col("blocks")))
         met = dealt.groupBy("sid", "block").agg(F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("o"), "h", "uid", "n", "p"))).alias("units"))
         met = ws.save(met.select("sid", F.expr(_MEET.format(seed=seed + level)).alias("r")), f"met{level}")
         settled.append(met.select(F.explode("r.out").alias("o")).select("o.uid", "o.take"))
@@ -130,13 +171,14 @@ def mix(
         source_targets(rows.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most), "sources"
     )
     side = sources.withColumnRenamed("source", "named")
-    side = F.broadcast(side) if sources.count() <= small_sources else side
+    few = sources.count() <= small_sources
+    side = _each(side, few)
     wanted = rows.join(side, F.col("source").eqNullSafe(F.col("named"))).drop("named")
     c = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     wanted = wanted.withColumn("whole", F.floor(c)).withColumn("p", c - F.floor(c))
     h = F.xxhash64("doc_id", "size", F.lit(seed)).alias("h")
     units = wanted.filter("size > 0 and p > 0").select("sid", "uid", h, F.col("size").cast("double").alias("n"), "p")
-    take = pivotal(units, ws, seed)
+    take = pivotal(meet_long(units, ws, seed, few=few), ws, seed, few=few)
     copies = (F.col("whole") + F.coalesce("take", F.lit(0))).cast("long")
     return (
         wanted.join(take, "uid", "left")
