@@ -119,5 +119,6 @@ def nnz_running(df: DataFrame, order: str, nnz: str) -> DataFrame:
 
 def nnz_batches(df: DataFrame, order: str, nnz: str, batches: int) -> DataFrame:
     """(order, nnz, batch): batches of about equal non-zeros; the budget is at least the largest row."""
+    df = df.select(order, nnz).persist()
     budget = df.agg(F.greatest(F.max(nnz), F.ceil(F.sum(nnz) / batches))).first()[0] or 1
     return nnz_running(df, order, nnz).withColumn("batch", F.floor(F.col("before") / F.lit(int(budget))).cast("long")).drop("before")

@@ -111,7 +111,11 @@ class Block:
 
 
 def _row_sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    out = np.zeros((len(offsets) - 1, values.shape[1]))
+    n = len(offsets) - 1
+    each = len(values) // n if n else 0
+    if each and (offsets[1:] - offsets[:-1] == each).all():  # one-hot rows: as many entries in each
+        return values.reshape(n, each, -1).sum(1)
+    out = np.zeros((n, values.shape[1]))
     full = np.flatnonzero(np.diff(offsets) > 0)
     if len(full):
         out[full] = np.add.reduceat(values, offsets[full], axis=0)
@@ -134,7 +138,9 @@ def forward(block: Block, spec: Spec, round_: int, cls: int = 0, weights: np.nda
             w = hashed_weights(spec, codes, round_, cls)[back]
         else:
             w = hashed_weights(spec, codes, round_, cls)
-        out[a:b] = _row_sums(w * vals[:, None], block.offsets[a : b + 1] - i)
+        if not (vals == 1).all():
+            w *= vals[:, None]
+        out[a:b] = _row_sums(w, block.offsets[a : b + 1] - i)
     return out
 
 
