@@ -698,10 +698,10 @@ def agg_rollup(spark, sf_dir):
     return rel.score_report(load(spark, sf_dir, "documents", ["lang", "source", "n_chars"]), ["lang", "source"], "n_chars", "rollup")
 
 
-@query("SELECT event_type, user_id % 5 AS grp, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type), (user_id % 5), ())")
+@query("SELECT event_type, coalesce(user_id % 5, -1) AS grp, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type), (user_id % 5), ())")
 def agg_grouping_sets(spark, sf_dir):
     load(spark, sf_dir, "events", ["event_type", "user_id"]).createOrReplaceTempView("ssb_events")
-    return spark.sql("SELECT event_type, user_id % 5 AS grp, count(*) AS n FROM ssb_events GROUP BY event_type, user_id % 5 GROUPING SETS ((event_type), (user_id % 5), ())")
+    return spark.sql("SELECT event_type, coalesce(user_id % 5, -1) AS grp, count(*) AS n FROM ssb_events GROUP BY event_type, user_id % 5 GROUPING SETS ((event_type), (user_id % 5), ())")
 
 
 @query("SELECT p_brand, quantile_disc(p_size, 0.5)::INT AS median, quantile_disc(p_size, 0.9)::INT AS p90, round(stddev_samp(p_size), 6) AS sd, round(corr(p_size, p_retailprice), 6) AS r FROM part GROUP BY 1")
@@ -755,12 +755,13 @@ def window_ranks(spark, sf_dir):
     )
 
 
-@query("""SELECT event_id, lag(floor(value * 100)::BIGINT) OVER w AS before, lead(floor(value * 100)::BIGINT, 2) OVER w AS later, first_value(event_id) OVER w AS f, nth_value(event_id, 2) OVER w AS second
+@query("""SELECT event_id, coalesce(lag(floor(value * 100)::BIGINT) OVER w, -1) AS before, coalesce(lead(floor(value * 100)::BIGINT, 2) OVER w, -1) AS later, first_value(event_id) OVER w AS f, coalesce(nth_value(event_id, 2) OVER w, -1) AS second
 FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""")
 def window_analytic(spark, sf_dir):
     ev = load(spark, sf_dir, "events", ["event_id", "user_id", "ts", "value"]).withColumn("c", F.floor(F.col("value") * 100).cast("bigint"))
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    return ev.select("event_id", F.lag("c").over(w).alias("before"), F.lead("c", 2).over(w).alias("later"), F.first("event_id").over(w).alias("f"), F.nth_value("event_id", 2).over(w).alias("second"))
+    known = lambda c, name: F.coalesce(c.over(w), F.lit(-1).cast("bigint")).alias(name)
+    return ev.select("event_id", known(F.lag("c"), "before"), known(F.lead("c", 2), "later"), F.first("event_id").over(w).alias("f"), known(F.nth_value("event_id", 2), "second"))
 
 
 @query("""SELECT event_id, sum(floor(value * 100)::BIGINT) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS moving,
