@@ -199,11 +199,18 @@ def piece_starts(buf: np.ndarray, fresh: np.ndarray, classes: np.ndarray) -> np.
 
 
 class PieceTable:
-    """Numbers of 64-bit hashes in an open-addressing table; all look-ups of a block at once."""
+    """Numbers of 64-bit hashes in an open-addressing table; all look-ups of a block at once.
+
+    The table doubles before more than three quarters of its slots are taken, so there always is a free one.
+    """
 
     def __init__(self, bits: int = 21):
+        self.n = 0
+        self._empty(bits)
+
+    def _empty(self, bits: int) -> None:
         self.mask = np.uint64((1 << bits) - 1)
-        self.keys, self.values, self.n = np.zeros(1 << bits, np.uint64), np.zeros(1 << bits, np.int32), 0
+        self.keys, self.values = np.zeros(1 << bits, np.uint64), np.zeros(1 << bits, np.int32)
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """The number of each hash, -1 for unknown ones."""
@@ -223,6 +230,17 @@ class PieceTable:
         """Numbers distinct new hashes on from those known."""
         number = np.arange(self.n, self.n + len(h), dtype=np.int32)
         self.n += len(h)
+        bits = len(self.keys).bit_length() - 1
+        while 4 * self.n > 3 << bits:
+            bits += 1
+        if 1 << bits > len(self.keys):
+            taken = self.keys != 0
+            keys, values = self.keys[taken], self.values[taken]
+            self._empty(bits)
+            self._place(keys, values)
+        self._place(h, number)
+
+    def _place(self, h: np.ndarray, number: np.ndarray) -> None:
         slot = (h & self.mask).astype(np.int64)
         live = np.arange(len(h))
         while len(live):
@@ -267,10 +285,10 @@ class Encoder:
         self.known = PieceTable()
         self.flat, self.first = np.zeros(0, np.uint32), np.zeros(1, np.int64)
 
-    def _learn(self, hashes: np.ndarray, new: list[str]) -> None:
+    def _learn(self, hashes: np.ndarray, text: bytes, start: np.ndarray, end: np.ndarray) -> None:
         found, sizes = [], []
-        for at in range(0, len(new), 64):  # short lists are the fastest
-            part = new[at : at + 64]
+        for at in range(0, len(hashes), 64):  # short lists are the fastest
+            part = [text[a:b].decode() for a, b in zip(start[at : at + 64].tolist(), end[at : at + 64].tolist())]
             got = self.tokenizer.encode(part, is_pretokenized=True, add_special_tokens=False)
             found.append(np.array(got.ids, np.uint32))
             sizes.append(np.bincount(np.array(got.word_ids, np.int64), minlength=len(part)))
@@ -296,9 +314,8 @@ class Encoder:
         unknown = np.flatnonzero(k < 0)
         if len(unknown):
             new, first = np.unique(h[unknown], return_index=True)
-            text = buf.tobytes()
             at = unknown[first]
-            self._learn(new, [text[a:b].decode() for a, b in zip(start[at].tolist(), end[at].tolist())])
+            self._learn(new, buf.tobytes(), start[at], end[at])
             k[unknown] = self.known.find(h[unknown])
         head, size = self.first[k], self.first[k + 1] - self.first[k]
         done = np.concatenate([[0], np.cumsum(size)])

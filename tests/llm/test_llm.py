@@ -226,6 +226,34 @@ def test_token_shards(docs, rows, empty, spark):
     assert sorted((r["start"], r["doc_id"]) for r in token_files(twice).collect()) == [(0, None), (2, 1), (3, 5), (5, 5)]
 
 
+def test_piece_table_grows():
+    import signal
+
+    import public_tokenizers
+
+    from softsplit.llm.token_shards import Encoder, PieceTable
+
+    def stop(*_):
+        raise TimeoutError("the table is full and the look-up never ends")
+
+    before = signal.signal(signal.SIGALRM, stop)
+    signal.alarm(60)
+    try:
+        table = PieceTable(bits=4)
+        h = np.random.default_rng(3).integers(1, 2**63, 5000).astype(np.uint64)
+        for part in (h[:9], h[9:40], h[40:]):
+            table.add(part)
+        assert (table.find(h) == np.arange(5000)).all() and (table.find(h + np.uint64(1)) == -1).all()
+        encoder = Encoder(public_tokenizers.path("byte_bpe_50k.json"))
+        encoder.known = PieceTable(bits=4)
+        text = " ".join(f"w{i * 7919 % 1000}x" for i in range(2000))
+        ids, _ = encoder.encode(pa.array([text]))
+        assert ids.tolist() == encoder.tokenizer.encode(text, add_special_tokens=False).ids + [0]
+    finally:
+        signal.alarm(0)
+        signal.signal(signal.SIGALRM, before)
+
+
 def test_wavelet_matrix():
     from softsplit.llm.token_shards import WaveletMatrix, pack, unpack
 
