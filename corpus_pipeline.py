@@ -6,6 +6,7 @@ of documents; the last one returns what it reads back from the token files.
 
 from __future__ import annotations
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from softsplit.llm._store import Workspace
@@ -16,30 +17,55 @@ from softsplit.llm.near_dedup import near_components
 from softsplit.llm.token_shards import token_files
 
 
-def _without(docs: DataFrame, rejected: DataFrame) -> DataFrame:
-    """Rows whose id is not rejected; rows of a null id are judged together."""
-    gone = rejected.select(F.col("doc_id").alias("gone_id")).distinct()
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti")
+def _keyed(docs: DataFrame, name: str) -> DataFrame:
+    """The rows of a table as read from Parquet with a number of their own, row_key: file, then row of the file.
+
+    Every read finds the same numbers. Rows that come from no file are stored first.
+    """
+    try:
+        paths = docs.select(F.col("_metadata.file_path").alias("file")).distinct().collect()
+    except AnalysisException:
+        docs = Workspace(docs.sparkSession, name).save(docs, "rows")
+        paths = docs.select(F.col("_metadata.file_path").alias("file")).distinct().collect()
+    files = docs.sparkSession.createDataFrame([(p, i) for i, p in enumerate(sorted(r["file"] for r in paths))], "file string, nth long")
+    placed = docs.select("*", F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("nth_row"))
+    key = F.shiftleft("nth", 40) + F.col("nth_row")
+    return placed.join(F.broadcast(files), "file").select(*docs.columns, key.alias("row_key"))
+
+
+def _without(keyed: DataFrame, rejected: DataFrame) -> DataFrame:
+    """Rows whose own number is not in doc_id of rejected; what befalls other rows of their id does not count."""
+    return keyed.join(rejected.select(F.col("doc_id").alias("row_key")), "row_key", "left_anti").drop("row_key")
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _without(docs, host_quality(docs).filter(~F.col("kept")))
+    keyed = _keyed(docs, "quality")
+    return _without(keyed, host_quality(keyed, id_col="row_key").filter(~F.col("kept")))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _without(docs, near_components(docs).filter(~F.col("kept")))
+    """Of each component the row of the smallest id stays, null ids last and equal ids by row number."""
+    keyed = _keyed(docs, "near-dedup-rows")
+    found = near_components(keyed, id_col="row_key").select(F.col("doc_id").alias("row_key"), "component_id")
+    ids = keyed.select("row_key", F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_key").alias("place"))
+    placed = Workspace(spark, "near-dedup-found").save(found.join(ids, "row_key"), "placed")
+    first = placed.groupBy("component_id").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n"))
+    first = first.filter("n > 1").select("component_id", F.col("first.row_key").alias("stays"))
+    return _without(keyed, placed.join(first, "component_id").filter("row_key != stays").select(F.col("row_key").alias("doc_id")))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     benchmark = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
-    return _without(docs, contamination(docs, benchmark).filter("contaminated"))
+    keyed = _keyed(docs, "decontamination")
+    return _without(keyed, contamination(keyed, benchmark, id_col="row_key").filter("contaminated"))
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A document stands in the mix as often as it is copied, and not at all without a copy."""
-    copies = mix(docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.max("copies").alias("n_copies")).filter("n_copies > 0")
-    taken = docs.join(copies, docs["doc_id"].eqNullSafe(copies["mixed_id"]))
-    return taken.withColumn("nth_copy", F.explode(F.sequence(F.lit(1), "n_copies"))).select(*docs.columns)
+    """A row stands in the mix as often as it is copied, and not at all without a copy."""
+    keyed = _keyed(docs, "mixing-rows")
+    copies = mix(keyed, carry=["row_key"]).filter("copies > 0").select("row_key", "copies")
+    taken = keyed.join(copies, "row_key")
+    return taken.withColumn("nth_copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies"))).select(*docs.columns)
 
 
 def token_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -467,6 +467,41 @@ def test_pipeline_against_brute_force(spark, tmp_path, sf_dir):
     assert corpus_pipeline.run(spark, sf_dir).count() == kept.count()
 
 
+def test_pipeline_judges_rows_apart_from_their_ids(spark, tmp_path, sf_dir):
+    import corpus_pipeline
+
+    from softsplit.llm.mixing import mix
+
+    rng = random.Random(21)
+    prose = lambda n: " ".join("".join(rng.choices("abcdefghij", k=5)) for _ in range(n))
+    item = spark.read.parquet(f"{sf_dir}/benchmark.parquet").filter("length(text) > 80").first()["text"]
+    clean = [prose(60 + i) for i in range(6)]
+    copy, other, failing = prose(80), prose(90), "no"
+
+    def table(name, rows):
+        given = [(i, t, "en", "s", len(t)) for i, t in rows]
+        spark.createDataFrame(given, "doc_id long, text string, lang string, source string, n_chars long").repartition(2).write.parquet(str(tmp_path / name))
+        return spark.read.parquet(str(tmp_path / name))
+
+    def texts(df):
+        return sorted(r["text"] for r in df.collect())
+
+    docs = table("quality", [(None, failing), (7, failing), (7, clean[0]), *[(None, t) for t in clean[1:]]])
+    assert texts(corpus_pipeline.quality(spark, docs, sf_dir)) == sorted(clean)
+    docs = table("near", [(None, copy), (None, copy), (None, copy + " end"), (5, other), (5, other), (5, other + " end"), (9, other), (None, other), (None, ""), (None, "")])
+    got = corpus_pipeline.near_dedup(spark, docs, sf_dir).collect()
+    assert len(got) == 4 and sum(r["text"].startswith(copy) for r in got) == 1
+    assert [r["doc_id"] for r in got if r["text"].startswith(other)] == [5]
+    docs = table("decontamination", [(None, item), (4, prose(30) + " " + item), (4, clean[0]), *[(None, t) for t in clean[1:]]])
+    assert texts(corpus_pipeline.decontaminate(spark, docs, sf_dir)) == sorted(clean)
+    docs = table("mixing", [(None if i % 2 else 3, prose(20 + i)) for i in range(40)])
+    copies = mix(docs).collect()
+    assert len({r["copies"] for r in copies}) > 1
+    got = corpus_pipeline.mixing(spark, docs, sf_dir)
+    assert got.columns == docs.columns
+    assert Counter(r["text"].count(" ") + 1 for r in got.collect()) == Counter({r["size"]: r["copies"] for r in copies if r["copies"]})
+
+
 def _passes(t):
     ws = WORD.findall(t or "")
     grams = Counter(tuple(ws[j : j + 8]) for j in range(len(ws) - 7))
