@@ -152,22 +152,35 @@ def test_value(w: Workload, scored: DataFrame) -> float:
     return metrics.rmse(scored.withColumn("s", F.col("score")[0]), "s").first()["rmse"]
 
 
-def run_accuracy(ws: Sequence[Workload], rounds: int = 20, eta: float = 0.3, lam: float = 1.0, engine: str = "jobs", with_trees: bool = True) -> list[dict]:
-    """Rows (dataset, method, value, s_round) of the soft splitter and, on dense rows, both tree systems."""
+def _mapped(rows: DataFrame) -> DataFrame:
+    """Sparse rows with their names and values as the map that the tree systems read."""
+    return rows.withColumn("feats", F.map_from_arrays(F.col("codes").cast("array<string>"), F.col("vals")))
+
+
+def run_accuracy(
+    ws: Sequence[Workload], rounds: int = 20, eta: float = 0.3, lam: float = 1.0, engine: str = "jobs", with_trees: bool = True, depth: int = 6
+) -> list[dict]:
+    """Rows (dataset, method, value, s_round, rounds) of the soft splitter and both tree systems.
+
+    All three train the same rounds with the same eta and lam. Both tree systems search every value as a
+    split; trees have at most `depth` levels, or as many leaves as the splitter has cells.
+    """
     out = []
     for w in ws:
         train, test = w.train.persist(), w.test.persist()
         model = fit(train, w.spec, w.loss, rounds, lam, eta, w.classes, engine=engine)
         pace = statistics.fmean(h["wall_s"] for h in model.history[1:] or model.history)
-        out.append({"dataset": w.name, "method": "soft_split", "value": test_value(w, model.transform(test)), "s_round": pace})
-        if with_trees and w.spec.kind == "dense" and w.loss != "softmax":
+        out.append({"dataset": w.name, "method": "soft_split", "value": test_value(w, model.transform(test)), "s_round": pace, "rounds": rounds})
+        if with_trees:
+            same = {"kind": w.spec.kind, "rounds": rounds, "eta": eta, "lam": lam, "loss": w.loss, "classes": w.classes}
+            seen, asked = (_mapped(train), _mapped(test)) if w.spec.kind == "sparse" else (train, test)
             for method, made in (
-                ("depth_trees", lambda: trees.fit_gbdt_depth(train, depth=3, rounds=min(rounds, 3), loss=w.loss, candidates="hist", bins=16)),
-                ("leaf_trees", lambda: trees.fit_gbdt_leaf(train.withColumn("x", trees.to_bins("x", trees.quantile_bins(train, w.spec.m, 16))), leaves=8, rounds=min(rounds, 2), loss=w.loss)),
+                ("depth_trees", lambda: trees.fit_gbdt_depth(seen, depth=depth, **same)),
+                ("leaf_trees", lambda: trees.fit_gbdt_leaf(seen, leaves=w.spec.cells, **same)),
             ):
                 fitted = made()
                 pace = statistics.fmean(h["wall_s"] for h in fitted.history)
-                out.append({"dataset": w.name, "method": method, "value": test_value(w, fitted.transform(test)), "s_round": pace})
+                out.append({"dataset": w.name, "method": method, "value": test_value(w, fitted.transform(asked)), "s_round": pace, "rounds": len(fitted.trees)})
         train.unpersist()
         test.unpersist()
     return out

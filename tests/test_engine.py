@@ -255,3 +255,20 @@ def test_cost_measures():
     for t, s in enumerate((9.0, 1.0, 3.0)):
         timer(t, s)
     assert timer.summary() == {"mean_s": 2.0, "sd_s": pytest.approx(2**0.5), "rounds": 2}
+
+
+def test_accuracy_gives_all_methods_the_same_rounds(spark):
+    from softsplit.experiments import Workload, run_accuracy
+    from softsplit.functions import features
+    from softsplit.plans.kernel import Spec
+
+    rows = spark.range(40).selectExpr("id as rid", "array(cast(id % 7 as double), cast(id % 5 as double)) as x", "cast(id % 7 > 3 as double) as y").coalesce(1)
+    got = run_accuracy([Workload("d", rows, rows, Spec("dense", 4, 2), "logistic", "auc")], rounds=4, engine="local", depth=2)
+    assert [(r["method"], r["rounds"]) for r in got] == [("soft_split", 4), ("depth_trees", 4), ("leaf_trees", 4)]
+    assert [r["value"] for r in got[1:]] == [1.0, 1.0]
+    names = "array(named_struct('f', concat('a', id % 3), 'v', 1D), named_struct('f', concat('b', id % 2), 'v', 1D)) as names"
+    rows = spark.range(30).selectExpr("id as rid", names, "cast(id % 3 as double) as y").coalesce(1)
+    rows = rows.select("rid", *features.coded(rows["names"]), "y")
+    got = run_accuracy([Workload("s", rows, rows, Spec("sparse", 4), "softmax", "map", 3)], rounds=1, engine="local", depth=2)
+    assert [(r["method"], r["rounds"]) for r in got] == [("soft_split", 1), ("depth_trees", 1), ("leaf_trees", 1)]
+    assert [r["value"] for r in got[1:]] == [1.0, 1.0]
