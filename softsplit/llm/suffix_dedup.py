@@ -17,14 +17,43 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ._store import Workspace
-from ._text import _BASE, _CODE, _INVERSE, PIECE, mix, powers, raw, slices
+from ._text import PIECE, mix, raw, slices
 from .induced_sort import sort_suffixes
 from .near_dedup import _grouped
 
 GRAM = 32
+#: Odd multiplier of the rolling hash of GRAM bytes; 32 bytes are too few for sums of powers modulo 2**64 to cancel by form.
+_BASE = 0x9E3779B97F4A7C15
+_INVERSE = pow(_BASE, -1, 1 << 64)
+_CODE = np.random.default_rng(20240607).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
+_powers: dict[int, np.ndarray] = {}
 _PLACE = np.uint64((1 << 23) - 1)  # above the bytes of a piece
 
 
+def powers(base: int, n: int) -> np.ndarray:
+    """base**0 .. base**(n-1) modulo 2**64, kept and grown by doubling."""
+    have = _powers.get(base)
+    if have is None:
+        have = np.ones(1, np.uint64)
+    while len(have) < n:
+        step = np.uint64(pow(base, len(have), 1 << 64))
+        have = np.concatenate([have, have * step])
+    _powers[base] = have
+    return have[:n]
+
+
+def _segment_hashes(gram: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """A hash of each segment from those of its successive GRAM bytes, the last ones ending with it."""
+    h, k = mix(size.astype(np.uint64)), 0
+    live = np.arange(len(start))
+    while len(live):
+        place = np.minimum(start[live] + k, start[live] + size[live] - GRAM)
+        h[live] = mix(h[live] * np.uint64(0xC2B2AE3D27D4EB4F) ^ gram[place])
+        k += GRAM
+        live = live[size[live] > k]
+    return h
+
+
 def _sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     """Minimum of each `width` successive values."""
     have, out = 1, values
@@ -65,7 +94,7 @@ def segments_of(buf: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.nd
             ends[:-1] &= new[1:] | ~valid[1:]
             count = np.flatnonzero(ends) + 1 - start
             size = count + width - 1
-            text = mix((sums[start + size] - sums[start]) * back[start] + size.astype(np.uint64))
+            text = _segment_hashes(gram, start, size)
             out.append((row[start], start + at - offsets[row[start]], count, gram[last_least[start].astype(np.int64)], text))
         at = stop
     if not out:

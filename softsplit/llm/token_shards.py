@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ._store import Workspace, shuffle_partitions
-from ._text import _BASE, _CODE, _INVERSE, mix, powers, raw, slices
+from ._text import _LOW, eights, raw, slices, span_hashes
 
 MAGIC = b"WVMX1\n"
 BLOCK = 512  # bits of a rank block
@@ -259,10 +259,12 @@ class Encoder:
     """Ids of whole texts by a byte-level BPE file of the tokenizers library, with a memory for pieces.
 
     The tokenizer parts a text into pieces first and encodes each on its own. Texts of characters below
-    U+0500 are parted here in blocks, and each distinct piece, told by a 64-bit hash, is encoded once; other
-    texts, and texts that may hold a special token or odd white space, are encoded whole.
+    U+0500 are parted here in blocks, and each distinct piece, found by a 64-bit hash and compared byte by
+    byte, is encoded once; other texts, and texts that may hold a special token or odd white space, are
+    encoded whole.
     """
 
+    hashes = staticmethod(span_hashes)
     _made: dict[str, Encoder] = {}
 
     def __init__(self, path: str, most: int = 1_200_000):
@@ -284,17 +286,36 @@ class Encoder:
     def _forget(self) -> None:
         self.known = PieceTable()
         self.flat, self.first = np.zeros(0, np.uint32), np.zeros(1, np.int64)
+        self.bytes, self.place = np.zeros(0, np.uint8), np.zeros(1, np.int64)
 
-    def _learn(self, hashes: np.ndarray, text: bytes, start: np.ndarray, end: np.ndarray) -> None:
-        found, sizes = [], []
-        for at in range(0, len(hashes), 64):  # short lists are the fastest
+    def _learn(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray) -> None:
+        """Encodes pieces and keeps their ids and bytes, numbered on from those kept."""
+        found, sizes, text = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)], buf.tobytes()
+        for at in range(0, len(start), 64):  # short lists are the fastest
             part = [text[a:b].decode() for a, b in zip(start[at : at + 64].tolist(), end[at : at + 64].tolist())]
             got = self.tokenizer.encode(part, is_pretokenized=True, add_special_tokens=False)
             found.append(np.array(got.ids, np.uint32))
             sizes.append(np.bincount(np.array(got.word_ids, np.int64), minlength=len(part)))
-        self.known.add(hashes)
         self.flat = np.concatenate([self.flat, *found])
         self.first = np.concatenate([self.first, self.first[-1] + np.cumsum(np.concatenate(sizes))])
+        size = end - start
+        done = np.concatenate([[0], np.cumsum(size)])
+        self.bytes = np.concatenate([self.bytes, buf[np.repeat(start - done[:-1], size) + np.arange(done[-1])]])
+        self.place = np.concatenate([self.place, self.place[-1] + done[1:]])
+
+    def _equal(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray, k: np.ndarray) -> np.ndarray:
+        """Whether each piece has the bytes of the known piece k."""
+        size = end - start
+        at, own, begin = eights(buf), eights(self.bytes), self.place[k]
+        same = size == self.place[k + 1] - begin
+        live, back = np.flatnonzero(same), 0
+        while len(live):
+            low = _LOW[np.minimum(size[live] - back, 8)]
+            equal = (at[start[live] + back] ^ own[begin[live] + back]) & low == 0
+            same[live[~equal]] = False
+            back += 8
+            live = live[equal & (size[live] > back)]
+        return same
 
     def _blocks(self, buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of texts fit for parting here, and each text's number of ids."""
@@ -306,17 +327,21 @@ class Encoder:
         fresh = np.zeros(len(buf), bool)
         fresh[offsets[:-1][sizes > 0]] = True
         start = piece_starts(buf, fresh, self.classes)
-        sums = np.zeros(len(buf) + 1, np.uint64)
-        np.cumsum(_CODE[buf] * powers(_BASE, len(buf)), out=sums[1:])
         end = np.append(start[1:], len(buf))
-        h = mix((sums[end] - sums[start]) * powers(_INVERSE, len(buf))[start]) | np.uint64(1)
+        h = self.hashes(buf, start, end) | np.uint64(1)
         k = self.known.find(h)
         unknown = np.flatnonzero(k < 0)
         if len(unknown):
             new, first = np.unique(h[unknown], return_index=True)
             at = unknown[first]
-            self._learn(new, buf.tobytes(), start[at], end[at])
+            self._learn(buf, start[at], end[at])
+            self.known.add(new)
             k[unknown] = self.known.find(h[unknown])
+        other = np.flatnonzero(~self._equal(buf, start, end, k))
+        if len(other):  # the hash of another piece: numbers of their own, out of the table
+            self._learn(buf, start[other], end[other])
+            k[other] = np.arange(self.known.n, self.known.n + len(other))
+            self.known.n += len(other)
         head, size = self.first[k], self.first[k + 1] - self.first[k]
         done = np.concatenate([[0], np.cumsum(size)])
         ids = self.flat[np.repeat(head - done[:-1], size) + np.arange(done[-1])]

@@ -10,6 +10,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 FOLD = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -512,3 +513,76 @@ def _passes(t):
 def _shingles(t):
     ws = folded(t)
     return {tuple(ws[j : j + 5]) for j in range(len(ws) - 4)} if len(ws) >= 5 else {tuple(ws)}
+
+
+def _doubled(n):
+    """Words of n letters a and b whose sums of powers modulo 2**64 are equal: a doubling word and its complement."""
+    one = "".join("ab"[k.bit_count() & 1] for k in range(n))
+    return one, one.translate(str.maketrans("ab", "ba"))
+
+
+@pytest.mark.parametrize("n", [64, 256, 1024, 2048])
+def test_words_that_break_sums_of_powers_stay_apart(spark, n):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from softsplit.llm.host_rules import host_quality
+    from softsplit.llm.maxent import score_texts
+    from softsplit.llm.near_dedup import near_components
+    from softsplit.llm.suffix_dedup import remove_repeats
+    from softsplit.llm.token_shards import token_files
+
+    x, y = _doubled(n)
+    tail = " one two three four five six seven"
+    rows = [(1, x), (2, y), (3, x + tail + " " + y + tail), (4, x)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("source", F.lit("s"))
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    got = _by_id(token_files(df))
+    for i, t in rows:
+        ids = tok.encode(t, add_special_tokens=False).ids + [0]
+        assert got[i]["ids_crc32"] == zlib.crc32(np.array(ids, "<u4").tobytes())
+    assert {i: r["component_id"] for i, r in _by_id(near_components(df)).items()} == {1: 1, 2: 2, 3: 3, 4: 1}
+    assert {r["n_repeat_words"] for r in host_quality(df).collect()} == {0}
+    known = _by_id(score_texts(df, folds=7))
+    assert sum(r["n_tokens"] for r in known.values()) == 1 + 1 + 16 + 1 + 4
+    left, want = _by_id(remove_repeats(df)), _removed(rows)
+    assert {i: r["n_removed"] for i, r in left.items()} == want
+
+
+def _removed(rows):
+    seen, out = set(), {}
+    for i, t in rows:
+        x = (t or "").encode()
+        gone = bytearray(len(x))
+        for j in range(len(x) - 99):
+            if x[j : j + 100] in seen:
+                gone[j : j + 100] = b"\1" * 100
+            seen.add(x[j : j + 100])
+        out[i] = sum(gone)
+    return out
+
+
+def test_pieces_that_share_a_hash_are_told_by_their_bytes():
+    import public_tokenizers
+
+    from softsplit.llm.token_shards import Encoder
+
+    encoder = Encoder(public_tokenizers.path("byte_bpe_50k.json"))
+    encoder.hashes = lambda buf, start, end: (end - start).astype(np.uint64) << np.uint64(1)
+    texts = ["some words here, others there; some words here", "more words there, and the like of those", "", "a b c d"]
+    for _ in range(2):
+        ids, sizes = encoder.encode(pa.array(texts))
+        want = [encoder.tokenizer.encode(t, add_special_tokens=False).ids + [0] for t in texts]
+        assert ids.tolist() == sum(want, []) and sizes.tolist() == [len(w) for w in want]
+
+
+def test_text_of_very_many_pieces_ends():
+    import public_tokenizers
+
+    from softsplit.llm.token_shards import Encoder
+
+    encoder = Encoder(public_tokenizers.path("byte_bpe_50k.json"))
+    text = " ".join(f"{i:x}" for i in range(1 << 20, (1 << 20) + 1_200_000))
+    ids, sizes = encoder.encode(pa.array([text]))
+    assert sizes.tolist() == [len(ids)] and ids[-1] == 0
+    assert ids[:200].tolist() == encoder.tokenizer.encode(text[:2000], add_special_tokens=False).ids[:200]
