@@ -34,7 +34,6 @@ def _repeat_words(hashes: np.ndarray, width: int) -> int:
     return int((np.cumsum(edge) > 0).sum())
 
 
-
 def measure(column: pa.Array, width: int = 8) -> dict[str, np.ndarray]:
     """The rule measures of each text; a null text has none of anything."""
     buf, offsets = raw(column)
@@ -86,13 +85,15 @@ def more_rules() -> dict[str, F.Column]:
     }
 
 
-def host_verdicts(measured: DataFrame, host_col: str, least_rate: float) -> DataFrame:
+def host_verdicts(measured: DataFrame, host_col: str, most_rate: float, least_bound: float, times: float, most_strength: float) -> DataFrame:
     """A row for each host: documents, failures, shrunk failure rate and verdict.
 
-    The prior of the hosts' failure rates is a beta distribution fitted by moments over the hosts,
-    each with its own weight of one. With m and v the mean and variance of the rates, less the mean
-    binomial variance of a rate, its strength is m(1-m)/v - 1, held between 1 and 1e6. The shrunk rate
-    is (failures + strength*m) / (documents + strength), and a host is rejected above `least_rate`.
+    The prior of the hosts' failure rates is a beta distribution fitted by moments over the hosts, each
+    with a weight of one. With m and v the mean and variance of the rates, less the mean binomial variance
+    of a rate, its strength is m(1-m)/v - 1, held between 1 and `most_strength` documents: hosts that are
+    alike give no upper limit of their own. The posterior of a host is a beta distribution with mean
+    (failures + strength*m) / (documents + strength). A host is rejected when the posterior mean less two
+    posterior deviations is above `times` the prior mean, a bound held between `least_bound` and `most_rate`.
     """
     by_host = measured.groupBy(F.col(host_col).alias("host")).agg(
         F.count(F.lit(1)).alias("n"), F.sum(F.col("failed").cast("long")).alias("bad")
@@ -100,13 +101,16 @@ def host_verdicts(measured: DataFrame, host_col: str, least_rate: float) -> Data
     rate = F.col("bad") / F.col("n")
     prior = by_host.agg(F.avg(rate).alias("m"), F.var_pop(rate).alias("v"), F.avg(rate * (1 - rate) / F.col("n")).alias("noise"))
     spare = F.greatest(F.col("v") - F.col("noise"), F.lit(1e-9))
-    strength = F.least(F.greatest(F.col("m") * (1 - F.col("m")) / spare - 1, F.lit(1.0)), F.lit(1e6))
+    strength = F.least(F.greatest(F.col("m") * (1 - F.col("m")) / spare - 1, F.lit(1.0)), F.lit(float(most_strength)))
     prior = prior.select("m", strength.alias("strength"))
     shrunk = (F.col("bad") + F.col("strength") * F.col("m")) / (F.col("n") + F.col("strength"))
+    rate = F.col("host_rate")
+    sure = rate - 2 * F.sqrt(rate * (1 - rate) / (F.col("n") + F.col("strength") + 1))
+    bound = F.least(F.greatest(times * F.col("m"), F.lit(least_bound)), F.lit(most_rate))
     return (
         by_host.join(F.broadcast(prior))  # one row
-        .select("host", "n", "bad", shrunk.alias("host_rate"))
-        .withColumn("host_ok", F.col("host_rate") <= least_rate)
+        .withColumn("host_rate", shrunk)
+        .select("host", "n", "bad", "host_rate", (sure <= bound).alias("host_ok"))
     )
 
 
@@ -115,16 +119,20 @@ def host_quality(
     id_col: str = "doc_id",
     text_col: str = "text",
     host_col: str = "source",
-    reject_rate: float = 0.5,
+    most_rate: float = 0.5,
+    least_bound: float = 0.25,
+    times: float = 3.0,
+    most_strength: float = 1000.0,
     small_hosts: int = 100_000,
 ) -> DataFrame:
     """Measures, base rule and verdict of each document.
 
     Every row of `docs` gives one row, repeated rows too. A null text has no words and fails; a null
     host is a host of its own; an empty table gives no rows; other columns are not read. A document
-    is kept when it passes the base rule and its host's shrunk failure rate, over the base rule and
-    `more_rules`, is at most `reject_rate`. Host rows are counted: at most `small_hosts` of them are
-    broadcast, more are joined by shuffle.
+    is kept when it passes the base rule and its host is not rejected by `host_verdicts` over the base
+    rule and `more_rules`. Host rows are counted: at most `small_hosts` of them are broadcast, more are
+    joined by shuffle. Equal rates tie at the bound and are kept; a text is measured in one task, with work
+    arrays of about 30 bytes for each of its bytes.
     """
     ws = Workspace(docs.sparkSession, "host-rules")
     df = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(host_col).alias("host_in"))
@@ -134,7 +142,7 @@ def host_quality(
     for rule in more_rules().values():
         any_rule = any_rule | rule
     measured = ws.save(measured.withColumn("failed", any_rule), "measured")
-    hosts = ws.save(host_verdicts(measured, "host_in", reject_rate), "hosts")
+    hosts = ws.save(host_verdicts(measured, "host_in", most_rate, least_bound, times, most_strength), "hosts")
     side = F.broadcast(hosts) if hosts.count() <= small_hosts else hosts
     return measured.join(side, F.col("host_in").eqNullSafe(F.col("host")), "left").select(
         "doc_id",

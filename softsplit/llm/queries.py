@@ -123,10 +123,10 @@ h AS (
   SELECT source, count(*) AS n, sum((base_failed OR word_chars < 2 * p OR word_chars > 14 * p
     OR 10 * n_symbols > p OR n_dup_lines >= 10)::INT) AS bad FROM f GROUP BY source),
 q AS (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v, avg(bad / n * (1 - bad / n) / n) AS noise FROM h),
-k AS (SELECT m, least(greatest(m * (1 - m) / greatest(v - noise, 1e-9) - 1, 1.0), 1e6) AS s FROM q),
-v AS (SELECT source, (bad + s * m) / (n + s) AS rate FROM h, k)
+k AS (SELECT m, least(greatest(m * (1 - m) / greatest(v - noise, 1e-9) - 1, 1.0), 1000.0) AS s FROM q),
+v AS (SELECT source, (bad + s * m) / (n + s) AS rate, n + s + 1 AS weight, least(greatest(3.0 * m, 0.25), 0.5) AS bound FROM h, k)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  (NOT base_failed AND rate <= 0.5) AS kept, round(rate, 6) AS host_rate
+  (NOT base_failed AND rate - 2 * sqrt(rate * (1 - rate) / weight) <= bound) AS kept, round(rate, 6) AS host_rate
 FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source
 """
 
