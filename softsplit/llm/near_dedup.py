@@ -1,10 +1,16 @@
 """MinHash near-dedup: chosen-path set similarity join over word shingles.
 
-Documents branch by selected minwise tokens of their shingle sets. A node of a tree holds the documents
-that chose the same token path; a large node branches again by further tokens, a small one is compared
-exhaustively (on minwise signatures), and independent trees repeat this, so that a pair at the threshold
-0.75 is missed by all eight first levels with probability 0.25**8. What the nodes propose only groups
+Each of eight trees starts from a minwise token of the shingle set under a hash of its own. A node holds the
+documents that chose the same token path. A node of more than a few hundred documents branches: it draws
+places of the minwise signature afresh from its own name, and a document goes to the child of its token at
+each of them. Smaller nodes are compared exhaustively on signatures. A pair at 0.75 shares a root node with
+0.75 and at least one child of a node with 1 - 0.25**3, so with three levels all eight trees miss it with
+probability 5e-5; of pairs in one node, 3e-6 fall short on the signature. What the nodes propose only groups
 documents into clusters; inside a cluster all links are found on full shingle sets.
+
+Groups that stay large, nodes at the last level and clusters, are not taken into one task. All their rows
+are compared with the row of the smallest id. Those near it are one component, so only the others need more
+comparisons, among themselves and with all, in pairs of blocks.
 """
 
 from __future__ import annotations
@@ -26,6 +32,8 @@ _SIGN_KEYS = _rng.integers(1, 2**63, SIGNATURE, dtype=np.uint64) * np.uint64(2)
 #: Equal signature places of 64 that make a pair worth a comparison of full sets. A pair at similarity
 #: 0.75 has fewer than this with probability 3e-6.
 LEAST_EQUAL = 32
+#: Heads of large groups that are broadcast at most, by number and by the bytes they carry.
+SMALL_HEADS, SMALL_HEAD_BYTES = 100_000, 32 << 20
 
 
 def shingle_sets(column: pa.Array, width: int = 5) -> Iterator[np.ndarray]:
@@ -77,31 +85,24 @@ def describe(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def grow_trees(sets: DataFrame, ws: Workspace, most: int, depth: int) -> tuple[DataFrame, DataFrame | None]:
-    """Nodes (node, uid, sign) of at most `most` documents, and those still larger at the last level."""
-    rows = sets.select("uid", "sign", F.posexplode("keys").alias("tree", "key")).select(
-        F.xxhash64("tree", "key").alias("node"), "tree", "uid", "sign"
-    )
+def grow_trees(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3) -> tuple[DataFrame, DataFrame | None]:
+    """Nodes (node, uid, sign) of at most `most` documents, and those still larger after `depth` levels of branching."""
+    rows = sets.select("uid", "sign", F.posexplode("keys").alias("tree", "key")).select(F.xxhash64("tree", "key").alias("node"), "uid", "sign")
     done, level = [], 0
     while True:
         large = ws.save(rows.groupBy("node").count().filter(F.col("count") > most).select("node"), f"large{level}")
         n_large = large.count()
         if not n_large:
-            return _union([*done, rows.select("node", "uid", "sign")]), None
+            return _union([*done, rows]), None
         side = F.broadcast(large) if n_large <= 100_000 else large
         done.append(rows.join(side, "node", "left_anti").select("node", "uid", "sign"))
         rows = rows.join(side, "node", "left_semi")
         if level == depth:
             return _union(done), rows.select("node", "uid", "sign")
-        # two more tokens of the signature each: a pair at 0.75 stays together in one child or both with 0.94
-        place = [F.pmod(F.col("tree") * 7 + 2 * level + j, F.lit(SIGNATURE)) for j in (0, 1)]
-        picks = F.array(*[F.struct(F.lit(j).alias("j"), F.substring("sign", 2 * p + 1, 2).alias("token")) for j, p in enumerate(place)])
-        rows = ws.save(
-            rows.withColumn("pick", F.explode(picks)).select(
-                F.xxhash64("node", "pick.j", "pick.token").alias("node"), "tree", "uid", "sign"
-            ),
-            f"level{level}",
-        )
+        place = [F.pmod(F.xxhash64("node", F.lit(j)), F.lit(SIGNATURE)).cast("int") for j in range(picks)]
+        chosen = F.array(*[F.struct(p.alias("place"), F.substring("sign", 2 * p + 1, 2).alias("token")) for p in place])
+        rows = rows.withColumn("pick", F.explode(F.array_distinct(chosen)))
+        rows = ws.save(rows.select(F.xxhash64("node", "pick.place", "pick.token").alias("node"), "uid", "sign"), f"level{level}")
         level += 1
 
 
@@ -171,13 +172,47 @@ def propose(nodes: DataFrame) -> DataFrame:
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*out)], names=["a", "b"])
 
-    in_reach = nodes.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("node"))).filter("n > 1")
+    in_reach = nodes.repartition("node").withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("node"))).filter("n > 1")
     ordered = in_reach.select("node", "uid", "sign").sortWithinPartitions("node", "uid")
     return ordered.mapInArrow(run, "a long, b long")
 
 
+def near_head_signs(rows: DataFrame) -> DataFrame:
+    """(node, uid, head, sign, near): whether the signature has LEAST_EQUAL places in common with the head's."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            one, two = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(-1, SIGNATURE) for c in ("sign", "head_sign"))
+            cols = [batch.column(c) for c in ("node", "uid", "head", "sign")]
+            yield pa.RecordBatch.from_arrays([*cols, pa.array((one == two).sum(1) >= LEAST_EQUAL)], names=["node", "uid", "head", "sign", "near"])
+
+    return rows.mapInArrow(run, "node long, uid long, head long, sign binary, near boolean")
+
+
+def near_head_texts(rows: DataFrame, percent: int, width: int) -> DataFrame:
+    """(cluster, uid, head, text, near): whether the full set is linked with the head's."""
+    names = ["cluster", "uid", "head", "text", "near"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: tuple = (None, None)
+        for whole in batches:
+            for batch in slices(whole, "text"):
+                head, near = batch.column("head").to_numpy(), np.zeros(batch.num_rows, bool)
+                for i, own in enumerate(shingle_sets(batch.column("text"), width)):
+                    if known[0] != head[i]:
+                        known = head[i], next(shingle_sets(batch.column("head_text").slice(i, 1), width))
+                    if not len(own) or not len(known[1]):
+                        continue
+                    place = np.minimum(np.searchsorted(known[1], own), len(known[1]) - 1)
+                    both = int((known[1][place] == own).sum())
+                    near[i] = 100 * both >= percent * (len(own) + len(known[1]) - both)
+                yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in names[:4]], pa.array(near)], names=names)
+
+    return rows.select("cluster", "uid", "head", "text", "head_text").mapInArrow(run, "cluster long, uid long, head long, text string, near boolean")
+
+
 def in_blocks(rows: DataFrame, group: str, uid: str, most: int) -> DataFrame:
-    """Splits each large group into blocks and gives every pair of blocks a group of its own.
+    """Splits each group into blocks and gives every pair of blocks a group of its own.
 
     All pairs of a group's rows still meet, in tasks of bounded size; no pair is made here.
     """
@@ -189,6 +224,39 @@ def in_blocks(rows: DataFrame, group: str, uid: str, most: int) -> DataFrame:
     return rows.filter("blocks = 1 or other != own").withColumn(group, pair).drop("blocks", "own", "other")
 
 
+def _between(one: DataFrame, two: DataFrame, group: str, most: int) -> DataFrame:
+    """A group for each pair of a block of one and a block of two of the same group: all pairs between them meet."""
+    size = lambda df, name: df.groupBy(group).agg(F.ceil(F.count(F.lit(1)) / most).cast("int").alias(name))
+    sizes = size(one, "n1").join(size(two, "n2"), group)
+
+    def dealt(df: DataFrame, own: str, other: str, turn: bool) -> DataFrame:
+        df = df.join(sizes, group).withColumn("i", F.pmod(F.xxhash64("uid"), F.col(own)).cast("int"))
+        df = df.withColumn("j", F.explode(F.sequence(F.lit(0), F.col(other) - 1)))
+        return df.withColumn(group, F.xxhash64(group, F.lit("between"), "j" if turn else "i", "i" if turn else "j")).drop("n1", "n2", "i", "j")
+
+    return dealt(one, "n1", "n2", False).unionByName(dealt(two, "n2", "n1", True))
+
+
+def links_in_large_groups(rows: DataFrame, group: str, carried: str, near, solve, ws: Workspace, name: str, most: int) -> DataFrame:
+    """Links (a, b) that span the components inside groups too large for a task. rows: group, uid and the column `carried`.
+
+    near(rows with head and head_carried) adds whether a row is linked with its head; solve finds spanning
+    links inside groups. Rows linked with the head are one component and are not compared with each other.
+    """
+    first = rows.groupBy(group).agg(F.min("uid").alias("head"))
+    heads = rows.join(F.broadcast(first) if first.count() <= SMALL_HEADS else first, group).filter("uid = head")
+    heads = ws.save(heads.select(group, "head", F.col(carried).alias(f"head_{carried}")), f"{name}-heads")
+    weight = heads.agg(F.coalesce(F.sum(F.octet_length(f"head_{carried}")), F.lit(0))).first()[0]
+    side = F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads
+    told = ws.save(near(rows.join(side, group)), f"{name}-told")
+    core = told.filter("near").drop("near", "head")
+    left = told.filter("not near").drop("near", "head")
+    links = told.filter("near and uid != head").select(F.col("head").alias("a"), F.col("uid").alias("b"))
+    if left.isEmpty():
+        return links
+    return links.unionByName(solve(_between(left, core, group, most))).unionByName(solve(in_blocks(left, group, "uid", most)))
+
+
 def components(links: DataFrame, ws: Workspace, name: str) -> DataFrame:
     """(id, component): the smallest id that each id of a link can reach.
 
@@ -279,9 +347,9 @@ def near_components(
     text_col: str = "text",
     percent: int = 75,
     width: int = 5,
-    node_size: int = 20_000,
-    depth: int = 4,
-    cluster_size: int = 20_000,
+    node_size: int = 256,
+    depth: int = 3,
+    cluster_size: int = 512,
     small_members: int = 1_000_000,
 ) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of each document.
@@ -291,8 +359,9 @@ def near_components(
     stay alone. Rows are keyed by `id_col`: a null id gives a row of its own with a null component and
     kept true, rows that repeat an id are linked like other documents and share its component. Equal
     sets collapse to their smallest id before any comparison. Other columns are not read; an empty table
-    gives no rows. A node or cluster larger than its limit is compared in pairs of blocks, not cut.
-    Up to `small_members` cluster members are broadcast to fetch their texts, more are joined by shuffle.
+    gives no rows. A node of more than `node_size` sets branches, `depth` times at most; nodes that stay
+    larger and clusters above `cluster_size` are compared by `links_in_large_groups`, not cut. A text is
+    handled in one task, with work arrays of about 30 bytes for each of its bytes. Up to `small_members` cluster members are broadcast to fetch their texts, more are joined by shuffle.
     """
     ws = Workspace(docs.sparkSession, "near-dedup")
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
@@ -302,15 +371,20 @@ def near_components(
     classes = ws.save(_with_class(known.select("doc_id", "h1", "h2", "keys", "sign"), same), "classes")
     alone = classes.filter("doc_id = uid").select("uid", "keys", "sign")
     nodes, large = grow_trees(alone, ws, node_size, depth)
-    links = propose(nodes.repartition("node"))
+    links = propose(nodes)
     if large is not None:
-        links = links.unionByName(propose(in_blocks(large, "node", "uid", node_size).repartition("node")))
+        links = links.unionByName(links_in_large_groups(large, "node", "sign", near_head_signs, propose, ws, "nodes", 4 * node_size))
     clusters = components(links, ws, "near").select(F.col("id").alias("uid"), F.col("component").alias("cluster"))
     clusters = ws.save(clusters, "clusters")
-    side = F.broadcast(clusters) if clusters.count() <= small_members else clusters
-    members = texts.join(side, F.col("doc_id") == F.col("uid")).select("cluster", "uid", "text")
-    members = _limited(members, clusters, cluster_size)
-    true_links = confirm(members, percent, width)
+    big = clusters.groupBy("cluster").count().filter(F.col("count") > cluster_size).select("cluster")
+    some_big = big.count()
+    true_links = confirm(_members(texts, clusters.join(big, "cluster", "left_anti") if some_big else clusters, small_members), percent, width)
+    if some_big:
+        whole = ws.save(_members(texts, clusters.join(big, "cluster", "left_semi"), small_members), "large-clusters")
+        near = lambda rows: near_head_texts(rows, percent, width)
+        solve = lambda rows: confirm(rows, percent, width)
+        true_links = true_links.unionByName(links_in_large_groups(whole, "cluster", "text", near, solve, ws, "clusters-by-head", cluster_size))
+    true_links = ws.save(true_links, "linked")
     copies = classes.filter("doc_id != uid").select(F.col("uid").alias("a"), F.col("doc_id").alias("b"))
     found = components(true_links, ws, "true")
     reps = classes.select("doc_id", "uid").distinct()
@@ -329,7 +403,7 @@ def near_components(
     )
 
 
-def _limited(members: DataFrame, clusters: DataFrame, most: int) -> DataFrame:
-    if clusters.groupBy("cluster").count().filter(F.col("count") > most).isEmpty():
-        return members
-    return in_blocks(members, "cluster", "uid", most)
+def _members(texts: DataFrame, clusters: DataFrame, small: int) -> DataFrame:
+    """(cluster, uid, text) of the representatives in clusters."""
+    side = F.broadcast(clusters) if clusters.count() <= small else clusters
+    return texts.join(side, F.col("doc_id") == F.col("uid")).select("cluster", "uid", "text")
