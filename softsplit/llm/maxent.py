@@ -8,7 +8,11 @@ token inside its group from corpus counts with one added:
 
 where the last factor leaves 1 / (N_group + V_group + 1) for tokens of the group never seen, so the
 probabilities of a group sum to one over its known tokens and one unknown. Weights are trained by
-gradient steps in every task and averaged, row by row, by how often each row was used.
+gradient steps in blocks of texts and averaged, row by row, by how often each row was used.
+
+Counts are made by one shuffle of tokens that are counted before it. Frequent tokens, of which there are
+fewer than a fixed number, are broadcast with their counts; the others meet their counts by a join, in
+which no token has more rows than an equal share of all tokens.
 """
 
 from __future__ import annotations
@@ -20,9 +24,10 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F
 
-from ._store import Workspace, shuffle_partitions
+from ._store import Workspace
 from ._text import raw, slices, words
 from .langid import crc_fold
+from .near_dedup import _runs
 
 CLASS_BITS = GROUP_BITS = 5
 C, G = 1 << CLASS_BITS, 1 << GROUP_BITS
@@ -33,6 +38,8 @@ ROWS = 1 + 3 * N_FEATURES + (C << GROUP_FEATURE_BITS)
 END, BEGIN = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 _MULTIPLIERS = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD)]
 STEP = 1 << 14  # tokens of a gradient step
+#: Frequent tokens are those that make up at least this share of all; so there are at most as many.
+FREQUENT = 1 << 19
 
 
 def tokens_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -119,38 +126,71 @@ def context_score(table: np.ndarray, tok: np.ndarray, one: np.ndarray, two: np.n
     return out
 
 
-def train(learn: DataFrame, rounds: int = 2, rate: float = 0.4, most: float = 2.0, blocks: int = 64) -> np.ndarray:
+def train(learn: DataFrame, rounds: int = 2, rate: float = 0.4, most: float = 2.0, pieces: int = 64, block_bytes: int = 24 << 20) -> np.ndarray:
     """The weight table (ROWS x C) after `rounds` rounds, each over its own fold of the rows (doc_id, text).
 
-    Every row is used once. A task sends its table in blocks, rows weighted by use; sums of blocks are
-    made by block and only the finished table, of a size set by the constants, reaches the driver.
+    A row's block is drawn by hash of id and text, and there is a block for each `block_bytes` of a round's
+    texts, so neither cores nor partitions change the result. A block starts from the last round's weights
+    and goes through its texts in order of id. It sends its table in pieces, rows weighted by use; sums are
+    made by piece and only the finished table, of a size set by the constants, reaches the driver.
     """
     spark = learn.sparkSession
-    tasks = 2 * spark.sparkContext.defaultParallelism
-    size = -(-ROWS // blocks)
+    size = -(-ROWS // pieces)
     table = np.zeros((ROWS, C), np.float32)
+    place = F.xxhash64("doc_id", "text")
+    weight = learn.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(1, round(weight / rounds / block_bytes))
+    dealt = learn.select("doc_id", "text", F.pmod(place, F.lit(rounds)).alias("fold"), F.pmod(F.shiftright(place, 8), F.lit(blocks)).alias("block"))
 
     for k in range(rounds):
         shared = spark.sparkContext.broadcast(table)
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def learn_blocks(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            def texts_of(batch_runs: Iterator[tuple[int, pa.RecordBatch]]) -> Iterator[tuple[int, pa.Array | None]]:
+                """Texts of each block in slices that depend on the block's rows alone, and None after a block."""
+                now, held, weight = None, [], 0
+                for block, run in batch_runs:
+                    if now is not None and block != now:
+                        yield from ((now, x.column("text")) for x in slices(_joined(held), "text"))
+                        yield now, None
+                        held, weight = [], 0
+                    now = block
+                    held.append(run)
+                    weight += run.nbytes
+                    if weight > 8 << 20:
+                        parts = list(slices(_joined(held), "text"))
+                        yield from ((now, x.column("text")) for x in parts[:-1])
+                        held, weight = [parts[-1]], 0
+                if now is not None:
+                    yield from ((now, x.column("text")) for x in slices(_joined(held), "text"))
+                    yield now, None
+
+            def runs() -> Iterator[tuple[int, pa.RecordBatch]]:
+                for batch in batches:
+                    if batch.num_rows:
+                        block = batch.column("block").to_numpy()
+                        at = _runs(block)
+                        for a, b in zip(at[:-1], at[1:]):
+                            yield int(block[a]), batch.slice(a, b - a)
+
             own, used = shared.value.copy(), np.zeros(ROWS, np.float32)
-            for whole in batches:
-                for batch in slices(whole, "text"):
-                    descend(own, used, batch.column("text"), rate, most)
-            if used[0]:
-                for b in range(blocks):
+            for _, texts in texts_of(runs()):
+                if texts is not None:
+                    descend(own, used, texts, rate, most)
+                    continue
+                for b in range(pieces):
                     part = slice(b * size, (b + 1) * size)
                     sent = (own[part] - shared.value[part]) * used[part, None]
                     yield pa.RecordBatch.from_arrays(
                         [pa.array([b], pa.int32()), pa.array([used[part].tobytes()], pa.binary()), pa.array([sent.tobytes()], pa.binary())],
-                        names=["block", "used", "sent"],
+                        names=["piece", "used", "sent"],
                     )
+                own, used = shared.value.copy(), np.zeros(ROWS, np.float32)
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, list[np.ndarray]] = {}
             for batch in batches:
-                for b, used, sent in zip(*(batch.column(c).to_pylist() for c in ("block", "used", "sent"))):
+                for b, used, sent in zip(*(batch.column(c).to_pylist() for c in ("piece", "used", "sent"))):
                     u, s = np.frombuffer(used, np.float32), np.frombuffer(sent, np.float32)
                     if b in sums:
                         sums[b][0] += u
@@ -159,172 +199,137 @@ def train(learn: DataFrame, rounds: int = 2, rate: float = 0.4, most: float = 2.
                         sums[b] = [u.astype(np.float64), s.astype(np.float64)]
             for b, (u, s) in sums.items():
                 mean = (s.reshape(-1, C) / np.maximum(u, 1)[:, None]).astype(np.float32)
-                yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([mean.tobytes()], pa.binary())], names=["block", "sent"])
+                yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([mean.tobytes()], pa.binary())], names=["piece", "sent"])
 
-        fold = learn.filter(F.pmod(F.xxhash64("doc_id"), F.lit(rounds)) == k)
-        sent = fold.select("text").coalesce(tasks).mapInArrow(run, "block int, used binary, sent binary")
+        fold = dealt.filter(F.col("fold") == k).select("doc_id", "text", "block").repartition(blocks, "block")
+        sent = fold.sortWithinPartitions("block", "doc_id", "text").mapInArrow(learn_blocks, "piece int, used binary, sent binary")
         table = table.copy()
-        for r in sent.repartition(min(blocks, shuffle_partitions(spark)), "block").mapInArrow(add, "block int, sent binary").collect():
-            rows = slice(r["block"] * size, (r["block"] + 1) * size)
+        for r in sent.repartition(pieces, "piece").mapInArrow(add, "piece int, sent binary").collect():
+            rows = slice(r["piece"] * size, (r["piece"] + 1) * size)
             table[rows] += np.frombuffer(r["sent"], np.float32).reshape(-1, C)
         shared.unpersist()
     return table
 
 
-_PACKED = "part int, slice long, a binary, b binary, c binary, d binary, e binary"
+def _joined(batches: list[pa.RecordBatch]) -> pa.RecordBatch:
+    return batches[0] if len(batches) == 1 else pa.Table.from_batches(batches).combine_chunks().to_batches()[0]
 
 
-def _packed(rows: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.int32(), pa.int64(), *[pa.binary()] * 5)
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=["part", "slice", *"abcde"])
+def count_tokens(docs: DataFrame) -> DataFrame:
+    """(token, c, n): how often each token stands in the rows (held_out, text) not held out, and in all rows."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, ...]] = []
+        size = 0
 
-def pack(docs: DataFrame, table: np.ndarray, parts: int) -> DataFrame:
-    """Inverted blocks of the tokens of docs (doc_id, held_out, text), and a row of its documents for each slice.
+        def merged() -> tuple[np.ndarray, ...]:
+            token, c, n = (np.concatenate(x) for x in zip(*held))
+            token, back = np.unique(token, return_inverse=True)
+            return token, *(np.bincount(back, x, len(token)).astype(np.int64) for x in (c, n))
 
-    Part -1: ids, null flags, held-out flags, token counts and context scores. Other parts hold a range of
-    token hashes: distinct hashes, how many entries each has, and the entries' rows and counts in the slice
-    (a count above 65535 takes several entries), with the held-out flags.
+        def sent(token: np.ndarray, c: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(token.view(np.int64)), pa.array(c), pa.array(n)], names=["token", "c", "n"])
+
+        for whole in batches:
+            for batch in slices(whole, "text"):
+                tok, _, _, first, _ = tokens_of(batch.column("text"))
+                taught = ~np.array(batch.column("held_out").to_pylist(), bool)
+                token, back, n = np.unique(tok, return_inverse=True, return_counts=True)
+                held.append((token, np.bincount(back, np.repeat(taught, np.diff(first)), len(token)).astype(np.int64), n))
+                size += len(token)
+                if size > 1 << 21:
+                    held = [merged()]
+                    size = len(held[0][0])
+                    if size > 1 << 20:
+                        yield sent(*held[0])
+                        held, size = [], 0
+        if held:
+            yield sent(*merged())
+
+    counted = docs.select("held_out", "text").mapInArrow(run, "token long, c long, n long")
+    return counted.groupBy("token").agg(F.sum("c").alias("c"), F.sum("n").alias("n"))
+
+
+_SCORED = (
+    "row long, doc_id long, held_out boolean, n_tokens long, known long, log_count double, context double, "
+    "rare array<long>, times array<int>"
+)
+
+
+def score_parts(docs: DataFrame, table: np.ndarray, token: np.ndarray, c: np.ndarray, group_log: np.ndarray) -> DataFrame:
+    """What each row of docs (doc_id, held_out, text) gets from the weights and the frequent tokens, and its other tokens.
+
+    token (ascending) and c: the frequent tokens and their counts; group_log: log10(N + V + 1) of each group.
+    known and log_count are sums over the frequent tokens; rare and times are the distinct others.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(table)
-    edges = [np.uint64(p * (C * G) // parts) << np.uint64(64 - CLASS_BITS - GROUP_BITS) for p in range(1, parts)]
+    shared = docs.sparkSession.sparkContext.broadcast((table, token, c, group_log))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seq = 0
+        weights, frequent, count, group_log = shared.value
+        log_count = np.log10(count + 1.0)
+        row = TaskContext.get().partitionId() << 33
         for whole in batches:
             for batch in slices(whole, "text"):
-                key = TaskContext.get().partitionId() << 32 | seq
-                seq += 1
                 tok, one, two, first, owner = tokens_of(batch.column("text"))
-                score = np.add.reduceat(context_score(shared.value, tok, one, two), first[:-1])
-                held = np.array(batch.column("held_out").to_pylist(), bool)
-                ids = batch.column("doc_id")
-                nulls = np.array(ids.is_null().to_pylist(), bool)
-                rows = [(-1, key, np.asarray(ids.fill_null(0), np.int64).tobytes(), nulls.tobytes(), held.tobytes(), np.diff(first).tobytes(), score.tobytes())]
-                order = np.argsort(tok, kind="stable")
-                h, doc = tok[order], owner[order]
+                n = batch.num_rows
+                inner = context_score(weights, tok, one, two) - group_log[(tok >> np.uint64(64 - CLASS_BITS - GROUP_BITS)).astype(np.int64)]
+                place = np.minimum(np.searchsorted(frequent, tok), max(len(frequent) - 1, 0))
+                hit = frequent[place] == tok if len(frequent) else np.zeros(len(tok), bool)
+                known = np.bincount(owner[hit], count[place[hit]] > 0, n).astype(np.int64)
+                logs = np.bincount(owner[hit], log_count[place[hit]], n).astype(np.float64)
+                h, doc = tok[~hit], owner[~hit]
+                order = np.lexsort((h, doc))
+                h, doc = h[order], doc[order]
                 new = np.ones(len(h), bool)
                 new[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
                 at = np.flatnonzero(new)
-                tf = np.diff(np.append(at, len(h)))
-                h, doc = h[at], doc[at]
-                if tf.max() > 65535:
-                    times = -(-tf // 65535)
-                    left = np.full(int(times.sum()), 65535)
-                    last = np.cumsum(times) - 1
-                    left[last] = tf - (times - 1) * 65535
-                    h, doc, tf = np.repeat(h, times), np.repeat(doc, times), left
-                cuts = [0, *np.searchsorted(h, np.array(edges, np.uint64)).tolist(), len(h)]
-                for p in range(parts):
-                    a, b = cuts[p], cuts[p + 1]
-                    if a < b:
-                        heads = np.flatnonzero(np.concatenate([[True], h[a + 1 : b] != h[a : b - 1]]))
-                        runs = np.diff(np.append(heads, b - a)).astype(np.uint32)
-                        rows.append((p, key, h[a:b][heads].tobytes(), runs.tobytes(), held.tobytes(), doc[a:b].astype(np.uint32).tobytes(), tf[a:b].astype(np.uint16).tobytes()))
-                yield _packed(rows)
-
-    return docs.mapInArrow(run, _PACKED)
-
-
-def count_parts(packed: DataFrame, parts: int) -> DataFrame:
-    """Counts the training tokens of each part and sums their terms by document.
-
-    Part -2 rows hold N and V of a part; others, for a slice, rows and their sums: log10(c + 1), known
-    tokens, and log10 of the token inside its group.
-    """
+                edge = np.searchsorted(doc[at], np.arange(n + 1)).astype(np.int32)
+                times = np.diff(np.append(at, len(h))).astype(np.int32)
+                cols = [
+                    pa.array(np.arange(row, row + n)), batch.column("doc_id"), batch.column("held_out"), pa.array(np.diff(first)), pa.array(known),
+                    pa.array(logs), pa.array(np.add.reduceat(inner, first[:-1])),
+                    pa.ListArray.from_arrays(pa.array(edge), pa.array(h[at].view(np.int64))), pa.ListArray.from_arrays(pa.array(edge), pa.array(times)),
+                ]
+                row += n
+                yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in _SCORED.split(", ")])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held_rows: dict[int, list] = {}
-        for batch in batches:
-            for r in batch.to_pylist():
-                held_rows.setdefault(r["part"], []).append(r)
-        for part, rows in held_rows.items():
-            hashes, counts = [], []
-            for r in rows:
-                runs = np.frombuffer(r["b"], np.uint32)
-                taught = ~np.frombuffer(r["c"], bool)[np.frombuffer(r["d"], np.uint32)] * np.frombuffer(r["e"], np.uint16).astype(np.int64)
-                hashes.append(np.frombuffer(r["a"], np.uint64))
-                counts.append(np.add.reduceat(taught, np.cumsum(runs, dtype=np.int64) - runs))
-            known, back = np.unique(np.concatenate(hashes), return_inverse=True)
-            c = np.bincount(back, np.concatenate(counts), len(known)).astype(np.int64)
-            group = (known >> np.uint64(64 - CLASS_BITS - GROUP_BITS)).astype(np.int64)
-            n_group = np.bincount(group, c, C * G)
-            v_group = np.bincount(group, c > 0, C * G)
-            inside = np.log10(c + 1.0) - np.log10(n_group + v_group + 1.0)[group]
-            out = [(-2, 0, np.array([c.sum(), (c > 0).sum()], np.int64).tobytes(), b"", b"", b"", b"")]
-            at = 0
-            for r, own in zip(rows, hashes):
-                runs, doc = np.frombuffer(r["b"], np.uint32), np.frombuffer(r["d"], np.uint32)
-                tf = np.frombuffer(r["e"], np.uint16).astype(np.float64)
-                token = np.repeat(back[at : at + len(own)], runs)
-                at += len(own)
-                has = np.unique(doc)
-                sums = [np.bincount(doc, tf * x[token])[has] for x in (np.log10(c + 1.0), c > 0, inside)]
-                out.append((part, r["slice"], has.astype(np.uint32).tobytes(), sums[0].tobytes(), sums[1].astype(np.uint32).tobytes(), sums[2].astype(np.float32).tobytes(), b""))
-                if len(out) >= 32:
-                    yield _packed(out)
-                    out = []
-            if out:
-                yield _packed(out)
-
-    return packed.filter("part >= 0").repartitionById(parts, "part").mapInArrow(run, _PACKED)
-
-
-def gather(rows: DataFrame, total: int, kinds: int) -> DataFrame:
-    """Documents from the rows of their slices, given N and V of all training tokens."""
-    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        open_, key, sums = None, None, []
-
-        def finish() -> pa.RecordBatch:
-            ids = pa.array(np.frombuffer(open_["a"], np.int64), mask=np.frombuffer(open_["b"], bool))
-            held, n_tokens = np.frombuffer(open_["c"], bool), np.frombuffer(open_["d"], np.int64)
-            base, known, inside = np.zeros(len(held)), np.zeros(len(held), np.int64), np.zeros(len(held))
-            for r in sums:
-                has = np.frombuffer(r["a"], np.uint32)
-                base[has] += np.frombuffer(r["b"])
-                known[has] += np.frombuffer(r["c"], np.uint32)
-                inside[has] += np.frombuffer(r["d"], np.float32)
-            base -= n_tokens * np.log10(total + kinds + 1.0)
-            score = np.frombuffer(open_["e"]) + inside
-            cols = [ids, pa.array(held), pa.array(n_tokens), pa.array(known), pa.array(np.full(len(held), total)), pa.array(base), pa.array(score)]
-            return pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in schema.split(", ")])
-
-        for batch in batches:
-            for r in batch.to_pylist():
-                if r["slice"] != key:
-                    if open_ is not None:
-                        yield finish()
-                    key, open_, sums = r["slice"], None, []
-                if r["part"] == -1:
-                    open_ = r
-                else:
-                    sums.append(r)
-        if open_ is not None:
-            yield finish()
-
-    return rows.repartition("slice").sortWithinPartitions("slice", "part").mapInArrow(run, schema)
+    return docs.mapInArrow(run, _SCORED)
 
 
 def score_texts(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, rounds: int = 2
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, rounds: int = 2, frequent: int = FREQUENT
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of each row.
 
     Tokens are the words of a text (A-Z folded) and one end. Counts and weights come from the rows whose
     crc32(id) modulo `folds` is not `held_fold`; a null id falls into fold 0. Null texts are empty: one
     token. Repeated rows count as often as they stand; an empty table gives no rows; other columns are
-    not read. Tokens are told apart by 64-bit hashes.
+    not read. Tokens are told apart by 64-bit hashes. A text is scored in one task, with work arrays of
+    about 40 bytes for each of its bytes. Counts, n_known and weights do not depend on partitions.
     """
-    spark = docs.sparkSession
-    ws = Workspace(spark, "maxent")
+    ws = Workspace(docs.sparkSession, "maxent")
     held = (crc_fold(F.col("doc_id"), folds) == held_fold).alias("held_out")
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).select("doc_id", held, "text")
+    counts = ws.save(count_tokens(rows), "counts")
+    group = F.shiftrightunsigned("token", 64 - CLASS_BITS - GROUP_BITS)
+    by_group = counts.groupBy(group.alias("g")).agg(F.sum("c").alias("c"), F.sum((F.col("c") > 0).cast("long")).alias("v"), F.sum("n").alias("n")).collect()
+    group_log = np.zeros(C * G)
+    for r in by_group:
+        group_log[r["g"]] = np.log10(r["c"] + r["v"] + 1.0)
+    total, kinds, all_tokens = (sum(r[k] for r in by_group) for k in ("c", "v", "n"))
+    least = max(1, -(-all_tokens // frequent))
+    often = counts.filter(F.col("n") >= least).select("token", "c").toArrow()
+    token, c = often.column("token").to_numpy().view(np.uint64), often.column("c").to_numpy()
+    order = np.argsort(token)
     table = train(rows.filter(~F.col("held_out")).select("doc_id", "text"), rounds)
-    parts = min(shuffle_partitions(spark), C * G)
-    packed = ws.save(pack(rows, table, parts), "packed")
-    counted = ws.save(count_parts(packed, parts), "counted")
-    stats = counted.filter("part = -2").select("a").toArrow().column("a").to_pylist()
-    total, kinds = np.sum([np.frombuffer(x, np.int64) for x in stats], axis=0).tolist() if stats else (0, 0)
-    return gather(packed.filter("part = -1").unionByName(counted.filter("part >= 0")), total, kinds)
+    scored = ws.save(score_parts(rows, table, token[order], c[order], group_log), "scored")
+    rare = scored.select("row", F.explode(F.arrays_zip("rare", "times")).alias("x")).select("row", F.col("x.rare").alias("token"), "x.times")
+    counted = counts.filter((F.col("n") < least) & (F.col("c") > 0)).select("token", "c")
+    sums = rare.join(counted, "token").groupBy("row").agg(
+        F.sum("times").alias("more_known"), F.sum(F.col("times") * F.log10(F.col("c") + 1.0)).alias("more_log")
+    )
+    log_count = F.col("log_count") + F.coalesce("more_log", F.lit(0.0))
+    return scored.join(sums, "row", "left").select(
+        "doc_id", "held_out", "n_tokens", (F.col("known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"),
+        (log_count - F.col("n_tokens") * float(np.log10(total + kinds + 1.0))).alias("base_score"), (F.col("context") + log_count).alias("score"),
+    )

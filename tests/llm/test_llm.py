@@ -586,3 +586,80 @@ def test_text_of_very_many_pieces_ends():
     ids, sizes = encoder.encode(pa.array([text]))
     assert sizes.tolist() == [len(ids)] and ids[-1] == 0
     assert ids[:200].tolist() == encoder.tokenizer.encode(text[:2000], add_special_tokens=False).ids[:200]
+
+
+def test_near_dedup_recall_through_all_levels(spark):
+    """Pairs just above the threshold, in nodes that branch at every level."""
+    from softsplit.llm.near_dedup import near_components
+
+    rng = random.Random(3)
+    rows, common = [], [f"shared{k}" for k in range(90)]
+    for i in range(150):
+        own = [f"own{i}x{k}" for k in range(120)]
+        one = common + own
+        two = list(one)
+        for k in rng.sample(range(90, 210), 5):  # five changed words spoil up to 25 of 206 shingles
+            two[k] = f"new{i}x{k}"
+        rows += [(2 * i + 1, " ".join(one)), (2 * i + 2, " ".join(two))]
+    sets = {i: _shingles(t) for i, t in rows}
+    pairs = [(a, a + 1) for a in range(1, 300, 2) if 100 * len(sets[a] & sets[a + 1]) >= 75 * len(sets[a] | sets[a + 1])]
+    assert len(pairs) > 100
+    assert all(100 * len(sets[a] & sets[b]) < 75 * len(sets[a] | sets[b]) for a in sets for b in sets if a < b and (a, b) not in set(pairs))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = _by_id(near_components(df, node_size=3, depth=3))
+    found = sum(got[b]["component_id"] == a for a, b in pairs)
+    assert found >= 0.97 * len(pairs)
+    assert all(r["component_id"] in (i, i - 1) for i, r in got.items())
+
+
+def test_near_dedup_chain_in_a_large_cluster(spark):
+    """A chain of texts in which only neighbours are linked: rows that are not near the head still meet all others."""
+    from softsplit.llm.near_dedup import near_components
+
+    words = [f"w{k}" for k in range(400)]
+    rows = [(i + 1, " ".join(words[6 * i : 6 * i + 100])) for i in range(40)]
+    sets = {i: _shingles(t) for i, t in rows}
+    link = lambda a, b: 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b])
+    assert link(1, 2) and not link(1, 6)
+    df = spark.createDataFrame(rows + [(1000 + i, rows[i][1] + " end") for i in range(40)], "doc_id long, text string")
+    got = _by_id(near_components(df, node_size=4, depth=1, cluster_size=8))
+    assert {r["component_id"] for r in got.values()} == {1}
+
+
+def test_maxent_does_not_depend_on_partitions(spark, docs):
+    from softsplit.llm.maxent import score_texts
+
+    one = _by_id(score_texts(docs))
+    for kw, parts in (({}, 1), ({"frequent": 8}, 7)):
+        two = _by_id(score_texts(docs.repartition(parts), **kw))
+        for i, r in one.items():
+            assert (r["n_known"], r["train_tokens"], r["n_tokens"]) == (two[i]["n_known"], two[i]["train_tokens"], two[i]["n_tokens"])
+            assert math.isclose(r["score"], two[i]["score"], rel_tol=1e-9) and math.isclose(r["base_score"], two[i]["base_score"], rel_tol=1e-9)
+
+
+def test_maxent_score_by_hand(spark, docs, rows):
+    """The score of each text, token by token from the trained weights and the counts."""
+    from softsplit.llm import maxent
+
+    held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i, *_ in rows}
+    texts = {i: t for i, t, *_ in rows}
+    learn = docs.filter(F.col("doc_id").isin([i for i in held if not held[i]])).select("doc_id", "text")
+    table = maxent.train(learn)
+    bits = 64 - maxent.CLASS_BITS - maxent.GROUP_BITS
+    per = {i: maxent.tokens_of(pa.array([t or ""]))[:3] for i, t in texts.items()}
+    c = Counter(int(h) for i in texts if not held[i] for h in per[i][0])
+    n_group, v_group = Counter(), Counter()
+    for h, k in c.items():
+        n_group[h >> bits] += k
+        v_group[h >> bits] += 1
+    softmax = lambda z: np.exp(z - z.max()) / np.exp(z - z.max()).sum()
+    got = _by_id(maxent.score_texts(docs))
+    for i in list(texts)[:60]:
+        want = 0.0
+        for h, one, two in zip(*per[i]) if len(per[i][0]) < 400 else ():
+            h = int(h)
+            cls, group = h >> 59, h >> bits & 31
+            kinds, inner = maxent.features(np.array([one]), np.array([two]), np.array([cls]))
+            z = table[0].astype(float) + sum(table[k[0]].astype(float) for k in kinds)
+            want += math.log10(softmax(z)[cls] * softmax(table[inner[0]].astype(float))[group] * (c[h] + 1) / (n_group[h >> bits] + v_group[h >> bits] + 1))
+        assert not want or math.isclose(got[i]["score"], want, rel_tol=1e-4), (i, got[i]["score"], want)
