@@ -1,9 +1,9 @@
 """MinHash near-dedup: chosen-path set similarity join over word shingles.
 
 Each of eight trees starts from a minwise token of the shingle set under a hash of its own. A node holds the
-documents that chose the same token path. A node of more than a few hundred documents branches: it draws
-places of the minwise signature afresh from its own name, and a document goes to the child of its token at
-each of them. Smaller nodes are compared exhaustively on signatures. A pair at 0.75 shares a root node with
+documents that chose the same token path. A node with more than a few hundred documents that are not near its
+head branches: it draws places of the minwise signature afresh from its own name, and a document goes to the
+child of its token at each of them. Smaller nodes are compared exhaustively on signatures. A pair at 0.75 shares a root node with
 0.75 and at least one child of a node with 1 - 0.25**3, so with three levels all eight trees miss it with
 probability 5e-5; of pairs in one node, 3e-6 fall short on the signature. What the nodes propose only groups
 documents into clusters; inside a cluster all links are found on full shingle sets.
@@ -85,25 +85,35 @@ def describe(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def grow_trees(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3) -> tuple[DataFrame, DataFrame | None]:
-    """Nodes (node, uid, sign) of at most `most` documents, and those still larger after `depth` levels of branching."""
+def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3) -> DataFrame:
+    """Links (a, b) that span the near documents of every node of the trees.
+
+    The rows of a node of more than `most` are compared with its head. Where at most `most` rows, or at the
+    last level any number, are not near it, they meet all others in blocks; other large nodes branch.
+    """
     rows = sets.select("uid", "sign", F.posexplode("keys").alias("tree", "key")).select(F.xxhash64("tree", "key").alias("node"), "uid", "sign")
-    done, level = [], 0
-    while True:
+    links, small = [], []
+    for level in range(depth + 1):
         large = ws.save(rows.groupBy("node").count().filter(F.col("count") > most).select("node"), f"large{level}")
         n_large = large.count()
         if not n_large:
-            return _union([*done, rows]), None
-        side = F.broadcast(large) if n_large <= 100_000 else large
-        done.append(rows.join(side, "node", "left_anti").select("node", "uid", "sign"))
-        rows = rows.join(side, "node", "left_semi")
-        if level == depth:
-            return _union(done), rows.select("node", "uid", "sign")
+            small.append(rows)
+            break
+        side = F.broadcast(large) if n_large <= SMALL_HEADS else large
+        small.append(rows.join(side, "node", "left_anti").select("node", "uid", "sign"))
+        told = told_by_head(rows.join(side, "node", "left_semi"), "node", "sign", near_head_signs, ws, f"nodes{level}")
+        links.append(_head_links(told))
+        open_ = ws.save(told.filter("not near").groupBy("node").count().filter(F.col("count") > most).select("node"), f"open{level}")
+        n_open = open_.count() if level < depth else 0
+        side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
+        small.append(_apart_from_head(told.join(side, "node", "left_anti") if n_open else told, "node", most))
+        if not n_open:
+            break
         place = [F.pmod(F.xxhash64("node", F.lit(j)), F.lit(SIGNATURE)).cast("int") for j in range(picks)]
         chosen = F.array(*[F.struct(p.alias("place"), F.substring("sign", 2 * p + 1, 2).alias("token")) for p in place])
-        rows = rows.withColumn("pick", F.explode(F.array_distinct(chosen)))
+        rows = told.join(side, "node", "left_semi").withColumn("pick", F.explode(F.array_distinct(chosen)))
         rows = ws.save(rows.select(F.xxhash64("node", "pick.place", "pick.token").alias("node"), "uid", "sign"), f"level{level}")
-        level += 1
+    return _union([*links, propose(_union([x.select("node", "uid", "sign") for x in small]))])
 
 
 def _union(frames: list[DataFrame]) -> DataFrame:
@@ -237,24 +247,26 @@ def _between(one: DataFrame, two: DataFrame, group: str, most: int) -> DataFrame
     return dealt(one, "n1", "n2", False).unionByName(dealt(two, "n2", "n1", True))
 
 
-def links_in_large_groups(rows: DataFrame, group: str, carried: str, near, solve, ws: Workspace, name: str, most: int) -> DataFrame:
-    """Links (a, b) that span the components inside groups too large for a task. rows: group, uid and the column `carried`.
-
-    near(rows with head and head_carried) adds whether a row is linked with its head; solve finds spanning
-    links inside groups. Rows linked with the head are one component and are not compared with each other.
-    """
+def told_by_head(rows: DataFrame, group: str, carried: str, near, ws: Workspace, name: str) -> DataFrame:
+    """rows (group, uid and the column `carried`) with the head of their group, its smallest uid, and whether near(...) it."""
     first = rows.groupBy(group).agg(F.min("uid").alias("head"))
     heads = rows.join(F.broadcast(first) if first.count() <= SMALL_HEADS else first, group).filter("uid = head")
     heads = ws.save(heads.select(group, "head", F.col(carried).alias(f"head_{carried}")), f"{name}-heads")
     weight = heads.agg(F.coalesce(F.sum(F.octet_length(f"head_{carried}")), F.lit(0))).first()[0]
-    side = F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads
-    told = ws.save(near(rows.join(side, group)), f"{name}-told")
-    core = told.filter("near").drop("near", "head")
-    left = told.filter("not near").drop("near", "head")
-    links = told.filter("near and uid != head").select(F.col("head").alias("a"), F.col("uid").alias("b"))
-    if left.isEmpty():
-        return links
-    return links.unionByName(solve(_between(left, core, group, most))).unionByName(solve(in_blocks(left, group, "uid", most)))
+    return ws.save(near(rows.join(F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads, group)), f"{name}-told")
+
+
+def _head_links(told: DataFrame) -> DataFrame:
+    return told.filter("near and uid != head").select(F.col("head").alias("a"), F.col("uid").alias("b"))
+
+
+def _apart_from_head(told: DataFrame, group: str, most: int) -> DataFrame:
+    """Groups of bounded size in which rows that are not near their head meet each other and all that are.
+
+    Rows near the head are one component, so they need not be compared with each other.
+    """
+    left, core = (told.filter(x).drop("near", "head") for x in ("not near", "near"))
+    return _between(left, core, group, most).unionByName(in_blocks(left, group, "uid", most))
 
 
 def components(links: DataFrame, ws: Workspace, name: str) -> DataFrame:
@@ -360,7 +372,7 @@ def near_components(
     kept true, rows that repeat an id are linked like other documents and share its component. Equal
     sets collapse to their smallest id before any comparison. Other columns are not read; an empty table
     gives no rows. A node of more than `node_size` sets branches, `depth` times at most; nodes that stay
-    larger and clusters above `cluster_size` are compared by `links_in_large_groups`, not cut. A text is
+    larger and clusters above `cluster_size` are compared by head and in blocks, not cut. A text is
     handled in one task, with work arrays of about 30 bytes for each of its bytes. Up to `small_members` cluster members are broadcast to fetch their texts, more are joined by shuffle.
     """
     ws = Workspace(docs.sparkSession, "near-dedup")
@@ -370,10 +382,7 @@ def near_components(
     same = ws.save(known.groupBy("h1", "h2").agg(F.min("doc_id").alias("uid"), F.count(F.lit(1)).alias("n")), "same")
     classes = ws.save(_with_class(known.select("doc_id", "h1", "h2", "keys", "sign"), same), "classes")
     alone = classes.filter("doc_id = uid").select("uid", "keys", "sign")
-    nodes, large = grow_trees(alone, ws, node_size, depth)
-    links = propose(nodes)
-    if large is not None:
-        links = links.unionByName(links_in_large_groups(large, "node", "sign", near_head_signs, propose, ws, "nodes", 4 * node_size))
+    links = near_links(alone, ws, node_size, depth)
     clusters = components(links, ws, "near").select(F.col("id").alias("uid"), F.col("component").alias("cluster"))
     clusters = ws.save(clusters, "clusters")
     big = clusters.groupBy("cluster").count().filter(F.col("count") > cluster_size).select("cluster")
@@ -381,9 +390,9 @@ def near_components(
     true_links = confirm(_members(texts, clusters.join(big, "cluster", "left_anti") if some_big else clusters, small_members), percent, width)
     if some_big:
         whole = ws.save(_members(texts, clusters.join(big, "cluster", "left_semi"), small_members), "large-clusters")
-        near = lambda rows: near_head_texts(rows, percent, width)
-        solve = lambda rows: confirm(rows, percent, width)
-        true_links = true_links.unionByName(links_in_large_groups(whole, "cluster", "text", near, solve, ws, "clusters-by-head", cluster_size))
+        told = told_by_head(whole, "cluster", "text", lambda rows: near_head_texts(rows, percent, width), ws, "clusters-by-head")
+        rest = _apart_from_head(told, "cluster", cluster_size // 2)
+        true_links = true_links.unionByName(_head_links(told)).unionByName(confirm(rest, percent, width))
     true_links = ws.save(true_links, "linked")
     copies = classes.filter("doc_id != uid").select(F.col("uid").alias("a"), F.col("doc_id").alias("b"))
     found = components(true_links, ws, "true")
