@@ -44,9 +44,13 @@ def word_set(text: Column) -> Column:
 
 
 def word_counts(text: Column) -> Column:
-    """array<struct<f, v>> of the distinct words with their counts."""
-    all_words = tokens(text)
-    return F.transform(F.array_distinct(all_words), lambda w: F.struct(w.alias("f"), F.size(F.filter(all_words, lambda x: x == w)).cast("double").alias("v")))
+    """array<struct<f, v>> of the distinct words with their counts: lengths of the runs of the sorted words."""
+    ordered = F.array_sort(tokens(text))
+    nothing = F.array().cast("array<int>")
+    heads = F.filter(F.sequence(F.lit(1), F.size(ordered)), lambda i: (i == 1) | (F.element_at(ordered, i) != F.element_at(ordered, F.greatest(i - 1, F.lit(1)))))
+    heads = F.when(F.size(ordered) > 0, heads).otherwise(nothing)
+    after = F.concat(F.slice(heads, 2, F.greatest(F.size(heads) - 1, F.lit(0))), F.array(F.size(ordered) + 1))
+    return F.zip_with(heads, F.slice(after, 1, F.size(heads)), lambda a, b: F.struct(F.element_at(ordered, a).alias("f"), (b - a).cast("double").alias("v")))
 
 
 def word_ngrams(text: Column, n: int) -> Column:
@@ -74,9 +78,9 @@ def json_features(props: Column, keys: Sequence[str]) -> Column:
     return F.array_compact(F.array(*entries))
 
 
-def coded(feats: Column) -> list[Column]:
+def coded(feats: Column, hash_fn: str = "xxh64") -> list[Column]:
     """codes and vals columns of array<struct<f, v>>: each name hashed once, here; the trainers only mix integers."""
-    return [F.transform(feats, lambda x: base_code(x["f"])).alias("codes"), F.transform(feats, lambda x: x["v"]).alias("vals")]
+    return [F.transform(feats, lambda x: base_code(x["f"], hash_fn)).alias("codes"), F.transform(feats, lambda x: x["v"]).alias("vals")]
 
 
 def column_blocks(df: DataFrame, partitions: int) -> DataFrame:

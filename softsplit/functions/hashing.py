@@ -7,14 +7,17 @@ and cell by integer steps that Catalyst and numpy share; the trainers use `mix`.
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column, functions as F
 
-#: Modulus and multipliers of the integer mixer (all below 2**31, so no product overflows).
-PRIME = 2147483647
+#: Masks, multipliers and addends of the integer mixer (all factors below 2**31).
+HALF, MASK = 2147483647, 4294967295
 MULTIPLIERS = (1103515245, 1664525057, 1597334677)
 ADDENDS = (12345, 1013904223, 741103597)
 LOW_BITS = 8388607  # 2**23 - 1
+CODE_BITS = 4611686018427387903  # 2**62 - 1
 
 
 def bits_to_unit(code: Column) -> Column:
@@ -35,49 +38,64 @@ def _xor_shift(x: Column, by: int) -> Column:
     return x.bitwiseXOR(F.shiftright(x, by))
 
 
-def base_code(feature: Column) -> Column:
-    """The code of a feature, made once."""
-    return F.pmod(F.xxhash64(feature.cast("string")), F.lit(PRIME)).cast("long")
+def base_code(feature: Column, hash_fn: str = "xxh64") -> Column:
+    """The code of a feature, made once: 62 bits of its xxhash64, or 60 of its md5."""
+    name = feature.cast("string")
+    if hash_fn == "md5":
+        return F.conv(F.substring(F.md5(name), 1, 15), 16, 10).cast("long")
+    return F.xxhash64(name).bitwiseAND(F.lit(CODE_BITS).cast("long"))
 
 
-def mix_code(base: Column, round_: Column | int, cell: Column, seed: int = 0) -> Column:
-    """The code of (feature, round, cell) from the feature's base code."""
-    round_ = F.lit(round_).cast("long") if isinstance(round_, int) else round_.cast("long")
-    p = F.lit(PRIME).cast("long")
-    x = F.pmod(base * F.lit(MULTIPLIERS[0]).cast("long") + (round_ + F.lit(seed * 1009 + 1)) * F.lit(ADDENDS[0]).cast("long"), p)
-    x = _xor_shift(x, 15)
-    x = F.pmod(x * F.lit(MULTIPLIERS[1]).cast("long") + (cell.cast("long") + 1) * F.lit(ADDENDS[1]).cast("long"), p)
-    x = _xor_shift(x, 13)
-    x = F.pmod(x * F.lit(MULTIPLIERS[2]).cast("long") + F.lit(ADDENDS[2]).cast("long"), p)
-    return _xor_shift(x, 16)
+def _times(x: Column, by: int) -> Column:
+    """The low 32 bits of x * by; x is below 2**32 and by below 2**31, so no product overflows."""
+    return (x * F.lit(by).cast("long")).bitwiseAND(F.lit(MASK).cast("long"))
 
 
-def _mod_prime(x: np.ndarray) -> np.ndarray:
-    """x modulo 2**31 - 1 in place, for 0 <= x < 2**62: folding, which unlike division runs in vector registers."""
-    for _ in range(2):
-        high = x >> 31
-        x &= PRIME
-        x += high
-    x[x == PRIME] = 0
-    return x
+def mix_code(base: Column, round_: Column | int, cell: Column, seed: int = 0) -> Column:
+    """The 32-bit code of (feature, round, cell) from the feature's base code.
+
+    The low half of the base code meets the round before the high half joins, so two features that share a
+    code in one round share none in the others.
+    """
+    mask = F.lit(MASK).cast("long")
+    round_ = F.lit(round_).cast("long") if isinstance(round_, int) else round_.cast("long")
+    low, high = base.bitwiseAND(F.lit(HALF).cast("long")), F.shiftright(base, 31)
+    x = (low * F.lit(MULTIPLIERS[0]).cast("long") + (round_ + F.lit(seed * 1009 + 1)) * F.lit(ADDENDS[0]).cast("long")).bitwiseAND(mask)
+    x = _xor_shift(_times(_xor_shift(x, 15).bitwiseXOR(high), MULTIPLIERS[2]), 13)
+    x = _xor_shift(_times(x, MULTIPLIERS[1]), 16)
+    x = x.bitwiseXOR(((cell.cast("long") + 1) * F.lit(ADDENDS[1]).cast("long")).bitwiseAND(mask))
+    x = _xor_shift(_times(x, MULTIPLIERS[1]), 15)
+    return _xor_shift(_times(x, MULTIPLIERS[2]), 16)
 
 
 def mix_code_np(base: np.ndarray, round_: int, cells: np.ndarray, seed: int = 0) -> np.ndarray:
-    """mix_code for all pairs of base codes and cells: (features x cells) int64."""
-    x = (base.astype(np.int64) * MULTIPLIERS[0] + (round_ + seed * 1009 + 1) * ADDENDS[0]) % PRIME
-    x ^= x >> 15
-    x *= MULTIPLIERS[1]
-    x = _mod_prime(x[:, None] + ((cells.astype(np.int64) + 1) * ADDENDS[1])[None, :])
-    x ^= x >> 13
-    x *= MULTIPLIERS[2]
-    x += ADDENDS[2]
-    _mod_prime(x)
+    """mix_code for all pairs of base codes and cells: (features x cells) uint32, whose products wrap by themselves."""
+    base = base.astype(np.int64)
+    x = ((base & HALF) * MULTIPLIERS[0] + (round_ + seed * 1009 + 1) * ADDENDS[0]) & MASK
+    x = ((x ^ (x >> 15) ^ (base >> 31)) * MULTIPLIERS[2]) & MASK
+    x = ((x ^ (x >> 13)) * MULTIPLIERS[1]) & MASK
     x ^= x >> 16
-    return x
+    y = x.astype(np.uint32)[:, None] ^ ((cells.astype(np.int64) + 1) * ADDENDS[1] & MASK).astype(np.uint32)[None, :]
+    other = np.empty_like(y)
+    for by, shift in ((MULTIPLIERS[1], 15), (MULTIPLIERS[2], 16)):
+        y *= np.uint32(by)
+        np.right_shift(y, np.uint32(shift), out=other)
+        y ^= other
+    return y
 
 
 def sym_np(code: np.ndarray) -> np.ndarray:
-    return 2.0 * (1.0 + (code & LOW_BITS) / (LOW_BITS + 1)) - 3.0
+    """The low 23 bits as a number in [-1, 1); exact."""
+    out = (code & code.dtype.type(LOW_BITS)).astype(np.float64)
+    out *= 2.0 / (LOW_BITS + 1)
+    out -= 1.0
+    return out
+
+
+def md5_weights_np(names: int, round_: int, cells: int) -> np.ndarray:
+    """The md5 weights of dense features 0 .. names-1 (names x cells), as hash_weight(..., "md5") has them."""
+    codes = [[int(hashlib.md5(f"{i}|{round_}|{j}".encode()).hexdigest()[:8], 16) for j in range(cells)] for i in range(names)]
+    return sym_np(np.array(codes, np.int64).reshape(names, cells))
 
 
 def hash_weight(feature: Column, round_: int, cell: Column, hash_fn: str = "mix", seed: int = 0) -> Column:

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 
 from ..functions.losses import Loss
-from ..plans.kernel import Block, Spec, assign, forward
+from ..plans.kernel import Block, Spec, Work, assign, forward
 
 
 @dataclass
@@ -98,13 +98,13 @@ class SSBModel:
         return model
 
 
-def round_values(block: Block, spec: Spec, r: Round, share: bool = True) -> np.ndarray:
+def round_values(block: Block, spec: Spec, r: Round, share: bool = True, work: Work | None = None) -> np.ndarray:
     """f of a round for each class (n x classes); without sharing each class has cells of its own."""
     if share:
-        return assign(forward(block, spec, r.round), r.mu, r.sd, spec) @ r.w.T
+        return assign(forward(block, spec, r.round, work=work), r.mu, r.sd, spec) @ r.w.T
     k = spec.cells
     out = [
-        assign(forward(block, spec, r.round, c), r.mu[c * k : (c + 1) * k], r.sd[c * k : (c + 1) * k], spec) @ r.w[c]
+        assign(forward(block, spec, r.round, c, work=work), r.mu[c * k : (c + 1) * k], r.sd[c * k : (c + 1) * k], spec) @ r.w[c]
         for c in range(len(r.w))
     ]
     return np.array(out).T

@@ -6,13 +6,16 @@ work arrays stay within a budget whatever the rows hold.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 
-from ..functions.hashing import law_np, mix_code_np, sym_np
-from ..functions.losses import Loss
+from ..functions.hashing import law_np, md5_weights_np, mix_code_np, sym_np
+
+
+#: Numbers of a work array that fit a core's cache, and of one that a task holds for a block.
+CACHED, HELD = 1 << 15, 1 << 22
 
 
 @dataclass(frozen=True)
@@ -21,6 +24,7 @@ class Spec:
 
     kind `dense` reads x array<double>, `sparse` reads codes array<long> and vals array<double>. keep is
     the share of dense weights that are not zeroed. norm: unit | none | as_printed; assign: soft | hard.
+    hash_fn "md5" draws uniform dense weights by md5 of "feature|round|cell", as SQL can.
     """
 
     kind: str
@@ -36,7 +40,8 @@ class Spec:
     row_norm: str = "none"
     layers: tuple[int, ...] = ()
     block_nnz: int = 1 << 16
-    block_rows: int = 4096
+    block_rows: int = 1 << 14
+    hash_fn: str = "mix"
 
     def with_cells(self, cells: int) -> Spec:
         return replace(self, cells=cells)
@@ -44,6 +49,8 @@ class Spec:
 
 def draw_splitter(spec: Spec, round_: int, cls: int = 0) -> np.ndarray:
     """The dense weights (m x cells) of a round; rounds are independent of the order they are drawn in."""
+    if spec.hash_fn == "md5":
+        return md5_weights_np(spec.m, round_, spec.cells)
     rng = np.random.default_rng(np.random.SeedSequence([spec.seed, round_, cls]))
     shape = (spec.layers[-1] if spec.layers else spec.m, spec.cells)
     weights = law_np(rng.uniform(-1, 1, shape), rng.uniform(-1, 1, shape), spec.init, spec.m)
@@ -59,25 +66,35 @@ def hidden_layers(spec: Spec, round_: int) -> list[np.ndarray]:
 
 
 def hashed_weights(spec: Spec, codes: np.ndarray, round_: int, cls: int = 0) -> np.ndarray:
-    """Weights (codes x cells) from feature codes; nothing is stored."""
+    """Weights (codes x cells) from feature codes; nothing is stored. Made in runs that stay in a core's cache."""
     cells = np.arange(spec.cells)
     seed = spec.seed + 31 * cls
-    first = sym_np(mix_code_np(codes, round_, cells, seed))
-    if spec.init == "uniform":
-        return first
-    return law_np(first, sym_np(mix_code_np(codes, round_, cells, seed + 500_009)), spec.init, max(spec.m, 1))
+    out = np.empty((len(codes), spec.cells))
+    step = max(1, CACHED // spec.cells)
+    for at in range(0, len(codes), step):
+        own = codes[at : at + step]
+        first = sym_np(mix_code_np(own, round_, cells, seed))
+        if spec.init != "uniform":
+            first = law_np(first, sym_np(mix_code_np(own, round_, cells, seed + 500_009)), spec.init, max(spec.m, 1))
+        out[at : at + step] = first
+    return out
 
 
 @dataclass
 class Block:
-    """Rows of a batch: x (n x m), or offsets, codes and vals of a sparse block."""
+    """Rows of a batch: x (n x m), or offsets, codes and vals of a sparse block.
+
+    A prepared sparse block has its distinct codes in feats and each entry's place among them in back; vals
+    is None where all are one.
+    """
 
     n: int
     x: np.ndarray | None = None
     offsets: np.ndarray | None = None
     codes: np.ndarray | None = None
     vals: np.ndarray | None = None
-    extra: dict = field(default_factory=dict)
+    feats: np.ndarray | None = None
+    back: np.ndarray | None = None
 
     @staticmethod
     def of(batch: pa.RecordBatch, spec: Spec) -> Block:
@@ -99,16 +116,41 @@ class Block:
         return block
 
     def parts(self, spec: Spec):
-        """Row ranges within the row and non-zero budgets; a batch closes on whichever is hit first."""
+        """Row ranges within the row and non-zero budgets, which fall with the cells; a part closes on whichever is hit first."""
+        rows = min(spec.block_rows, max(1, HELD // 4 // spec.cells))
+        entries = min(spec.block_nnz, max(1, HELD // spec.cells))
         at = 0
         while at < self.n:
-            stop = min(at + spec.block_rows, self.n)
+            stop = min(at + rows, self.n)
             if self.offsets is not None:
-                fit = int(np.searchsorted(self.offsets, self.offsets[at] + spec.block_nnz, "right")) - 1
+                fit = int(np.searchsorted(self.offsets, self.offsets[at] + entries, "right")) - 1
                 stop = min(stop, max(fit, at + 1))
             yield at, stop
             at = stop
 
+    def prepared(self, a: int, b: int) -> Block:
+        """Rows a to b with what every round needs: distinct features and places among them."""
+        if self.x is not None:
+            return Block(b - a, x=self.x[a:b])
+        i, j = self.offsets[a], self.offsets[b]
+        feats, back = np.unique(self.codes[i:j], return_inverse=True)
+        vals = self.vals[i:j]
+        return Block(b - a, offsets=self.offsets[a : b + 1] - i, vals=None if (vals == 1).all() else vals, feats=feats, back=back.astype(np.int32))
+
+
+class Work:
+    """Arrays that a task allocates once and uses for all its blocks and rounds."""
+
+    def __init__(self, spec: Spec):
+        self.entries = max(1, 8 * CACHED // spec.cells)
+        self.gathered = np.empty((self.entries, spec.cells))
+        self.z = np.empty((0, spec.cells))
+
+    def rows(self, n: int) -> np.ndarray:
+        if n > len(self.z):
+            self.z = np.empty((n, self.z.shape[1]))
+        return self.z[:n]
+
 
 def _row_sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     n = len(offsets) - 1
@@ -122,13 +164,16 @@ def _row_sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return out
 
 
-def forward(block: Block, spec: Spec, round_: int, cls: int = 0, weights: np.ndarray | None = None) -> np.ndarray:
-    """z (n x cells) of a block."""
+def forward(block: Block, spec: Spec, round_: int, cls: int = 0, weights: np.ndarray | None = None, work: Work | None = None) -> np.ndarray:
+    """z (n x cells) of a block; with `work` the array is used again by the next call."""
     if spec.kind == "dense":
         x = block.x
         for hidden in hidden_layers(spec, round_) if spec.layers else ():
             x = np.tanh(x @ hidden)
-        return x @ (draw_splitter(spec, round_, cls) if weights is None else weights)
+        weights = draw_splitter(spec, round_, cls) if weights is None else weights
+        return x @ weights if work is None else np.matmul(x, weights, out=work.rows(len(x)))
+    if block.back is not None:
+        return _sums_of(hashed_weights(spec, block.feats, round_, cls), block, work or Work(spec))
     out = np.zeros((block.n, spec.cells))
     for a, b in block.parts(spec):
         i, j = block.offsets[a], block.offsets[b]
@@ -144,6 +189,24 @@ def forward(block: Block, spec: Spec, round_: int, cls: int = 0, weights: np.nda
     return out
 
 
+def _sums_of(w: np.ndarray, block: Block, work: Work) -> np.ndarray:
+    """z of a prepared block; a row's weights are gathered and summed in runs of rows that fit the work array."""
+    z, at = work.rows(block.n), 0
+    while at < block.n:
+        stop = int(np.searchsorted(block.offsets, block.offsets[at] + work.entries, "right")) - 1
+        stop = min(max(stop, at + 1), block.n)
+        i, j = block.offsets[at], block.offsets[stop]
+        if j - i > work.entries:  # one row of more entries
+            z[at] = w[block.back[i:j]].sum(0) if block.vals is None else block.vals[i:j] @ w[block.back[i:j]]
+        else:
+            got = np.take(w, block.back[i:j], axis=0, out=work.gathered[: j - i], mode="clip")
+            if block.vals is not None:
+                got *= block.vals[i:j, None]
+            z[at:stop] = _row_sums(got, block.offsets[at : stop + 1] - i)
+        at = stop
+    return z
+
+
 def statistics(z: np.ndarray) -> np.ndarray:
     """[n, sums, sums of squares] as one vector, additive over blocks."""
     return np.concatenate([[len(z)], z.sum(0), (z * z).sum(0)])
@@ -186,12 +249,3 @@ def gram_parts(vector: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     upper = np.triu_indices(k)
     a[upper] = vector[: len(upper[0])]
     return a + np.triu(a, 1).T, vector[len(upper[0]) :]
-
-
-def scores_of(p: np.ndarray, w: np.ndarray) -> np.ndarray:
-    """f (n x classes) from memberships and cell scores w (classes x cells)."""
-    return p @ w.T
-
-
-def loss_rows(loss: Loss, score: np.ndarray, y: np.ndarray) -> float:
-    return float(loss.value(score, y).sum())

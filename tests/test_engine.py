@@ -149,10 +149,10 @@ def test_engines_agree(emb):
 def test_state_strategies_agree(emb, spark, tmp_path):
     spec = Spec("dense", 4, 64)
     one = fit(emb, spec, rounds=3, engine="local")
-    for state in ("carry", "side", "driver"):
+    for state in ("blocks", "carry", "side", "driver"):
         assert _close(one, fit(emb, spec, rounds=3, partitions=3, state=state, checkpoint_every=0)), state
     spark.sparkContext.setCheckpointDir(str(tmp_path))
-    for state in ("carry", "side"):
+    for state in ("blocks", "carry", "side"):
         assert _close(one, fit(emb, spec, rounds=3, state=state, checkpoint_every=2)), state
     with pytest.raises(ValueError):
         fit(emb, spec, rounds=1, state="none")
@@ -198,12 +198,57 @@ def test_losses_fall_and_models_persist(emb, spark, tmp_path):
 
 def test_shortcuts(emb):
     spec = Spec("dense", 8, 64, keep=0.3)
-    assert np.allclose(moment_stats(emb, spec, [0, 4]), cell_stats_block(emb, spec, [0, 4])[0])
+    assert np.allclose(moment_stats(emb, spec, [0, 4])[0], cell_stats_block(emb, spec, [0, 4])[0])
     assert _close(fit(emb, spec, "squared", 4, engine="local"), fit_squared_block(emb, spec, 4))
     sampled = fit(emb, spec, rounds=2, subsample=0.5, engine="local")
     assert len(sampled.rounds) == 2
 
 
+def test_rows_drawn_by_their_number(emb):
+    from softsplit.operators.boost import _keep_rows
+
+    rid = np.arange(20_000)
+    one, two = _keep_rows(rid[:10_000], 0, 0, 0.3), _keep_rows(rid[10_000:], 0, 0, 0.3)
+    assert (one != two).any() and abs(one.mean() - 0.3) < 0.03 and abs(two.mean() - 0.3) < 0.03
+    assert abs((one & _keep_rows(rid[:10_000], 1, 0, 0.3)).mean() - 0.09) < 0.02
+    spec = Spec("dense", 4, 64)
+    a, b = (fit(emb, spec, rounds=2, subsample=0.5, partitions=p) for p in (2, 5))
+    assert _close(a, b) and _close(a, fit(emb, spec, rounds=2, subsample=0.5, engine="local"))
+
+
+def test_block_numbers_are_dealt_evenly(spark):
+    from softsplit.operators.boost import murmur3, numbers_dealt_to
+
+    given = np.array([0, 1, -1, 7, 2**40 + 3, -(2**62)])
+    df = spark.createDataFrame([(int(x),) for x in given], "id long").select("id", F.hash("id").alias("h"))
+    assert {r["id"]: r["h"] for r in df.collect()} == dict(zip(given.tolist(), murmur3(given).tolist()))
+    for part in range(3):
+        numbers = numbers_dealt_to(part, 3)
+        rows = spark.createDataFrame([(next(numbers),) for _ in range(20)], "bid long").repartition(3, "bid")
+        assert {r["p"] for r in rows.select(F.spark_partition_id().alias("p")).collect()} == {part}
+
+
+def test_a_round_keeps_only_scores(words, monkeypatch):
+    """What the default engine persists anew in a round has no features."""
+    kept, persist = [], type(words.train).persist
+    monkeypatch.setattr(type(words.train), "persist", lambda self, *a, **k: kept.append(self.columns) or persist(self, *a, **k))
+    fit(words.train, words.spec, rounds=3, partitions=2)
+    assert kept[0] == ["bid", "n", "y", "rid", "x", "offsets", "feats", "back", "vals"]
+    assert kept[1:] == [["bid", "score", "v"]] * 3
+
+
+def test_features_that_share_a_round_code_part_in_others():
+    codes = np.random.default_rng(0).integers(0, 2**62, 200_000)
+    first = [mix_code_np(codes, r, np.arange(1))[:, 0] for r in (0, 1)]
+    pairs = []
+    for x in first:
+        order = np.argsort(x, kind="stable")
+        same = np.flatnonzero(x[order][1:] == x[order][:-1])
+        pairs.append({tuple(sorted((int(order[i]), int(order[i + 1])))) for i in same})
+    assert not pairs[0] & pairs[1]
+    assert len(pairs[0]) < 60  # about n**2 / 2**32
+
+
 def test_null_labels_and_empty(emb, spark):
     some = emb.withColumn("y", F.when(F.col("rid") % 3 == 0, F.col("y")))
     model = fit(some, Spec("dense", 4, 64), rounds=2, engine="local")
