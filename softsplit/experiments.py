@@ -39,7 +39,9 @@ def _split(df: DataFrame, key: str = "rid") -> tuple[DataFrame, DataFrame]:
 
 
 def _class_code(column: str, names: Sequence[str]) -> F.Column:
-    return (F.array_position(F.array(*map(F.lit, names)), F.col(column)) - 1).cast("double")
+    """The place of a class among names; null, which no trainer or measure takes, for any other."""
+    place = F.array_position(F.array(*map(F.lit, names)), F.col(column))
+    return F.when(place > 0, place - 1).cast("double")
 
 
 def _embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -95,7 +97,7 @@ def workload(name: str, spark: SparkSession, sf_dir: str, cells: int = 64, seed:
         return Workload(name, *_split(rows), replace(sparse, row_norm="l2"), "softmax", "map", 4)
     if name == "words_role":
         turns = load(spark, sf_dir, "conversations")
-        rows = turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("rid"), *features.coded(features.word_set(F.col("text"))), _class_code("role", ("system", "user", "assistant")).alias("y"))
+        rows = turns.select((F.shiftleft("conv_id", 32) + F.col("turn")).alias("rid"), *features.coded(features.word_set(F.col("text"))), _class_code("role", ("system", "user", "assistant")).alias("y"))
         return Workload(name, *_split(rows), replace(sparse, row_norm="l2"), "softmax", "map", 3)
     if name in ("onehot_easy", "onehot_hard"):
         wide = _star(spark, sf_dir)

@@ -33,26 +33,42 @@ def prefix_sum(df: DataFrame, order: str, value: str, out: str, partitions: int
     Rows are range-partitioned, summed within each range, and shifted by the totals of earlier ranges
     (one number for each range). Rows of equal order fall into one range.
     """
-    spark = df.sparkSession
-    n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return prefix_sums(df, order, {out: value}, partitions)
+
+
+def prefix_sums(df: DataFrame, order: str, values: dict[str, str], partitions: int | None = None) -> DataFrame:
+    """prefix_sum of several columns at once; values: name of the result -> column.
+
+    The ranges stay cached, since the totals and the rows must see the same ones; Spark lets them go with
+    the session's last reference or unpersist().
+    """
+    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ranged = df.repartitionByRange(n, order).withColumn("range_no", F.spark_partition_id()).persist()
-    totals = ranged.groupBy("range_no").agg(F.sum(value).alias("total"))
+    totals = ranged.groupBy("range_no").agg(*[F.sum(v).alias(f"total_{o}") for o, v in values.items()])
     earlier = Window.orderBy("range_no").rowsBetween(Window.unboundedPreceding, -1)
-    base = totals.select("range_no", F.coalesce(F.sum("total").over(earlier), F.lit(0)).alias("base"))
+    base = totals.select("range_no", *[F.coalesce(F.sum(f"total_{o}").over(earlier), F.lit(0)).alias(f"base_{o}") for o in values])
     within = Window.partitionBy("range_no").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
-    return (
-        ranged.join(F.broadcast(base), "range_no")  # one row for each range
-        .withColumn(out, F.col("base") + F.coalesce(F.sum(value).over(within), F.lit(0)))
-        .drop("range_no", "base")
-    )
+    joined = ranged.join(F.broadcast(base), "range_no")  # one row for each range
+    for o, v in values.items():
+        joined = joined.withColumn(o, F.col(f"base_{o}") + F.coalesce(F.sum(v).over(within), F.lit(0)))
+    return joined.drop("range_no", *[f"base_{o}" for o in values])
 
 
 def average_precision(df: DataFrame, score: str = "score", y: str = "y", tie: str = "rid", by: tuple[str, ...] = ()) -> DataFrame:
-    """(by, ap): mean over positives of the precision at their place, order score descending, then tie."""
-    order = Window.partitionBy(*by).orderBy(F.col(score).desc(), F.col(tie))
-    ranked = df.filter(F.col(y).isNotNull()).withColumn("place", F.row_number().over(order))
-    hits = ranked.withColumn("hits", F.sum(F.col(y).cast("long")).over(order.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
-    return hits.filter(F.col(y) == 1).groupBy(*by).agg(F.avg(F.col("hits") / F.col("place")).alias("ap"))
+    """(by, ap): mean over positives of the precision at their place, order score descending, then tie.
+
+    Places and hits are numbered over all rows in ranges of (by, score, tie), so a class or a round is not
+    one task's; what lies before a group is taken off again (a row for each group).
+    """
+    rows = df.filter(F.col(y).isNotNull()).select(
+        F.struct(*by, (-F.col(score)).alias("down"), F.col(tie).alias("tie")).alias("at"), F.col(y).cast("long").alias("hit"), F.lit(1).cast("long").alias("one")
+    )
+    ranked = prefix_sums(rows, "at", {"place": "one", "hits": "hit"})
+    group = [F.col(f"at.{c}").alias(c) for c in by]
+    base = ranked.groupBy(*group).agg(F.min("place").alias("place0"), F.min("hits").alias("hits0"))
+    positive = ranked.filter("hit = 1").select(*group, (F.col("place") + 1).alias("place"), (F.col("hits") + 1).alias("hits"))
+    joined = positive.join(F.broadcast(base), [*by]) if by else positive.crossJoin(F.broadcast(base))  # one row without groups
+    return joined.groupBy(*by).agg(F.avg((F.col("hits") - F.col("hits0")) / (F.col("place") - F.col("place0"))).alias("ap"))
 
 
 def mean_ap(df: DataFrame, scores: str = "scores", y: str = "y", tie: str = "rid", by: tuple[str, ...] = ()) -> DataFrame:

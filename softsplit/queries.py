@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from .baselines import bundling, trees
 from .functions import cost, features, losses, metrics
-from .functions.hashing import bits_to_unit, hash_weight, md5_code, simhash
+from .functions.hashing import ADDENDS, HALF, LOW_BITS, MASK, MULTIPLIERS, bits_to_unit, hash_weight, md5_code, simhash
 from .operators import relational as rel
 from .operators.solve import solve_scores
 from .plans import catalyst as cat
@@ -65,10 +65,31 @@ def _z_sql(round_: int, k: int) -> str:
     return f"SELECT rid, cell, sum(v * {sym}) AS z FROM x, range({k}) c(cell) GROUP BY rid, cell"
 
 
-def _p_sql(round_: int, k: int) -> str:
+def _mix_sql(round_: int) -> str:
+    """The weight of (feature code c, round, cell) by the integer steps of functions.hashing."""
+    m, (a0, a1), mask = MULTIPLIERS, ADDENDS[:2], MASK
+    steps = [
+        ("x1", f"((c & {HALF}) * {m[0]} + {(round_ + 1) * a0}) & {mask}"),
+        ("x2", f"(xor(xor(x1, x1 >> 15), c >> 31) * {m[2]}) & {mask}"),
+        ("x3", f"(xor(x2, x2 >> 13) * {m[1]}) & {mask}"),
+        ("x4", f"xor(xor(x3, x3 >> 16), ((cell + 1) * {a1}) & {mask})"),
+        ("x5", f"(x4 * {m[1]}) & {mask}"),
+        ("x6", f"(xor(x5, x5 >> 15) * {m[2]}) & {mask}"),
+    ]
+    inner = "SELECT rid, c, cell::BIGINT AS cell FROM f, range({k}) t(cell)"
+    for name, value in steps:
+        inner = f"SELECT *, ({value})::BIGINT AS {name} FROM ({inner})"
+    return f"SELECT rid, cell, sum((xor(x6, x6 >> 16) & {LOW_BITS}) / {(LOW_BITS + 1) // 2}.0::DOUBLE - 1.0) AS z FROM ({inner}) GROUP BY rid, cell"
+
+
+def _word_z_sql(round_: int, k: int) -> str:
+    return _mix_sql(round_).replace("{k}", str(k))
+
+
+def _p_sql(round_: int, k: int, z=None) -> str:
     """CTEs z, stats, zt, p of a round, named by it."""
     r = round_
-    return f"""z{r} AS ({_z_sql(r, k)}),
+    return f"""z{r} AS ({(z or _z_sql)(r, k)}),
 s{r} AS (SELECT cell, count(*) AS n, sum(z) AS s, sum(z * z) AS ss FROM z{r} GROUP BY cell),
 zt{r} AS (SELECT rid, z{r}.cell, (z - s / n) / sqrt((ss - n * (s / n) * (s / n)) / (n - 1)) AS zt FROM z{r} JOIN s{r} ON z{r}.cell = s{r}.cell),
 e{r} AS (SELECT rid, cell, exp(zt - max(zt) OVER (PARTITION BY rid)) AS e, zt FROM zt{r}),
@@ -259,14 +280,24 @@ def grad_sums(spark, sf_dir):
 
 
 @query(f"""WITH {_EMB}, {_p_sql(0, 4)}
-SELECT cls::INT AS cls, cell::INT AS j, {fixed_sql('sum(p * (0.1 - (label = cls)::INT))')} AS b, {fixed_sql('sum(0.09 * p * p)')} AS a
-FROM p0 JOIN y ON y.rid = p0.rid, range(10) c(cls) GROUP BY cls, cell""")
+SELECT cls::INT AS cls, a.cell::INT AS j, b.cell::INT AS k, {fixed_sql('sum((0.05 + 0.01 * (cls + y.label)) * a.p * b.p)')} AS a
+FROM p0 a JOIN p0 b ON a.rid = b.rid AND a.cell <= b.cell JOIN y ON y.rid = a.rid, range(10) c(cls) GROUP BY cls, a.cell, b.cell""")
 def gram_sums_multiclass(spark, sf_dir):
-    """One splitter for all ten classes; the diagonal of each class's Gram matrix and its gradient."""
+    """One splitter for all ten classes; the upper triangle of each class's Gram matrix, with a curvature of its own."""
+    rows = _class_rows(spark, sf_dir)
+    return cat.gram_sums(rows, ("cls",)).select("cls", "j", "k", fixed(F.col("a")).alias("a"))
+
+
+def _class_rows(spark, sf_dir):
     rows = _emb_rows(spark, sf_dir).select("p", "label", F.explode(F.sequence(F.lit(0), F.lit(9))).alias("cls"))
-    rows = rows.withColumns({"g": F.lit(0.1) - (F.col("label") == F.col("cls")).cast("int"), "h": F.lit(0.09)})
-    a = cat.gram_sums(rows, ("cls",)).filter("j = k").select("cls", "j", fixed(F.col("a")).alias("a"))
-    return cat.grad_sums(rows, ("cls",)).select("cls", "j", fixed(F.col("b")).alias("b")).join(a, ["cls", "j"])
+    return rows.withColumns({"g": F.lit(0.1) - (F.col("label") == F.col("cls")).cast("int"), "h": 0.05 + 0.01 * (F.col("cls") + F.col("label"))})
+
+
+@query(f"""WITH {_EMB}, {_p_sql(0, 4)}
+SELECT cls::INT AS cls, cell::INT AS j, {fixed_sql('sum(p * (0.1 - (label = cls)::INT))')} AS b
+FROM p0 JOIN y ON y.rid = p0.rid, range(10) c(cls) GROUP BY cls, cell""")
+def grad_sums_multiclass(spark, sf_dir):
+    return cat.grad_sums(_class_rows(spark, sf_dir), ("cls",)).select("cls", "j", fixed(F.col("b")).alias("b"))
 
 
 def _solved(spark, sf_dir, k, lam=1.0):
@@ -332,14 +363,42 @@ def solve_scores_k4(spark, sf_dir):
     return _w_rows(spark, _solved(spark, sf_dir, 4))
 
 
-_ROUND1 = f"""WITH {_EMB}, {_p_sql(0, 2)}, {_elimination_sql(2, 1.0, 'p0', '(0.5 - half)', '0.25', 'wa')},
+_LOGISTIC = ("(0.5 - half)", "0.25", "1.0 / (1.0 + exp(-score)) - half", "greatest(1.0 / (1.0 + exp(-score)) * (1 - 1.0 / (1.0 + exp(-score))), 1e-6)")
+_SQUARED = ("(0.0 - half)", "1.0", "score - half", "1.0")
+
+
+def _round1_sql(head: str, loss: tuple = _LOGISTIC, z=None) -> str:
+    return f"""WITH {head}, {_p_sql(0, 2, z)}, {_elimination_sql(2, 1.0, 'p0', loss[0], loss[1], 'wa')},
 score1 AS (SELECT rid, 0.3 * sum(p * CASE cell WHEN 0 THEN w0 ELSE w1 END) AS score FROM p0, wa GROUP BY rid)"""
-_ROUND2 = f"""{_ROUND1},
-y2 AS (SELECT y.rid, 1.0 / (1.0 + exp(-score)) - half AS g, greatest(1.0 / (1.0 + exp(-score)) * (1 - 1.0 / (1.0 + exp(-score))), 1e-6) AS h FROM y JOIN score1 ON y.rid = score1.rid),
-{_p_sql(1, 2)}, {_elimination_sql(2, 1.0, 'p1', 'y2.g', 'y2.h', 'wb').replace('JOIN y ON y.rid', 'JOIN y2 ON y2.rid')},
+
+
+def _round2_sql(head: str, loss: tuple = _LOGISTIC, z=None) -> str:
+    """Two rounds on rows y (rid, half) with two cells, ridge 1 and shrinkage 0.3, up to score2 (rid, score)."""
+    return f"""{_round1_sql(head, loss, z)},
+y2 AS (SELECT y.rid, {loss[2]} AS g, {loss[3]} AS h FROM y JOIN score1 ON y.rid = score1.rid),
+{_p_sql(1, 2, z)}, {_elimination_sql(2, 1.0, 'p1', 'y2.g', 'y2.h', 'wb').replace('JOIN y ON y.rid', 'JOIN y2 ON y2.rid')},
 score2 AS (SELECT p1.rid, any_value(score1.score) + 0.3 * sum(p * CASE cell WHEN 0 THEN w0 ELSE w1 END) AS score FROM p1 JOIN score1 ON score1.rid = p1.rid, wb GROUP BY p1.rid)"""
 
 
+_ROUND1, _ROUND2 = _round1_sql(_EMB), _round2_sql(_EMB)
+_SCORES = "SELECT rid, floor(score * 1000000 + 0.5)::BIGINT AS score FROM score2"
+_WORD_HEAD = f"""f AS (SELECT rid, ('0x' || substr(md5(f), 1, 15))::BIGINT AS c FROM (SELECT d.doc_id AS rid, unnest({_WORDS}) AS f FROM documents d JOIN labels l ON l.doc_id = d.doc_id)),
+y AS (SELECT doc_id AS rid, quality AS half FROM labels)"""
+
+# two rounds of ten classes with one splitter: u and v are the memberships of its two cells
+_CLASS_W = """SELECT cls, (b1 * a01 - b0 * a11) / (a00 * a11 - a01 * a01) AS w0, (b0 * a01 - b1 * a00) / (a00 * a11 - a01 * a01) AS w1 FROM (
+  SELECT cls, sum(h * u * u) + 1 AS a00, sum(h * u * v) AS a01, sum(h * v * v) + 1 AS a11, sum(g * u) AS b0, sum(g * v) AS b1 FROM {q} GROUP BY cls)"""
+_UV = "SELECT rid, max(CASE cell WHEN 0 THEN p END) AS u, max(CASE cell WHEN 1 THEN p END) AS v FROM {p} GROUP BY rid"
+_CLASSES2 = f"""WITH {_EMB}, {_p_sql(0, 2)}, {_p_sql(1, 2)}, uva AS ({_UV.format(p='p0')}), uvb AS ({_UV.format(p='p1')}),
+qa AS (SELECT uva.*, cls, 0.1 - (label = cls)::INT AS g, 0.09 AS h FROM uva JOIN y ON y.rid = uva.rid, range(10) c(cls)),
+wca AS ({_CLASS_W.format(q='qa')}),
+sa AS (SELECT rid, qa.cls, 0.3 * (u * w0 + v * w1) AS s FROM qa JOIN wca ON wca.cls = qa.cls),
+ea AS (SELECT rid, cls, s, exp(s) / sum(exp(s)) OVER (PARTITION BY rid) AS q FROM sa),
+qb AS (SELECT uvb.*, cls, s, q - (label = cls)::INT AS g, greatest(q * (1 - q), 1e-6) AS h FROM uvb JOIN y ON y.rid = uvb.rid JOIN ea ON ea.rid = uvb.rid),
+wcb AS ({_CLASS_W.format(q='qb')})
+SELECT rid, qb.cls::INT AS cls, floor((s + 0.3 * (u * w0 + v * w1)) * 1000000 + 0.5)::BIGINT AS score FROM qb JOIN wcb ON wcb.cls = qb.cls"""
+
+
 def _one_round(rows: DataFrame, k: int, lam: float = 1.0, eta: float = 0.3) -> DataFrame:
     """rows (rid, p, score, half) with the round's scores added."""
     import numpy as np
@@ -933,13 +992,77 @@ def _curve_of(spark, sf_dir, name, rounds, cells=16, engine="jobs", **kw):
     return metrics.curve(model.staged(w.test), w.metric).select("round", F.round("value", 9).alias("value"))
 
 
-@query()
+def _trained(spark, sf_dir, loss="logistic", **kw):
+    """Scores of all embeddings after two rounds of a trainer with two cells, drawn by md5 so that SQL has them too."""
+    from .operators.boost import fit
+    from .plans.kernel import Spec
+
+    rows = embedding_rows(spark, sf_dir).select("rid", "x", F.col("half").cast("double").alias("y"))
+    model = fit(rows, Spec("dense", 2, 64, hash_fn="md5"), loss, rounds=2, **kw)
+    return _scores_of(model.transform(rows.select("rid", "x")))
+
+
+def _scores_of(scored: DataFrame) -> DataFrame:
+    return scored.select("rid", F.floor(F.col("score")[0] * 1000000 + 0.5).cast("bigint").alias("score"))
+
+
+@query(f"{_ROUND2} {_SCORES}")
 def ssb_train_binary(spark, sf_dir):
+    return _trained(spark, sf_dir)
+
+
+@query(f"{_ROUND2} {_SCORES}")
+def ssb_train_lookahead(spark, sf_dir):
+    """Statistics scanned round by round instead of from second moments."""
+    return _trained(spark, sf_dir, lookahead=1)
+
+
+@query(f"{_ROUND2} {_SCORES}")
+def ssb_train_carried_state(spark, sf_dir):
+    return _trained(spark, sf_dir, state="carry", partitions=3)
+
+
+@query(f"{_ROUND2} {_SCORES}")
+def ssb_train_driver_state(spark, sf_dir):
+    return _trained(spark, sf_dir, state="driver")
+
+
+@query(f"{_round2_sql(_EMB, _SQUARED)} {_SCORES}")
+def ssb_train_squared(spark, sf_dir):
+    return _trained(spark, sf_dir, "squared")
+
+
+@query(_CLASSES2)
+def ssb_train_multiclass(spark, sf_dir):
+    from .operators.boost import fit
+    from .plans.kernel import Spec
+
+    rows = embedding_rows(spark, sf_dir).select("rid", "x", F.col("label").cast("double").alias("y"))
+    model = fit(rows, Spec("dense", 2, 64, hash_fn="md5"), "softmax", rounds=2, classes=10)
+    long = model.transform(rows.select("rid", "x")).select("rid", F.posexplode("score").alias("cls", "s"))
+    return long.select("rid", "cls", F.floor(F.col("s") * 1000000 + 0.5).cast("bigint").alias("score"))
+
+
+@query(f"{_round2_sql(_WORD_HEAD, _LOGISTIC, _word_z_sql)} {_SCORES}")
+def ssb_train_hashed_words(spark, sf_dir):
+    """The sparse trainer: words named by md5, weights by the trainers' own integer steps."""
+    from .operators.boost import fit
+    from .plans.kernel import Spec
+
+    labels = load(spark, sf_dir, "labels", ["doc_id", "quality"]).select(F.col("doc_id").alias("rid"), F.col("quality").cast("double").alias("y"))
+    named = word_rows(spark, sf_dir).filter(F.size("feats") > 0)
+    rows = named.select("rid", *features.coded(F.col("feats"), "md5")).join(labels, "rid")
+    model = fit(rows, Spec("sparse", 2), rounds=2)
+    return _scores_of(model.transform(rows.select("rid", "codes", "vals")))
+
+
+@query()
+def ssb_curve_binary(spark, sf_dir):
     return _curve_of(spark, sf_dir, "emb_half", 8)
 
 
 @query()
-def ssb_train_multiclass(spark, sf_dir):
+def ssb_curve_multiclass(spark, sf_dir):
     return _curve_of(spark, sf_dir, "letters_lang", 5)
 
 
@@ -953,18 +1076,31 @@ def ssb_train_sparse_words(spark, sf_dir):
     return _curve_of(spark, sf_dir, "words_quality", 5)
 
 
-@query()
+@query(f"{_ROUND2} {_SCORES}")
 def ssb_train_barrier(spark, sf_dir):
-    return _curve_of(spark, sf_dir, "emb_half", 3, engine="barrier", partitions=1)
+    """Two tasks that exchange their sums."""
+    return _trained(spark, sf_dir, engine="barrier", partitions=2)
 
 
-@query()
+@query(f"{_ROUND2} {_SCORES}")
 def ssb_train_local(spark, sf_dir):
-    return _curve_of(spark, sf_dir, "emb_half", 8, engine="local")
+    return _trained(spark, sf_dir, engine="local")
 
 
-@query()
+@query(f"{_ROUND2} {_SCORES}")
 def ssb_train_federated(spark, sf_dir):
+    """Seven clients that send sums only."""
+    from .operators.boost import fit_federated
+    from .plans.kernel import Spec
+
+    rows = embedding_rows(spark, sf_dir).select("rid", "x", F.col("half").cast("double").alias("y"), (F.col("rid") % 7).alias("client"))
+    model, _ = fit_federated(rows, "client", Spec("dense", 2, 64, hash_fn="md5"), rounds=2)
+    return _scores_of(model.transform(rows.select("rid", "x")))
+
+
+@query("""SELECT r::INT AS round, step, client::VARCHAR AS client, CASE step WHEN 'statistics' THEN 8 * (2 * 8 + 1) ELSE 8 * (8 * 9 // 2 + 8 + 2) END::BIGINT AS bytes
+FROM range(2) a(r), (VALUES ('statistics'), ('sums')) b(step), (SELECT DISTINCT user_id % 10 AS client FROM events) c""")
+def federated_messages(spark, sf_dir):
     """The message log of two rounds with users as clients."""
     from .operators.boost import fit_federated
     from .plans.kernel import Spec
@@ -976,15 +1112,50 @@ def ssb_train_federated(spark, sf_dir):
     return spark.createDataFrame([(m["round"], m["step"], m["client"], m["bytes"]) for m in messages], "round int, step string, client string, bytes long")
 
 
-@query()
+@query(f"{_round2_sql(_EMB, _SQUARED)} {_SCORES}")
 def ssb_train_squared_block(spark, sf_dir):
-    """Cell scores of four squared-loss rounds from one scan."""
+    """All squared-loss rounds from one scan of cross-Grams."""
     from .operators.boost import fit_squared_block
+    from .plans.kernel import Spec
+
+    rows = embedding_rows(spark, sf_dir).select("rid", "x", F.col("half").cast("double").alias("y"))
+    model = fit_squared_block(rows, Spec("dense", 2, 64, hash_fn="md5"), 2)
+    return _scores_of(model.transform(rows.select("rid", "x")))
+
+
+def _regression_curve(spark, sf_dir, name):
+    """The RMSE of the test rows after each of five rounds."""
+    from .operators.boost import fit
 
-    w = _workload("revenue", spark, sf_dir, 8)
-    model = fit_squared_block(w.train, w.spec, 4)
-    rows = [(r.round, j, float(x)) for r in model.rounds for j, x in enumerate(r.w[0])]
-    return spark.createDataFrame(rows, "round int, cell int, w double").withColumn("w", F.round("w", 6))
+    w = _workload(name, spark, sf_dir, 8)
+    staged = fit(w.train, w.spec, w.loss, 5).staged(w.test)
+    error = (F.col("score")[0] - F.col("y")) ** 2
+    return staged.groupBy("round").agg(F.round(F.sqrt(F.avg(error)), 6).alias("value"))
+
+
+@query()
+def ssb_curve_revenue(spark, sf_dir):
+    return _regression_curve(spark, sf_dir, "revenue")
+
+
+@query()
+def ssb_curve_total_price(spark, sf_dir):
+    """A control: the price of an order cannot be told from its priority and customer."""
+    return _regression_curve(spark, sf_dir, "total_price")
+
+
+def _workload_curves() -> None:
+    """A test curve of five rounds for each workload that no other query trains."""
+    for name in ("emb_prod", "emb_sign16", "emb_label", "letters_source", "words_toxic", "words_quality_small_train", "words_lang", "words_role", "onehot_easy", "onehot_hard", "ids"):
+
+        def run(spark, sf_dir, name=name):
+            return _curve_of(spark, sf_dir, name, 5)
+
+        run.__name__ = f"ssb_curve_{name}"
+        query()(run)
+
+
+_workload_curves()
 
 
 @query()
@@ -1088,9 +1259,9 @@ def duplicates_sensitivity(spark, sf_dir):
     return spark.createDataFrame(rows, "rows string, train_rows long, value double").withColumn("value", F.round("value", 6))
 
 
-@query()
+@query(f"{_ROUND2} {_SCORES}")
 def ssb_train_side_state(spark, sf_dir):
-    return _curve_of(spark, sf_dir, "emb_half", 4, state="side")
+    return _trained(spark, sf_dir, state="side")
 
 
 @query()
