@@ -4,8 +4,8 @@ Each of eight trees starts from a minwise token of the shingle set under a hash
 documents that chose the same token path. A node with more than a few hundred documents that are not near its
 head branches: it draws places of the minwise signature afresh from its own name, and a document goes to the
 child of its token at each of them. Smaller nodes are compared exhaustively on signatures. A pair at 0.75 shares a root node with
-0.75 and at least one child of a node with 1 - 0.25**3, so with three levels all eight trees miss it with
-probability 5e-5; of pairs in one node, 3e-6 fall short on the signature. What the nodes propose only groups
+0.75 and at least one child of a node with 1 - 0.25**2, so with three levels all eight trees miss it with
+probability 5e-4, and with 1.5e-5 where no node branches; of pairs in one node, 3e-6 fall short on the signature. What the nodes propose only groups
 documents into clusters; inside a cluster all links are found on full shingle sets.
 
 Groups that stay large, nodes at the last level and clusters, are not taken into one task. All their rows
@@ -85,7 +85,7 @@ def describe(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3) -> DataFrame:
+def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 2) -> DataFrame:
     """Links (a, b) that span the near documents of every node of the trees.
 
     The rows of a node of more than `most` are compared with its head. Where at most `most` rows, or at the
