@@ -1,16 +1,16 @@
 """MinHash near-dedup: chosen-path set similarity join over word shingles.
 
 Each of eight trees starts from a minwise token of the shingle set under a hash of its own. A node holds the
-documents that chose the same token path. A node with more than a few hundred documents that are not near its
-head branches: it draws places of the minwise signature afresh from its own name, and a document goes to the
+documents that chose the same token path. A node with more than a few hundred documents that are not near one of
+its heads branches: it draws places of the minwise signature afresh from its own name, and a document goes to the
 child of its token at each of them. Smaller nodes are compared exhaustively on signatures. A pair at 0.75 shares a root node with
 0.75 and at least one child of a node with 1 - 0.25**3, so with three levels all eight trees miss it with
 probability 5e-5; of pairs in one node, 3e-6 fall short on the signature. What the nodes propose only groups
 documents into clusters; inside a cluster all links are found on full shingle sets.
 
 Groups that stay large, nodes at the last level and clusters, are not taken into one task. All their rows
-are compared with the row of the smallest id. Those near it are one component, so only the others need more
-comparisons, among themselves and with all, in pairs of blocks.
+are compared with the row of the smallest id, in nodes with a few more rows in turn. Those near it are one
+component, so only the others need more comparisons, among themselves and with all, in pairs of blocks.
 """
 
 from __future__ import annotations
@@ -20,6 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql.types import BooleanType, StructField, StructType
 
 from ._store import Workspace
 from ._text import mix, raw, slices, windows, words
@@ -85,11 +86,12 @@ def describe(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3) -> DataFrame:
+def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int = 3, heads: int = 4) -> DataFrame:
     """Links (a, b) that span the near documents of every node of the trees.
 
-    The rows of a node of more than `most` are compared with its head. Where at most `most` rows, or at the
-    last level any number, are not near it, they meet all others in blocks; other large nodes branch.
+    The rows of a node of more than `most` are compared with its head. While more than `most` rows are not near
+    it, up to `heads` heads in turn, further ones are drawn from those rows. Where at most `most` rows are left,
+    or at the last level any number, they meet all others in blocks; other large nodes branch.
     """
     rows = sets.select("uid", "sign", F.posexplode("keys").alias("tree", "key")).select(F.xxhash64("tree", "key").alias("node"), "uid", "sign")
     links, small = [], []
@@ -103,15 +105,23 @@ def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int
         small.append(rows.join(side, "node", "left_anti").select("node", "uid", "sign"))
         told = told_by_head(rows.join(side, "node", "left_semi"), "node", "sign", near_head_signs, ws, f"nodes{level}")
         links.append(_head_links(told))
-        open_ = ws.save(told.filter("not near").groupBy("node").count().filter(F.col("count") > most).select("node"), f"open{level}")
-        n_open = open_.count() if level < depth else 0
-        side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
-        small.append(_apart_from_head(told.join(side, "node", "left_anti") if n_open else told, "node", most))
-        if not n_open:
+        for turn in range(1, heads + 1):
+            open_ = ws.save(told.filter("not near").groupBy("node").count().filter(F.col("count") > most).select("node"), f"open{level}-{turn}")
+            n_open = open_.count()
+            if not n_open:
+                break
+            side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
+            small.append(_apart_from_head(told.join(side, "node", "left_anti"), "node", most))
+            told = told.join(side, "node", "left_semi")
+            if turn < heads:
+                told, more = _by_another_head(told, turn, n_open, ws, f"nodes{level}-{turn}")
+                links.append(more)
+        if not n_open or level == depth:
+            small.append(_apart_from_head(told, "node", most))
             break
         place = [F.pmod(F.xxhash64("node", F.lit(j)), F.lit(SIGNATURE)).cast("int") for j in range(picks)]
         chosen = F.array(*[F.struct(p.alias("place"), F.substring("sign", 2 * p + 1, 2).alias("token")) for p in place])
-        rows = told.join(side, "node", "left_semi").withColumn("pick", F.explode(F.array_distinct(chosen)))
+        rows = told.withColumn("pick", F.explode(F.array_distinct(chosen)))
         rows = ws.save(rows.select(F.xxhash64("node", "pick.place", "pick.token").alias("node"), "uid", "sign"), f"level{level}")
     return _union([*links, propose(_union([x.select("node", "uid", "sign") for x in small]))])
 
@@ -188,15 +198,17 @@ def propose(nodes: DataFrame) -> DataFrame:
 
 
 def near_head_signs(rows: DataFrame) -> DataFrame:
-    """(node, uid, head, sign, near): whether the signature has LEAST_EQUAL places in common with the head's."""
+    """rows with near, whether the signature has LEAST_EQUAL places in common with the head's, for head_sign."""
+    kept = [f for f in rows.schema.fields if f.name != "head_sign"]
+    names = [f.name for f in kept]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             one, two = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(-1, SIGNATURE) for c in ("sign", "head_sign"))
-            cols = [batch.column(c) for c in ("node", "uid", "head", "sign")]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array((one == two).sum(1) >= LEAST_EQUAL)], names=["node", "uid", "head", "sign", "near"])
+            cols = [batch.column(c) for c in names]
+            yield pa.RecordBatch.from_arrays([*cols, pa.array((one == two).sum(1) >= LEAST_EQUAL)], names=[*names, "near"])
 
-    return rows.mapInArrow(run, "node long, uid long, head long, sign binary, near boolean")
+    return rows.mapInArrow(run, StructType([*kept, StructField("near", BooleanType())]))
 
 
 def near_head_texts(rows: DataFrame, percent: int, width: int) -> DataFrame:
@@ -256,6 +268,21 @@ def told_by_head(rows: DataFrame, group: str, carried: str, near, ws: Workspace,
     return ws.save(near(rows.join(F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads, group)), f"{name}-told")
 
 
+def _by_another_head(told: DataFrame, turn: int, groups: int, ws: Workspace, name: str) -> tuple[DataFrame, DataFrame]:
+    """told with more rows near, and the links (a, b) of another head of each node, drawn from the rows not near.
+
+    All rows of a node meet its new head. Those near it join the rows near the first head where one of these is
+    near it too, since both are then one component; otherwise they stay as they were.
+    """
+    drawn = F.min(F.struct(F.xxhash64("uid", F.lit(turn)), F.col("uid").alias("head"), F.col("sign").alias("head_sign"))).alias("drawn")
+    heads = ws.save(told.filter("not near").groupBy("node").agg(drawn).select("node", "drawn.head", "drawn.head_sign"), f"{name}-heads")
+    few = F.broadcast if groups * 2 * SIGNATURE <= SMALL_HEAD_BYTES else lambda df: df
+    again = ws.save(near_head_signs(told.drop("head").withColumnRenamed("near", "was").join(few(heads), "node")), f"{name}-told")
+    joined = again.filter("near and was").select("node", F.lit(True).alias("joined")).distinct()
+    grown = again.join(few(joined), "node", "left").withColumn("near", F.col("was") | (F.col("near") & F.coalesce("joined", F.lit(False))))
+    return grown.drop("was", "joined"), _head_links(again)
+
+
 def _head_links(told: DataFrame) -> DataFrame:
     return told.filter("near and uid != head").select(F.col("head").alias("a"), F.col("uid").alias("b"))
 
