@@ -111,13 +111,13 @@ def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int
             if not n_open:
                 break
             side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
-            small.append(_apart_from_head(told.join(side, "node", "left_anti"), "node", most))
+            small.append(ws.save(_apart_from_head(told.join(side, "node", "left_anti"), "node", most), f"apart{level}-{turn}"))
             told = told.join(side, "node", "left_semi")
             if turn < heads:
                 told, more = _by_another_head(told, turn, n_open, ws, f"nodes{level}-{turn}")
                 links.append(more)
         if not n_open or level == depth:
-            small.append(_apart_from_head(told, "node", most))
+            small.append(ws.save(_apart_from_head(told, "node", most), f"apart{level}"))
             break
         place = [F.pmod(F.xxhash64("node", F.lit(j)), F.lit(SIGNATURE)).cast("int") for j in range(picks)]
         chosen = F.array(*[F.struct(p.alias("place"), F.substring("sign", 2 * p + 1, 2).alias("token")) for p in place])
