@@ -293,6 +293,26 @@ def test_sharding(docs, rows, empty):
     assert lpt(np.array([5, 4, 3, 3, 3]), 2).tolist() == [0, 1, 1, 0, 1]
 
 
+def test_sharding_balance_beside_a_plain_heap(spark, sf_dir):
+    """The fullest of 40 shards holds at most a hundredth more than under a plain heap over all groups."""
+    import heapq
+
+    from softsplit.llm.sharding import lpt_shards
+
+    table = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    groups = Counter()
+    for r in table.collect():
+        groups[r["text"]] += len((r["text"] or "").encode()) + 16
+    heap = [0] * 40
+    for size in sorted(groups.values(), reverse=True):
+        heapq.heapreplace(heap, heap[0] + size)
+    load = Counter()
+    for r in lpt_shards(table, 40).collect():
+        load[r["shard"]] += r["size"]
+    assert sum(load.values()) == sum(heap) and len(load) == 40
+    assert max(load.values()) <= 1.01 * max(heap)
+
+
 def test_language_id(docs, rows, empty):
     from softsplit.llm.langid import language_id
 
