@@ -92,23 +92,27 @@ def near_links(sets: DataFrame, ws: Workspace, most: int, depth: int, picks: int
     last level any number, are not near it, they meet all others in blocks; other large nodes branch.
     """
     rows = sets.select("uid", "sign", F.posexplode("keys").alias("tree", "key")).select(F.xxhash64("tree", "key").alias("node"), "uid", "sign")
+    signs = sets.select(F.col("uid").alias("head"), F.col("sign").alias("head_sign"))
     links, small = [], []
     for level in range(depth + 1):
-        large = ws.save(rows.groupBy("node").count().filter(F.col("count") > most).select("node"), f"large{level}")
+        large = rows.groupBy("node").agg(F.count(F.lit(1)).alias("n"), F.min("uid").alias("head")).filter(F.col("n") > most)
+        large = ws.save(large.select("node", "head"), f"large{level}")
         n_large = large.count()
         if not n_large:
             small.append(rows)
             break
         side = F.broadcast(large) if n_large <= SMALL_HEADS else large
         small.append(rows.join(side, "node", "left_anti").select("node", "uid", "sign"))
-        told = told_by_head(rows.join(side, "node", "left_semi"), "node", "sign", near_head_signs, ws, f"nodes{level}")
+        heads = ws.save(signs.join(side, "head"), f"heads{level}")
+        told = told_by_head(rows, heads, "node", "sign", near_head_signs, ws, f"told{level}")
         links.append(_head_links(told))
-        open_ = ws.save(told.filter("not near").groupBy("node").count().filter(F.col("count") > most).select("node"), f"open{level}")
-        n_open = open_.count() if level < depth else 0
-        side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
-        small.append(_apart_from_head(told.join(side, "node", "left_anti") if n_open else told, "node", most))
+        sizes = ws.save(_near_and_far(told, "node"), f"sizes{level}")
+        open_ = sizes.filter((F.col("far") > most) & F.lit(level < depth)).select("node")
+        n_open = open_.count()
+        small.append(_apart_from_head(told, sizes.filter((F.col("far") <= most) | F.lit(level == depth)), "node", most))
         if not n_open:
             break
+        side = F.broadcast(open_) if n_open <= SMALL_HEADS else open_
         place = [F.pmod(F.xxhash64("node", F.lit(j)), F.lit(SIGNATURE)).cast("int") for j in range(picks)]
         chosen = F.array(*[F.struct(p.alias("place"), F.substring("sign", 2 * p + 1, 2).alias("token")) for p in place])
         rows = told.join(side, "node", "left_semi").withColumn("pick", F.explode(F.array_distinct(chosen)))
@@ -221,52 +225,50 @@ def near_head_texts(rows: DataFrame, percent: int, width: int) -> DataFrame:
     return rows.select("cluster", "uid", "head", "text", "head_text").mapInArrow(run, "cluster long, uid long, head long, text string, near boolean")
 
 
-def in_blocks(rows: DataFrame, group: str, uid: str, most: int) -> DataFrame:
-    """Splits each group into blocks and gives every pair of blocks a group of its own.
-
-    All pairs of a group's rows still meet, in tasks of bounded size; no pair is made here.
-    """
-    size = rows.groupBy(group).count().select(group, F.ceil(F.col("count") / most).cast("int").alias("blocks"))
-    rows = rows.join(size, group).withColumn("own", F.pmod(F.xxhash64(uid), F.col("blocks")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
-    rows = rows.select("*", other)
-    pair = F.xxhash64(group, F.least("own", "other"), F.greatest("own", "other"))
-    return rows.filter("blocks = 1 or other != own").withColumn(group, pair).drop("blocks", "own", "other")
-
-
-def _between(one: DataFrame, two: DataFrame, group: str, most: int) -> DataFrame:
-    """A group for each pair of a block of one and a block of two of the same group: all pairs between them meet."""
-    size = lambda df, name: df.groupBy(group).agg(F.ceil(F.count(F.lit(1)) / most).cast("int").alias(name))
-    sizes = size(one, "n1").join(size(two, "n2"), group)
-
-    def dealt(df: DataFrame, own: str, other: str, turn: bool) -> DataFrame:
-        df = df.join(sizes, group).withColumn("i", F.pmod(F.xxhash64("uid"), F.col(own)).cast("int"))
-        df = df.withColumn("j", F.explode(F.sequence(F.lit(0), F.col(other) - 1)))
-        return df.withColumn(group, F.xxhash64(group, F.lit("between"), "j" if turn else "i", "i" if turn else "j")).drop("n1", "n2", "i", "j")
-
-    return dealt(one, "n1", "n2", False).unionByName(dealt(two, "n2", "n1", True))
-
-
-def told_by_head(rows: DataFrame, group: str, carried: str, near, ws: Workspace, name: str) -> DataFrame:
-    """rows (group, uid and the column `carried`) with the head of their group, its smallest uid, and whether near(...) it."""
+def _smallest(rows: DataFrame, group: str, carried: str) -> DataFrame:
+    """(group, head, head_ and the column `carried`) of each group's smallest uid."""
     first = rows.groupBy(group).agg(F.min("uid").alias("head"))
     heads = rows.join(F.broadcast(first) if first.count() <= SMALL_HEADS else first, group).filter("uid = head")
-    heads = ws.save(heads.select(group, "head", F.col(carried).alias(f"head_{carried}")), f"{name}-heads")
+    return heads.select(group, "head", F.col(carried).alias(f"head_{carried}"))
+
+
+def told_by_head(rows: DataFrame, heads: DataFrame, group: str, carried: str, near, ws: Workspace, name: str) -> DataFrame:
+    """rows (group, uid and the column `carried`) of the groups of heads, each with its head and whether near(...) it."""
     weight = heads.agg(F.coalesce(F.sum(F.octet_length(f"head_{carried}")), F.lit(0))).first()[0]
-    return ws.save(near(rows.join(F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads, group)), f"{name}-told")
+    return ws.save(near(rows.join(F.broadcast(heads) if weight <= SMALL_HEAD_BYTES else heads, group)), name)
 
 
 def _head_links(told: DataFrame) -> DataFrame:
     return told.filter("near and uid != head").select(F.col("head").alias("a"), F.col("uid").alias("b"))
 
 
-def _apart_from_head(told: DataFrame, group: str, most: int) -> DataFrame:
+def _near_and_far(told: DataFrame, group: str) -> DataFrame:
+    return told.groupBy(group).agg(F.count_if("near").alias("close"), F.count_if(~F.col("near")).alias("far"))
+
+
+def _apart_from_head(told: DataFrame, sizes: DataFrame, group: str, most: int) -> DataFrame:
     """Groups of bounded size in which rows that are not near their head meet each other and all that are.
 
-    Rows near the head are one component, so they need not be compared with each other.
+    sizes has the counts of both kinds for the groups that count. Both kinds are dealt to blocks of about
+    `most` rows, and every pair of blocks of which one is far gets a group of its own: no pair of rows is made
+    here. Rows near the head are one component, so they need not be compared with each other.
     """
-    left, core = (told.filter(x).drop("near", "head") for x in ("not near", "near"))
-    return _between(left, core, group, most).unionByName(in_blocks(left, group, "uid", most))
+    blocks = sizes.filter("far > 0").select(group, *[F.ceil(F.col(c) / most).cast("int").alias(c) for c in ("close", "far")])
+    rows = told.join(F.broadcast(blocks) if blocks.count() <= SMALL_HEADS else blocks, group)
+    rows = rows.withColumn("own", F.pmod(F.xxhash64("uid"), F.when(F.col("near"), F.col("close")).otherwise(F.col("far"))).cast("int"))
+    own, close, far = F.col("own"), F.col("close"), F.col("far")
+
+    def others(n, name):
+        """name(i) of the blocks 0 to n - 1, none where there is no block."""
+        return F.when(n > 0, F.transform(F.sequence(F.lit(0), F.greatest(n - 1, F.lit(0))), name)).otherwise(F.array().cast("array<bigint>"))
+
+    def mixed(i, j):
+        return F.xxhash64(group, F.lit("between"), i, j)
+
+    among = others(far, lambda i: F.when((i != own) | (far == 1), F.xxhash64(group, F.least(i, own), F.greatest(i, own))))
+    far_groups = F.concat(others(close, lambda j: mixed(own, j)), F.array_compact(among))
+    groups = F.when(F.col("near"), others(far, lambda i: mixed(i, own))).otherwise(far_groups)
+    return rows.withColumn(group, F.explode(groups)).drop("close", "far", "own", "near", "head")
 
 
 def components(links: DataFrame, ws: Workspace, name: str) -> DataFrame:
@@ -390,8 +392,9 @@ def near_components(
     true_links = confirm(_members(texts, clusters.join(big, "cluster", "left_anti") if some_big else clusters, small_members), percent, width)
     if some_big:
         whole = ws.save(_members(texts, clusters.join(big, "cluster", "left_semi"), small_members), "large-clusters")
-        told = told_by_head(whole, "cluster", "text", lambda rows: near_head_texts(rows, percent, width), ws, "clusters-by-head")
-        rest = _apart_from_head(told, "cluster", cluster_size // 2)
+        heads = ws.save(_smallest(whole, "cluster", "text"), "cluster-heads")
+        told = told_by_head(whole, heads, "cluster", "text", lambda rows: near_head_texts(rows, percent, width), ws, "clusters-by-head")
+        rest = _apart_from_head(told, ws.save(_near_and_far(told, "cluster"), "cluster-sizes"), "cluster", cluster_size // 2)
         true_links = true_links.unionByName(_head_links(told)).unionByName(confirm(rest, percent, width))
     true_links = ws.save(true_links, "linked")
     copies = classes.filter("doc_id != uid").select(F.col("uid").alias("a"), F.col("doc_id").alias("b"))
