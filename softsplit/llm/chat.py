@@ -63,8 +63,9 @@ class RoleModel:
     def fit(units: DataFrame, smooth: float = 1.0) -> RoleModel:
         """From units (conv_id, turn, role, code) by counting; neighbours are turns with successive numbers."""
         known = units.filter(F.col("role").isNotNull())
-        before = known.select("conv_id", (F.col("turn") + 1).alias("turn"), F.col("role").alias("was"))
-        steps = known.join(before, ["conv_id", "turn"]).groupBy("was", "role").count().collect()
+        placed = known.filter(F.col("turn").isNotNull()).groupBy("conv_id", "turn", "role").count()  # repeated turns are not paired row by row
+        before = placed.select("conv_id", (F.col("turn") + 1).alias("turn"), F.col("role").alias("was"), F.col("count").alias("times"))
+        steps = placed.join(before, ["conv_id", "turn"]).groupBy("was", "role").agg(F.sum(F.col("count") * F.col("times")).alias("count")).collect()
         codes = F.posexplode("code").alias("feature", "level")
         emits = known.select("role", codes).groupBy("role", "feature", "level").count().collect()
         starts = known.filter(F.col("code")[FEATURES.index("first")] == 1).groupBy("role").count().collect()
@@ -147,7 +148,8 @@ def recover_roles(units: DataFrame, model: RoleModel, ws: Workspace, chunk: int
     n = len(model.roles)
     units = units.withColumn("chunk", F.coalesce(F.floor(F.col("turn") / chunk), F.lit(-1)).cast("long"))
     units = units.withColumn("key", F.xxhash64("conv_id", "chunk"))
-    dealt = units.repartition("conv_id", "chunk").sortWithinPartitions("key", "conv_id", "chunk", "turn")
+    order = ["key", "conv_id", "chunk", "turn", "code"]
+    dealt = units.repartition("conv_id", "chunk").sortWithinPartitions(*order)
 
     def ends(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table, at in _chunks(batches):
@@ -202,7 +204,7 @@ def recover_roles(units: DataFrame, model: RoleModel, ws: Workspace, chunk: int
     paths = paths.mapInArrow(join_chunks, f"conv_id {kind}, chunk long, entry int, leave int, opens boolean")
     paths = paths.select(F.col("conv_id").alias("c"), F.col("chunk").alias("k"), "entry", "leave", "opens")
     told = units.join(paths, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("chunk") == F.col("k"))).drop("c", "k")
-    told = told.repartition("conv_id", "chunk").sortWithinPartitions("key", "conv_id", "chunk", "turn")
+    told = told.repartition("conv_id", "chunk").sortWithinPartitions(*order, *[c for c in units.columns if c not in order])
     keep = [c for c in units.columns if c not in ("chunk", "key", "code")]
 
     def trace(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -237,8 +239,8 @@ def format_chats(
 
     The model counts conversations outside fold 0 of `folds` by crc32(conv_id); true roles are no input of a
     prediction. A turn is first when its number is the smallest of its conversation. Null texts are empty, null roles teach nothing, null
-    conversations are one conversation, null turns come first; turns of equal number follow in any order
-    of their own chunk; an empty table gives no rows; other columns are not read.
+    conversations are one conversation, null turns come first; turns of equal number follow by their feature codes,
+    then role and text, so reruns agree; an empty table gives no rows; other columns are not read.
     """
     ws = Workspace(turns.sparkSession, "chat")
     rows = turns.select(

@@ -683,3 +683,120 @@ def test_maxent_score_by_hand(spark, docs, rows):
             z = table[0].astype(float) + sum(table[k[0]].astype(float) for k in kinds)
             want += math.log10(softmax(z)[cls] * softmax(table[inner[0]].astype(float))[group] * (c[h] + 1) / (n_group[h >> bits] + v_group[h >> bits] + 1))
         assert not want or math.isclose(got[i]["score"], want, rel_tol=1e-4), (i, got[i]["score"], want)
+
+
+def _best_path(scores, first, step):
+    """Plain Viterbi: the best path's labels and its score."""
+    best, back = [f + s for f, s in zip(first, scores[0])], []
+    for s in scores[1:]:
+        ways = [max(range(len(best)), key=lambda j, k=k: best[j] + step[j][k]) for k in range(len(best))]
+        best = [best[j] + step[j][k] + s[k] for k, j in enumerate(ways)]
+        back.append(ways)
+    path = [max(range(len(best)), key=best.__getitem__)]
+    for ways in reversed(back):
+        path.append(ways[path[-1]])
+    return path[::-1], max(best)
+
+
+def _language_word(model, word):
+    """Letters and candidate scores of one word, gram by gram."""
+    from softsplit.llm.langid import BUCKETS, ORDERS, RANGES, SCRIPTS
+
+    bits = letters = 0
+    for c in word:
+        if c.isascii() and c.isalpha() or ord(c) >= 0xAA:
+            letters += 1
+            bits |= 1 << SCRIPTS.index([s for first, s in RANGES if first <= ord(c)][-1])
+    n = len(model.languages)
+    total, raw = [0.0] * n, b"\0\0\0 " + word.encode()
+    for end in range(4, len(raw)) if letters else ():
+        for k, order in enumerate(ORDERS):
+            bucket = (int.from_bytes(raw[end + 1 - order : end + 1], "big") * 2654435761 % 2**32 >> 16) + k * BUCKETS
+            total = [t + float(w) / len(ORDERS) for t, w in zip(total, model.weights[bucket])]
+    fits = [bits & ~int(s) == 0 for s in model.scripts]
+    return letters, [t - (1e4 if any(fits) and not f else 0) for t, f in zip(total, fits)]
+
+
+def test_language_query_against_brute_force_viterbi(spark, sf_dir):
+    from softsplit.llm.langid import train
+    from softsplit.llm.queries import QUERIES
+
+    rows = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang").collect()
+    learn = [(r["text"], r["lang"]) for r in rows if r["lang"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 5]
+    model = train(spark.createDataFrame(learn, "text string, lang string"))
+    got = _by_id(QUERIES["op1_language_id"](spark, sf_dir))
+    n, known = len(model.languages), {}
+    step = [[0 if j == k else -6.0 for k in range(n)] for j in range(n)]
+    assert len(got) == len(rows)
+    for r in rows:
+        words = [w for w in WORD.findall((r["text"] or "").lower())]
+        told = [known.get(w) or known.setdefault(w, _language_word(model, w)) for w in words]
+        mass = [0] * n
+        if told:
+            for (letters, _), k in zip(told, _best_path([s for _, s in told], [0.0] * n, step)[0]):
+                mass[k] += letters
+        have = got[r["doc_id"]]
+        if not any(map(str.isalpha, r["text"] or "")):
+            assert (have["lang_pred"], have["score"]) == ("und", 0)
+        else:
+            assert have["lang_pred"] == model.languages[max(range(n), key=mass.__getitem__)], r["doc_id"]
+            assert abs(have["score"] - max(mass) / sum(mass)) < 1e-9, r["doc_id"]
+
+
+def _turn_codes(text, first):
+    from softsplit.llm.chat import _MARK, LEVELS, MARKERS
+
+    text = text or ""
+    found = re.match(_MARK, text)
+    word = found.group(1).lower() if found else ""
+    marker = max([k for k, names in enumerate(MARKERS.values(), 1) if word in names], default=0)
+    end = {"?": 1, ".": 2, ":": 3}.get(text.rstrip(" ")[-1:], 0)
+    listed = re.search(r"(?m)^\s*(?:[-*]|\d+[.)]|```)", text) is not None
+    return [marker, min(int(math.log2(len(text) + 1)), LEVELS - 1), min(text.count("\n") + 1, 4), end, int(first), int(listed)]
+
+
+def test_chat_query_against_brute_force_viterbi(spark, sf_dir):
+    from softsplit.llm.chat import FEATURES, LEVELS
+    from softsplit.llm.queries import QUERIES
+
+    talks = defaultdict(list)
+    for r in spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text").collect():
+        talks[r["conv_id"]].append((r["turn"], r["role"], r["text"]))
+    roles = sorted({role for t in talks.values() for _, role, _ in t if role is not None})
+    n, starts, steps, emits, codes = len(roles), Counter(), Counter(), Counter(), {}
+    for conv, turns in talks.items():
+        turns.sort(key=lambda t: t[0])
+        codes[conv] = [_turn_codes(text, turn == turns[0][0]) for turn, _, text in turns]
+        if zlib.crc32(str(conv).encode()) % 5 == 0:
+            continue
+        for i, ((turn, role, _), code) in enumerate(zip(turns, codes[conv])):
+            starts[role] += code[FEATURES.index("first")]
+            emits.update((f, level, role) for f, level in enumerate(code))
+            if i and turns[i - 1][0] == turn - 1:
+                steps[turns[i - 1][1], role] += 1
+
+    def logs(counts):
+        return [math.log((c + 1) / (sum(counts) + len(counts))) for c in counts]
+
+    start, step = logs([starts[r] for r in roles]), [logs([steps[a, b] for b in roles]) for a in roles]
+    emit = {(f, r): logs([emits[f, level, r] for level in range(LEVELS)]) for f in range(len(FEATURES)) for r in roles}
+    got = defaultdict(list)
+    for r in QUERIES["op4_chat_format"](spark, sf_dir).collect():
+        got[r["conv_id"]].append((r["turn"], r["role_pred"]))
+    assert {c: len(t) for c, t in got.items()} == {c: len(t) for c, t in talks.items()}
+    for conv, turns in talks.items():
+        scores = [[sum(emit[f, r][level] for f, level in enumerate(code)) for r in roles] for code in codes[conv]]
+        path = [roles.index(p) for _, p in sorted(got[conv])]
+        value = start[path[0]] + sum(s[k] for s, k in zip(scores, path)) + sum(step[a][b] for a, b in zip(path, path[1:]))
+        assert abs(value - _best_path(scores, start, step)[1]) < 1e-6, conv
+
+
+def test_chat_repeated_turns_do_not_depend_on_partitions(spark):
+    from softsplit.llm.chat import format_chats
+
+    rng = random.Random(3)
+    texts = ["User: hi?", "Assistant: it is.", "a longer line with more words in it.", "- one\n- two", ""]
+    rows = [(c, rng.randrange(4), rng.choice(["user", "assistant"]), rng.choice(texts)) for c in range(12) for _ in range(20)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    one, two = (Counter(map(tuple, format_chats(d).collect())) for d in (df.coalesce(1), df.orderBy(F.rand(1)).repartition(7)))
+    assert one == two and sum(one.values()) == len(rows)
