@@ -66,6 +66,11 @@ class RoleModel:
         placed = known.filter(F.col("turn").isNotNull()).groupBy("conv_id", "turn", "role").count()  # repeated turns are not paired row by row
         before = placed.select("conv_id", (F.col("turn") + 1).alias("turn"), F.col("role").alias("was"), F.col("count").alias("times"))
         steps = placed.join(before, ["conv_id", "turn"]).groupBy("was", "role").agg(F.sum(F.col("count") * F.col("times")).alias("count")).collect()
+        return RoleModel.of_counts(known, steps, smooth)
+
+    @staticmethod
+    def of_counts(known: DataFrame, steps: list, smooth: float) -> RoleModel:
+        """From units (role, code), none of null role, and rows (was, role, count) of steps."""
         codes = F.posexplode("code").alias("feature", "level")
         emits = known.select("role", codes).groupBy("role", "feature", "level").count().collect()
         starts = known.filter(F.col("code")[FEATURES.index("first")] == 1).groupBy("role").count().collect()
@@ -225,6 +230,86 @@ def recover_roles(units: DataFrame, model: RoleModel, ws: Workspace, chunk: int
     return told.mapInArrow(trace, schema)
 
 
+def _lines(text: Column) -> Column:
+    return F.split(F.coalesce(text, F.lit("")), "\n")
+
+
+def _line_codes(lines: Column, opens: Column) -> Column:
+    """The codes of each line; with `opens` the first line is the first of a conversation."""
+    return F.transform(lines, lambda line, i: F.array(*[c.cast("int") for c in feature_codes(line, (i == 0) & opens)]))
+
+
+#: What a line state adds to its role: the first line of a turn, or a later one.
+BEGIN, INSIDE = "|begin", "|inside"
+
+
+def fit_lines(turns: DataFrame, smooth: float = 1.0) -> RoleModel:
+    """A model of transcript lines from turns (conv_id, turn, role, text).
+
+    Each role has two states, for the first line of a turn and for later ones. Blank lines have no state.
+    """
+    least = turns.groupBy("conv_id").agg(F.min("turn").alias("least")).withColumnRenamed("conv_id", "c")
+    rows = turns.filter(F.col("role").isNotNull()).join(least, F.col("conv_id").eqNullSafe(F.col("c")))
+    lines = F.filter(_lines(F.col("text")), lambda x: F.trim(x) != "")
+    codes = _line_codes(lines, F.coalesce(F.col("turn") == F.col("least"), F.lit(True)))
+    state = F.concat("role", F.when(F.col("nth") == 0, F.lit(BEGIN)).otherwise(F.lit(INSIDE)))
+    known = rows.select("role", F.posexplode(codes).alias("nth", "code")).select(state.alias("role"), "code")
+    sized = rows.select("conv_id", "turn", "role", F.size(lines).alias("n")).filter("n > 0")
+    held = sized.groupBy("role").agg(F.count_if(F.col("n") > 1).alias("second"), F.sum(F.greatest(F.col("n") - 2, F.lit(0))).alias("later"))
+    steps = []
+    for r in held.collect():
+        steps.append({"was": r["role"] + BEGIN, "role": r["role"] + INSIDE, "count": r["second"]})
+        steps.append({"was": r["role"] + INSIDE, "role": r["role"] + INSIDE, "count": r["later"]})
+    last = F.concat("role", F.when(F.col("n") > 1, F.lit(INSIDE)).otherwise(F.lit(BEGIN)))
+    ended = sized.filter(F.col("turn").isNotNull()).groupBy("conv_id", (F.col("turn") + 1).alias("turn"), last.alias("was")).agg(F.count(F.lit(1)).alias("times"))
+    begun = sized.groupBy("conv_id", "turn", F.concat("role", F.lit(BEGIN)).alias("role")).count()
+    across = begun.join(ended, ["conv_id", "turn"]).groupBy("was", "role").agg(F.sum(F.col("count") * F.col("times")).alias("count"))
+    steps = [r for r in [*steps, *across.collect()] if r["count"]]  # a state that no line has needs no step
+    return RoleModel.of_counts(known, steps, smooth)
+
+
+def parse_transcripts(transcripts: DataFrame, model: RoleModel, id_col: str = "id", text_col: str = "text") -> DataFrame:
+    """(conv_id, turn, role_pred, text, rendered): the turns of raw transcripts, one transcript a row.
+
+    The model is one of fit_lines. A turn begins at each line that the best path calls a first line or gives another
+    role, and has the blank lines up to the next one. Turns are numbered from 0. A transcript is read whole by one
+    task and rows are never grouped, so null and repeated ids are parsed row by row. A null, empty or blank text
+    has no turns; without a learned role a transcript is one turn of role null; other columns are not read.
+    """
+    shared = transcripts.sparkSession.sparkContext.broadcast(model)
+    kind = transcripts.schema[id_col].dataType.simpleString()
+    units = F.filter(F.transform(_lines(F.col(text_col)), lambda x, i: F.struct(i.alias("place"), x.alias("line"))), lambda u: F.trim(u["line"]) != "")
+    rows = transcripts.select(F.col(id_col).alias("conv_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), units.alias("units")).filter(F.size("units") > 0)
+    rows = rows.select("conv_id", "text", "units.place", F.flatten(_line_codes(F.col("units.line"), F.lit(True))).alias("code"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = shared.value
+        names = [x.removesuffix(BEGIN).removesuffix(INSIDE) for x in model.roles]
+        opens = np.array([x.endswith(BEGIN) for x in model.roles] or [False])
+        role = np.array([names.index(x) for x in names] or [0])
+        for batch in batches:
+            for r in range(batch.num_rows):
+                place = batch.column("place")[r].values.to_numpy(zero_copy_only=False)
+                label = np.zeros(len(place), np.int64)
+                if model.roles:
+                    codes = batch.column("code")[r].values.to_numpy(zero_copy_only=False).reshape(-1, len(FEATURES))
+                    _, _, _, best, back = _walk(model, model.scores(codes), np.array([0, len(place)]), np.array([True]))
+                    label[-1] = best[0, 0].argmax()
+                    for t in range(len(place) - 1, 0, -1):
+                        label[t - 1] = back[t][0, 0, label[t]]
+                cuts = np.concatenate([[0], np.flatnonzero(opens[label[1:]] | (role[label[1:]] != role[label[:-1]])) + 1])
+                lines = batch.column("text")[r].as_py().split("\n")
+                ends = [*place[cuts[1:]], len(lines)]
+                said = ["\n".join(lines[a:b]) for a, b in zip(place[cuts], ends)]
+                roles = [names[k] if names else None for k in label[cuts]]
+                ids = pa.array([batch.column("conv_id")[r].as_py()] * len(cuts), batch.column("conv_id").type)
+                cols = [ids, pa.array(range(len(cuts)), pa.int64()), pa.array(roles, pa.string()), pa.array(said, pa.string())]
+                yield pa.RecordBatch.from_arrays(cols, names=["conv_id", "turn", "role_pred", "text"])
+
+    got = rows.mapInArrow(run, f"conv_id {kind}, turn long, role_pred string, text string")
+    return got.withColumn("rendered", rendered(F.col("role_pred"), F.col("text")))
+
+
 def rendered(role: Column, text: Column) -> Column:
     """The canonical form of a turn: role line, text without a leading marker and outer blanks, end line."""
     marked = F.lower(F.regexp_extract(F.coalesce(text, F.lit("")), _MARK, 1)).isin(*[w for ws in MARKERS.values() for w in ws])

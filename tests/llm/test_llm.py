@@ -800,3 +800,40 @@ def test_chat_repeated_turns_do_not_depend_on_partitions(spark):
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
     one, two = (Counter(map(tuple, format_chats(d).collect())) for d in (df.coalesce(1), df.orderBy(F.rand(1)).repartition(7)))
     assert one == two and sum(one.values()) == len(rows)
+
+
+def test_transcripts_are_parsed_into_turns(spark, sf_dir):
+    """Turns marked by a speaker word on their first line, and the same turns unmarked: there only lengths and order tell."""
+    from softsplit.llm.chat import MARKERS, RoleModel, fit_lines, parse_transcripts
+
+    rng = random.Random(4)
+    plain = [tuple(r) for r in spark.read.parquet(f"{sf_dir}/../sf0.01/conversations.parquet").select("conv_id", "turn", "role", "text").collect()]
+    marked = [(c, t, role, f"{rng.choice(MARKERS[role]).title()}: {text or ''}") for c, t, role, text in plain]
+    shares = {}
+    for name, rows in (("plain", plain), ("marked", marked)):
+        held = defaultdict(list)
+        for r in sorted(rows):
+            if zlib.crc32(str(r[0]).encode()) % 5 == 0:
+                held[r[0]].append(r)
+        model = fit_lines(spark.createDataFrame([r for r in rows if r[0] not in held], "conv_id long, turn long, role string, text string"))
+        raw = spark.createDataFrame([(c, "\n".join(x[3] or "" for x in t)) for c, t in held.items()], "id long, text string")
+        got = defaultdict(list)
+        for r in parse_transcripts(raw, model).collect():
+            got[r["conv_id"]].append((r["turn"], r["role_pred"], r["text"]))
+        said, true = [], []
+        for c, turns in held.items():
+            mine = sorted(got[c])
+            assert [t for t, *_ in mine] == list(range(len(mine)))
+            said += [(role, line) for _, role, text in mine for line in text.split("\n") if line.strip(" ")]
+            true += [(role, line) for *_, role, text in turns for line in (text or "").split("\n") if line.strip(" ")]
+        assert [line for _, line in said] == [line for _, line in true]
+        shares[name] = sum(a == b for a, b in zip(said, true)) / len(true)
+    print(shares, max(Counter(role for role, _ in true).values()) / len(true))
+    assert shares["marked"] >= 0.95
+    assert shares["plain"] > max(Counter(role for role, _ in true).values()) / len(true)
+    odd = [(None, "User: hi\n\nthere\nAssistant: ok"), (None, None), (1, ""), (1, " \n "), (1, "x"), (1, "x")]
+    odd = spark.createDataFrame([(*o, 3) for o in odd], "id long, text string, code int")
+    assert Counter(r["conv_id"] for r in parse_transcripts(odd, model).filter("turn = 0").collect()) == {None: 1, 1: 2}
+    assert parse_transcripts(odd.limit(0), model).count() == 0
+    bare = RoleModel([], np.zeros(1), np.zeros((1, 1)), np.zeros((6, 16, 1)))
+    assert {(r["role_pred"], r["turn"]) for r in parse_transcripts(odd, bare).collect()} == {(None, 0)}
