@@ -1,47 +1,12 @@
-"""Tables that cut lineage: Parquet in the folder that driver and executors share."""
+"""The shared store of intermediate tables, as the operators use it."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+from pyspark.sql import SparkSession
 
-from pyspark.sql import DataFrame, SparkSession
+from ..store import Workspace, shared_dir
 
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a local one only where it is unset, as in tests."""
-    set_dir = spark.conf.get("spark.checkpoint.dir", None)
-    if set_dir:
-        return set_dir.rstrip("/")
-    if not hasattr(shared_dir, "own"):
-        shared_dir.own = tempfile.mkdtemp(prefix="softsplit-")
-        atexit.register(__import__("shutil").rmtree, shared_dir.own, True)
-    return f"file://{shared_dir.own}"
-
-
-class Workspace:
-    """Intermediate tables of one call of an operator.
-
-    The frames that an operator returns are lazy and read these tables, so they stay until the
-    driver process ends and are removed then.
-    """
-
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark = spark
-        self.root = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-        atexit.register(self._drop)
-
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        df.write.parquet(f"{self.root}/{name}")
-        return self.spark.read.schema(df.schema).parquet(f"{self.root}/{name}")
-
-    def _drop(self) -> None:
-        try:
-            path = self.spark._jvm.org.apache.hadoop.fs.Path(self.root)
-            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
-        except Exception:  # the JVM may be gone at exit; the tables are temporary
-            pass
+__all__ = ["Workspace", "shared_dir", "shuffle_partitions"]
 
 
 def shuffle_partitions(spark: SparkSession) -> int:

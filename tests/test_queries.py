@@ -184,6 +184,32 @@ def test_streaming_state_and_joins(spark, sf_dir):
     assert drift.agg(F.sum("n")).first()[0] == ev.count()
 
 
+@pytest.mark.parametrize("mode", ["append", "complete", "update"])
+def test_streamed_rows_stay_off_the_driver(mode, spark, sf_dir):
+    from softsplit import streaming as st
+
+    stream = q._stream(spark, sf_dir)
+    rows = stream if mode == "append" else stream.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+    got = st.run_available(rows, f"ssb_off_{mode}", mode)
+    ev = sources.load(spark, sf_dir, "events")
+    want = ev.withColumn("ts", F.col("ts").cast("timestamp")) if mode == "append" else ev.groupBy("user_id").count()
+    assert got.inputFiles() and sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
+@pytest.fixture(scope="module")
+def parted(spark, sf_dir, tmp_path_factory):
+    """The events in three files that each span the whole time."""
+    folder = tmp_path_factory.mktemp("parted")
+    sources.load(spark, sf_dir, "events").repartition(3, "event_id").write.parquet(f"{folder}/events.parquet")
+    return str(folder)
+
+
+def test_session_of_several_files(spark, parted, con):
+    got = q.stream_session(spark, parted)
+    want = con.execute(q.ORACLES["stream_session"]).fetchall()
+    assert got.inputFiles() and sorted(map(tuple, got.collect())) == sorted(want)
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 
