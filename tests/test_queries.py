@@ -210,6 +210,15 @@ def test_session_of_several_files(spark, parted, con):
     assert got.inputFiles() and sorted(map(tuple, got.collect())) == sorted(want)
 
 
+def test_dedup_of_several_files(spark, parted, con):
+    from softsplit import streaming as st
+
+    assert list(map(tuple, q.stream_dedup(spark, parted).collect())) == con.execute(q.ORACLES["stream_dedup"]).fetchall()
+    stream = q._stream(spark, parted)
+    got = st.run_available(st.without_copies(stream.unionByName(stream)), "ssb_copies")
+    assert got.inputFiles() and got.count() == sources.load(spark, parted, "events").count()
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 
