@@ -219,6 +219,19 @@ def test_dedup_of_several_files(spark, parted, con):
     assert got.inputFiles() and got.count() == sources.load(spark, parted, "events").count()
 
 
+def test_stream_score_trains_off_the_driver(spark, sf_dir, monkeypatch):
+    from softsplit.operators.boost import fit
+    from softsplit.plans.kernel import Spec
+
+    x = F.array(F.col("value") / 100, (F.col("event_id") % 7) / 7.0)
+    ev = sources.load(spark, sf_dir, "events").select(F.col("event_id").alias("rid"), x.alias("x"), (F.col("value") > 50).cast("double").alias("y"))
+    want = {r["rid"]: r["score"][0] for r in fit(ev, Spec("dense", 8, 2), rounds=3, engine="local").transform(ev).collect()}
+    monkeypatch.delattr(type(ev), "toArrow")
+    scored = q.stream_score(spark, sf_dir)
+    got = {r["rid"]: r["score"] for r in scored.collect()}
+    assert scored.inputFiles() and got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-6 for k in want)
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 
