@@ -232,6 +232,24 @@ def test_stream_score_trains_off_the_driver(spark, sf_dir, monkeypatch):
     assert scored.inputFiles() and got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-6 for k in want)
 
 
+def test_bandwidth_model_counts_the_ids(spark, sf_dir, con):
+    (ids,) = con.execute("select count(distinct l_orderkey) + count(distinct l_partkey) + count(distinct l_suppkey) from lineitem").fetchone()
+    sent = {"soft_split": 8 * 129 + 8 * (64 * 65 // 2 + 64), "hist_trees": 16 * 255 * ids}
+    rows = q.bandwidth_model(spark, sf_dir).collect()
+    assert len(rows) == 8
+    for r in rows:
+        assert r["modelled_s"] == pytest.approx(1 + sent[r["method"]] / r["bandwidth"], abs=1e-6)
+        assert r["ratio"] == pytest.approx((1 + sent[r["method"]] / r["bandwidth"]) / (1 + sent[r["method"]] / 1e9), abs=1e-6)
+
+
+READS = ("bandwidth_model",)
+
+
+@pytest.mark.parametrize("name", READS)
+def test_query_reads_a_given_table(name, spark, sf_dir):
+    assert q.QUERIES[name](spark, sf_dir).inputFiles()
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 
