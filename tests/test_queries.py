@@ -242,7 +242,7 @@ def test_bandwidth_model_counts_the_ids(spark, sf_dir, con):
         assert r["ratio"] == pytest.approx((1 + sent[r["method"]] / r["bandwidth"]) / (1 + sent[r["method"]] / 1e9), abs=1e-6)
 
 
-READS = ("bandwidth_model", "bandwidth_ratios")
+READS = ("bandwidth_model", "bandwidth_ratios", "comm_volume_ssb")
 
 
 @pytest.mark.parametrize("name", READS)
