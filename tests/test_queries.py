@@ -242,7 +242,15 @@ def test_bandwidth_model_counts_the_ids(spark, sf_dir, con):
         assert r["ratio"] == pytest.approx((1 + sent[r["method"]] / r["bandwidth"]) / (1 + sent[r["method"]] / 1e9), abs=1e-6)
 
 
-READS = ("bandwidth_model", "bandwidth_ratios", "comm_volume_ssb")
+def test_chi_square_of_order_keys(spark, sf_dir, con):
+    counts = [r[1] for r in con.execute(_HIST).fetchall()]
+    total = sum(counts)
+    got = {r["hash_fn"]: r["chi2"] for r in q.hash_uniformity_chi2(spark, sf_dir).collect()}
+    assert got.keys() == {"md5", "xxh64", "mix"} and got["md5"] == pytest.approx(100 * sum(n * n for n in counts) / total - total)
+
+
+_HIST = f"SELECT floor(({q._CODE.format('o_orderkey::VARCHAR')} & 8388607) / 8388608.0 * 100) AS bin, count(*) FROM (SELECT DISTINCT o_orderkey FROM orders WHERE o_orderkey IS NOT NULL) GROUP BY 1"
+READS = ("bandwidth_model", "bandwidth_ratios", "comm_volume_ssb", "hash_uniformity_chi2")
 
 
 @pytest.mark.parametrize("name", READS)
