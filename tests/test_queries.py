@@ -250,7 +250,7 @@ def test_chi_square_of_order_keys(spark, sf_dir, con):
 
 
 _HIST = f"SELECT floor(({q._CODE.format('o_orderkey::VARCHAR')} & 8388607) / 8388608.0 * 100) AS bin, count(*) FROM (SELECT DISTINCT o_orderkey FROM orders WHERE o_orderkey IS NOT NULL) GROUP BY 1"
-READS = ("bandwidth_model", "bandwidth_ratios", "comm_volume_ssb", "hash_uniformity_chi2", "hash_uniformity_hist", "join_cross_grid", "scaling_ratios")
+READS = ("bandwidth_model", "bandwidth_ratios", "comm_volume_ssb", "hash_uniformity_chi2", "hash_uniformity_hist", "join_cross_grid", "scaling_ratios", "speedup_table")
 
 
 @pytest.mark.parametrize("name", READS)
