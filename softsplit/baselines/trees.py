@@ -4,19 +4,27 @@ A row carries its features as array<double> x (dense) or map<string,double> (spa
 scores and its node. A level is one aggregate: features are spread, sums of g and h are made for each
 (node, feature, value), running sums over values give every split's gain, and one best split a node goes
 back to the driver. What is shuffled grows with nodes, features and values; that is what soft splits avoid.
+
+Dense tables of up to COLUMN_ROWS rows are searched by columns instead: blocks of columns are dealt to tasks and
+sorted in numpy, one job a level, and a leaf-wise tree asks for all its open leaves at once. Both search every value.
 """
 
 from __future__ import annotations
 
 import heapq
 import time
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..functions.losses import logistic_expr, softmax_expr, squared_expr
+from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
+
+COLUMN_ROWS = 1_000_000
+BLOCK_COLUMNS = 4  # columns of a block that a task sorts: 52 bytes a row
 
 
 def leaf_value(g: float, h: float, lam: float) -> float:
@@ -182,11 +190,182 @@ def _grow_leaves(rows: DataFrame, kind: str, leaves: int, lam: float, gamma: flo
     return tree
 
 
-def _fit(df, kind, loss, classes, rounds, eta, grow, checkpoint_every=5) -> GBDTModel:
+def _matrix(column: pa.Array, m: int) -> np.ndarray:
+    """Rows of m numbers; missing ones are not a number, which no split sends to the left."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    sizes = np.asarray(column.value_lengths().fill_null(0))
+    out = np.full((len(column), m), np.nan)
+    out[np.arange(m) < sizes[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
+    return out
+
+
+def _nodes(x: np.ndarray, splits: dict[int, tuple]) -> np.ndarray:
+    node = np.zeros(len(x), np.int64)
+    for n in sorted(splits):  # parents come before their children
+        at = np.flatnonzero(node == n)
+        feature, threshold = splits[n]
+        node[at] = np.where(x[at, int(feature)] <= threshold, 2 * n + 1, 2 * n + 2)
+    return node
+
+
+def _outputs(x: np.ndarray, tree: Tree) -> np.ndarray:
+    return np.vectorize(lambda n: tree.values.get(n, 0.0), otypes=[float])(_nodes(x, tree.splits)) if len(x) else np.zeros(0)
+
+
+def _scores(batch: pa.RecordBatch, x: np.ndarray, grown: list[list[Tree]], eta: float) -> np.ndarray:
+    score = np.array(batch.column("score").to_pylist(), float)
+    for trees in grown:
+        score = score + eta * np.stack([_outputs(x, tree) for tree in trees], 1)
+    return score
+
+
+def _best_of(v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float) -> tuple | None:
+    """(gain, threshold, gl, hl) of the best split of a node's rows by one feature; ties by threshold."""
+    order = np.argsort(v, kind="stable")  # what is not a number comes last
+    v = v[order]
+    gl, hl = np.cumsum(g[order]), np.cumsum(h[order])
+    tg, th = gl[-1], hl[-1]
+    at = np.flatnonzero(v[:-1] < v[1:])
+    at = at[(hl[at] >= least_h) & (th - hl[at] >= least_h)]
+    if not len(at):
+        return None
+    gl, hl = gl[at], hl[at]
+    gain = 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma
+    k = int(np.argmax(gain))
+    return (gain[k], (v[at[k]] + v[at[k] + 1]) / 2, gl[k], hl[k]) if gain[k] > 0 else None
+
+
+def _search(state: DataFrame, m: int, grown: list[list[Tree]], eta: float, loss: str, c: int, lam: float, gamma: float, least_h: float) -> Callable:
+    """search(splits, nodes) -> node -> its sums g and h and, if one gains, its best split; ties by feature, then threshold."""
+
+    def search(splits: dict[int, tuple], nodes: list[int]) -> dict[int, dict]:
+        def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                x = _matrix(batch.column("x"), m)
+                node = _nodes(x, splits)
+                keep = np.flatnonzero(np.isin(node, nodes))
+                if not len(keep):
+                    continue
+                y = np.asarray(batch.column("y"), float)
+                g, h = (d[keep, c].tobytes() for d in Loss(loss).grad_hess(_scores(batch, x, grown, eta), y))
+                firsts = list(range(0, m, BLOCK_COLUMNS))
+                blocks = [np.ascontiguousarray(x[keep, f : f + BLOCK_COLUMNS].T).tobytes() for f in firsts]
+                k = len(firsts)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(firsts, pa.int32()), pa.array([node[keep].tobytes()] * k, pa.binary()), pa.array([g] * k, pa.binary()), pa.array([h] * k, pa.binary()), pa.array(blocks, pa.binary())],
+                    names=["first", "node", "g", "h", "v"],
+                )
+
+        def best(table: pa.Table) -> pa.Table:
+            first = table.column("first")[0].as_py()
+            wide = min(BLOCK_COLUMNS, m - first)
+            node = np.concatenate([np.frombuffer(b, np.int64) for b in table.column("node").to_pylist()])
+            g, h = (np.concatenate([np.frombuffer(b) for b in table.column(k).to_pylist()]) for k in ("g", "h"))
+            v = np.concatenate([np.frombuffer(b).reshape(wide, -1) for b in table.column("v").to_pylist()], 1)
+            out = []
+            for n in np.unique(node).tolist():
+                at = np.flatnonzero(node == n)
+                own = [(f, b) for f in range(wide) if (b := _best_of(v[f, at], g[at], h[at], lam, gamma, least_h))]
+                f, b = max(own, key=lambda e: (e[1][0], -e[0]), default=(None, (None,) * 4))
+                out.append((n, None if f is None else first + f, b[1], b[0], b[2], b[3], g[at].sum(), h[at].sum()))
+            names = ("node", "f", "threshold", "gain", "gl", "hl", "g", "h")
+            kinds = (pa.int64(), pa.int32(), *[pa.float64()] * 6)
+            return pa.table([pa.array(list(col), kind) for col, kind in zip(zip(*out), kinds)], names=names)
+
+        spread_out = state.mapInArrow(spread, "first int, node binary, g binary, h binary, v binary")
+        found: dict[int, dict] = {}
+        asked = "node long, f int, threshold double, gain double, gl double, hl double, g double, h double"
+        for r in sorted(spread_out.groupBy("first").applyInArrow(best, asked).collect(), key=lambda r: (r["node"], -(r["gain"] or 0.0), r["f"] or 0)):
+            found.setdefault(r["node"], r.asDict())
+        return found
+
+    return search
+
+
+def _split(tree: Tree, n: int, b: dict, lam: float) -> None:
+    tree.splits[n] = (b["f"], b["threshold"])
+    tree.values[2 * n + 1] = leaf_value(b["gl"], b["hl"], lam)
+    tree.values[2 * n + 2] = leaf_value(b["g"] - b["gl"], b["h"] - b["hl"], lam)
+
+
+def _levels_by_columns(search: Callable, depth: int, lam: float) -> Tree:
+    tree = Tree()
+    open_ = [0]
+    for level in range(max(depth, 1)):
+        found = search(tree.splits, open_)
+        if level == 0:
+            tree.values[0] = leaf_value(found[0]["g"], found[0]["h"], lam) if found else 0.0
+        gaining = {n: b for n, b in found.items() if b["gain"]} if depth else {}
+        for n, b in gaining.items():
+            _split(tree, n, b, lam)
+        if not (open_ := [k for n in gaining for k in (2 * n + 1, 2 * n + 2)]):
+            break
+    return tree
+
+
+def _leaves_by_columns(search: Callable, leaves: int, lam: float) -> Tree:
+    """Best leaf first. Where a leaf's children are asked for, those of all open leaves are: their splits depend on no other leaf."""
+    tree = Tree()
+    known = search({}, [0])
+    tree.values[0] = leaf_value(known[0]["g"], known[0]["h"], lam) if known else 0.0
+    ahead: dict[int, tuple] = {}
+    heap = [(-b["gain"], n) for n, b in known.items() if b["gain"]]
+    count = 1
+    while heap and count < leaves:
+        _, n = heapq.heappop(heap)
+        _split(tree, n, known[n], lam)
+        count += 1
+        if count < leaves:
+            if n not in ahead:
+                new = [k for k in (n, *[k for _, k in heap]) if k not in ahead]
+                ahead |= {k: (known[k]["f"], known[k]["threshold"]) for k in new}
+                known |= search(ahead, [child for k in new for child in (2 * k + 1, 2 * k + 2)])
+            for child in (2 * n + 1, 2 * n + 2):
+                if child in known and known[child]["gain"]:
+                    heapq.heappush(heap, (-known[child]["gain"], child))
+    return tree
+
+
+def _fit_columns(model: GBDTModel, state: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple, checkpoint_every: int) -> None:
+    """Trees that are not yet in the score column are replayed on each block; every few rounds they are added to it."""
+    grown: list[list[Tree]] = []
+    for t in range(rounds):
+        began = time.perf_counter()
+        trees = [grow(_search(state, m, list(grown), model.eta, loss, c, *terms)) for c in range(model.classes)]
+        model.trees.append(trees)
+        grown.append(trees)
+        if t % checkpoint_every == checkpoint_every - 1 and t < rounds - 1:
+
+            def add(batches: Iterator[pa.RecordBatch], grown=list(grown)) -> Iterator[pa.RecordBatch]:
+                for batch in batches:
+                    score = _scores(batch, _matrix(batch.column("x"), m), grown, model.eta)
+                    yield pa.RecordBatch.from_arrays([batch.column("y"), batch.column("x"), pa.array(score.tolist(), pa.list_(pa.float64()))], names=["y", "x", "score"])
+
+            old, state = state, state.mapInArrow(add, state.schema)
+            if state.sparkSession.sparkContext.getCheckpointDir():
+                state = state.checkpoint(eager=True)
+            state = state.persist(StorageLevel.MEMORY_AND_DISK)
+            state.count()
+            old.unpersist()
+            grown = []
+        model.history.append({"round": t, "wall_s": time.perf_counter() - began})
+    state.unpersist()
+
+
+def _fit(df, kind, loss, classes, rounds, eta, grow, by_columns, terms, checkpoint_every=5) -> GBDTModel:
     classes = classes if loss == "softmax" else 1
     model = GBDTModel(kind, eta, classes)
     features = "x" if kind == "dense" else "feats"
     base = df.filter(F.col("y").isNotNull()).select("rid", "y", features)
+    if kind == "dense":
+        wide = base.select(F.col("y").cast("double").alias("y"), F.col("x").cast("array<double>").alias("x"), F.array(*[F.lit(0.0)] * classes).alias("score"))
+        wide = wide.persist(StorageLevel.MEMORY_AND_DISK)
+        n, m = wide.agg(F.count(F.lit(1)), F.max(F.size("x"))).first()
+        if n <= COLUMN_ROWS and m and m > 0:
+            _fit_columns(model, wide, m, loss, rounds, by_columns, terms, checkpoint_every)
+            return model
+        wide.unpersist()
     state = base.withColumn("score", F.array(*[F.lit(0.0)] * classes)).persist(StorageLevel.MEMORY_AND_DISK)
     for t in range(rounds):
         began = time.perf_counter()
@@ -215,7 +394,8 @@ def fit_gbdt_depth(
     if candidates == "hist":
         m = len(df.select("x").first()["x"])
         df = df.withColumn("x", to_bins("x", quantile_bins(df, m, bins)))
-    return _fit(df, kind, loss, classes, rounds, eta, lambda rows: _grow_levels(rows, kind, depth, lam, gamma, least_h))
+    grow = lambda rows: _grow_levels(rows, kind, depth, lam, gamma, least_h)
+    return _fit(df, kind, loss, classes, rounds, eta, grow, lambda search: _levels_by_columns(search, depth, lam), (lam, gamma, least_h))
 
 
 def fit_gbdt_leaf(
@@ -223,7 +403,8 @@ def fit_gbdt_leaf(
     least_h: float = 1e-3, loss: str = "logistic", classes: int = 1,
 ) -> GBDTModel:
     """Leaf-wise trees of at most `leaves` leaves and any depth."""
-    return _fit(df, kind, loss, classes, rounds, eta, lambda rows: _grow_leaves(rows, kind, leaves, lam, gamma, least_h))
+    grow = lambda rows: _grow_leaves(rows, kind, leaves, lam, gamma, least_h)
+    return _fit(df, kind, loss, classes, rounds, eta, grow, lambda search: _leaves_by_columns(search, leaves, lam), (lam, gamma, least_h))
 
 
 def fit_random_trees(df: DataFrame, depth: int, rounds: int, m: int, seed: int = 0) -> list[tuple[Tree, DataFrame]]:

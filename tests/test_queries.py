@@ -120,6 +120,23 @@ def test_trees_learn(spark):
     assert leaves.agg(F.sum("n")).first()[0] == 200 and len(tree.splits) == 3
 
 
+def test_trees_by_columns_equal_those_by_values(spark, monkeypatch):
+    rows = spark.createDataFrame([(i, [float(i % 7), float(i * i % 11), None, float("nan"), float(i * 37 % 101)], float((i % 7 > 3) ^ (i * i % 11 > 5))) for i in range(200)], "rid long, x array<double>, y double")
+    rows = rows.withColumn("x", F.slice("x", 1, 5))
+    clean = rows.withColumn("x", F.array(F.col("x")[0], F.col("x")[1], F.col("x")[4]))
+    searches = []
+    inner = trees._leaves_by_columns
+    monkeypatch.setattr(trees, "_leaves_by_columns", lambda search, *a: inner(lambda *b: searches.append(b) or search(*b), *a))
+    got = [trees.fit_gbdt_depth(clean, depth=3, rounds=2).trees, trees.fit_gbdt_leaf(clean, leaves=8, rounds=1).trees]
+    assert len(searches) < 7  # one by one, eight leaves take seven searches after the root's
+    gaps = trees.fit_gbdt_leaf(rows, leaves=8, rounds=1).trees[0][0]
+    assert {f for f, _ in gaps.splits.values()} <= {0, 1, 4}
+    monkeypatch.setattr(trees, "COLUMN_ROWS", -1)
+    for mine, theirs in zip(got, [trees.fit_gbdt_depth(clean, depth=3, rounds=2).trees, trees.fit_gbdt_leaf(clean, leaves=8, rounds=1).trees]):
+        for (a,), (b,) in zip(mine, theirs):
+            assert a.splits == {k: tuple(v) for k, v in b.splits.items()} and a.values == pytest.approx(b.values)
+
+
 def test_bundles(spark):
     rows = spark.createDataFrame([(1, "a", 1.0), (1, "c", 1.0), (2, "b", 1.0), (3, "a", 1.0), (3, "d", 1.0)], "rid int, f string, v double")
     got = bundling.bundle_features(rows)
