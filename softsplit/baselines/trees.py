@@ -19,11 +19,12 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import Column, DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
 
 COLUMN_ROWS = 1_000_000
+MANY_SPLITS = 64
 BLOCK_COLUMNS = 4  # columns of a block that a task sorts: 52 bytes a row
 
 
@@ -53,11 +54,29 @@ class GBDTModel:
     history: list[dict] = field(default_factory=list)
 
     def transform(self, df: DataFrame, upto: int | None = None) -> DataFrame:
+        """df with score array<double>; many splits of dense rows are replayed in numpy, since nested conditions outgrow compiled code."""
+        if self.kind == "dense" and sum(len(tree.splits) for trees in self.trees[:upto] for tree in trees) > MANY_SPLITS:
+            return self._replayed(df.drop("score"), upto)
         total = [F.lit(0.0)] * self.classes
         for trees in self.trees[:upto]:
             total = [t + self.eta * tree_value(tree, self.kind) for t, tree in zip(total, trees)]
         return df.withColumn("score", F.array(*total))
 
+    def _replayed(self, df: DataFrame, upto: int | None) -> DataFrame:
+        used = self.trees[:upto]
+        m = 1 + max(int(f) for trees in used for tree in trees for f, _ in tree.splits.values())
+        eta, classes, place = self.eta, self.classes, df.columns.index("x")
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                x = _matrix(batch.column(place), m)
+                score = np.zeros((batch.num_rows, classes))
+                for trees in used:
+                    score += eta * np.stack([_outputs(x, tree) for tree in trees], 1)
+                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(score.tolist(), pa.list_(pa.float64()))], names=[*batch.schema.names, "score"])
+
+        return df.mapInArrow(run, T.StructType([*df.schema.fields, T.StructField("score", T.ArrayType(T.DoubleType()))]))
+
 
 def _value_of(kind: str, feature) -> Column:
     if kind == "dense":
@@ -195,9 +214,9 @@ def _matrix(column: pa.Array, m: int) -> np.ndarray:
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     sizes = np.asarray(column.value_lengths().fill_null(0))
-    out = np.full((len(column), m), np.nan)
-    out[np.arange(m) < sizes[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
-    return out
+    out = np.full((len(column), max(m, int(sizes.max(initial=0)))), np.nan)
+    out[np.arange(out.shape[1]) < sizes[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
+    return out[:, :m]
 
 
 def _nodes(x: np.ndarray, splits: dict[int, tuple]) -> np.ndarray:

@@ -137,6 +137,18 @@ def test_trees_by_columns_equal_those_by_values(spark, monkeypatch):
             assert a.splits == {k: tuple(v) for k, v in b.splits.items()} and a.values == pytest.approx(b.values)
 
 
+def test_many_splits_are_replayed_alike(spark, monkeypatch):
+    rows = spark.createDataFrame([(i, [float(i % 7), float(i * i % 11), float(i * 37 % 101)], i * 0.1 if i % 9 else float("nan"), float(i % 3 == 0)) for i in range(150)], "rid long, x array<double>, w double, y double")
+    model = trees.fit_gbdt_depth(rows, depth=4, rounds=2)
+    odd = rows.unionByName(spark.createDataFrame([(-1, None, None, None), (-2, [None, 3.0, float("nan")], 0.0, 1.0)], rows.schema))
+    plain = model.transform(odd)
+    monkeypatch.setattr(trees, "MANY_SPLITS", 0)
+    quick = model.transform(odd.withColumn("score", F.lit(7)))
+    assert quick.columns == plain.columns and "PythonMapInArrow" not in str(plain._jdf.queryExecution()) and "MapInArrow" in str(quick._jdf.queryExecution())
+    a, b = ({r["rid"]: r["score"][0] for r in df.collect()} for df in (plain, quick))
+    assert a == pytest.approx(b)
+
+
 def test_bundles(spark):
     rows = spark.createDataFrame([(1, "a", 1.0), (1, "c", 1.0), (2, "b", 1.0), (3, "a", 1.0), (3, "d", 1.0)], "rid int, f string, v double")
     got = bundling.bundle_features(rows)
