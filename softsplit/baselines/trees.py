@@ -18,7 +18,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel
+from pyspark import StorageLevel, TaskContext
 from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
@@ -260,7 +260,8 @@ def _search(state: DataFrame, m: int, grown: list[list[Tree]], eta: float, loss:
 
     def search(splits: dict[int, tuple], nodes: list[int]) -> dict[int, dict]:
         def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
+            part = TaskContext.get().partitionId() << 32
+            for number, batch in enumerate(batches, part):
                 x = _matrix(batch.column("x"), m)
                 node = _nodes(x, splits)
                 keep = np.flatnonzero(np.isin(node, nodes))
@@ -272,11 +273,12 @@ def _search(state: DataFrame, m: int, grown: list[list[Tree]], eta: float, loss:
                 blocks = [np.ascontiguousarray(x[keep, f : f + BLOCK_COLUMNS].T).tobytes() for f in firsts]
                 k = len(firsts)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(firsts, pa.int32()), pa.array([node[keep].tobytes()] * k, pa.binary()), pa.array([g] * k, pa.binary()), pa.array([h] * k, pa.binary()), pa.array(blocks, pa.binary())],
-                    names=["first", "node", "g", "h", "v"],
+                    [pa.array(firsts, pa.int32()), pa.array([number] * k, pa.int64()), pa.array([node[keep].tobytes()] * k, pa.binary()), pa.array([g] * k, pa.binary()), pa.array([h] * k, pa.binary()), pa.array(blocks, pa.binary())],
+                    names=["first", "number", "node", "g", "h", "v"],
                 )
 
         def best(table: pa.Table) -> pa.Table:
+            table = table.sort_by("number")  # sums don't depend on the order of arrival
             first = table.column("first")[0].as_py()
             wide = min(BLOCK_COLUMNS, m - first)
             node = np.concatenate([np.frombuffer(b, np.int64) for b in table.column("node").to_pylist()])
@@ -292,7 +294,7 @@ def _search(state: DataFrame, m: int, grown: list[list[Tree]], eta: float, loss:
             kinds = (pa.int64(), pa.int32(), *[pa.float64()] * 6)
             return pa.table([pa.array(list(col), kind) for col, kind in zip(zip(*out), kinds)], names=names)
 
-        spread_out = state.mapInArrow(spread, "first int, node binary, g binary, h binary, v binary")
+        spread_out = state.mapInArrow(spread, "first int, number long, node binary, g binary, h binary, v binary")
         found: dict[int, dict] = {}
         asked = "node long, f int, threshold double, gain double, gl double, hl double, g double, h double"
         for r in sorted(spread_out.groupBy("first").applyInArrow(best, asked).collect(), key=lambda r: (r["node"], -(r["gain"] or 0.0), r["f"] or 0)):
