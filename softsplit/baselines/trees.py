@@ -5,8 +5,9 @@ scores and its node. A level is one aggregate: features are spread, sums of g an
 (node, feature, value), running sums over values give every split's gain, and one best split a node goes
 back to the driver. What is shuffled grows with nodes, features and values; that is what soft splits avoid.
 
-Dense tables of up to COLUMN_ROWS rows are searched by columns instead: blocks of columns are dealt to tasks and
-sorted in numpy, one job a level, and a leaf-wise tree asks for all its open leaves at once. Both search every value.
+Dense tables of up to COLUMN_ROWS rows are searched by columns instead: blocks of columns are dealt to tasks, sorted and
+cached once; a level is one job without a shuffle, which gets each row's node and gives each node's best split with a bit a
+row, and a leaf-wise tree asks for all its open leaves at once. Both search every value.
 """
 
 from __future__ import annotations
@@ -18,14 +19,15 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel, TaskContext
+from pyspark import RDD, StorageLevel, TaskContext
 from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
 
 COLUMN_ROWS = 1_000_000
 MANY_SPLITS = 64
-BLOCK_COLUMNS = 4  # columns of a block that a task sorts: 52 bytes a row
+BLOCK_COLUMNS = 4  # columns of a block that a task holds sorted: 48 bytes a row
+SCORED_ROWS = 1 << 16  # rows whose derivatives by all classes are held at once
 
 
 def leaf_value(g: float, h: float, lam: float) -> float:
@@ -232,76 +234,123 @@ def _outputs(x: np.ndarray, tree: Tree) -> np.ndarray:
     return np.vectorize(lambda n: tree.values.get(n, 0.0), otypes=[float])(_nodes(x, tree.splits)) if len(x) else np.zeros(0)
 
 
-def _scores(batch: pa.RecordBatch, x: np.ndarray, grown: list[list[Tree]], eta: float) -> np.ndarray:
-    score = np.array(batch.column("score").to_pylist(), float)
-    for trees in grown:
-        score = score + eta * np.stack([_outputs(x, tree) for tree in trees], 1)
-    return score
-
-
 def _best_of(v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float) -> tuple | None:
-    """(gain, threshold, gl, hl) of the best split of a node's rows by one feature; ties by threshold."""
-    order = np.argsort(v, kind="stable")  # what is not a number comes last
-    v = v[order]
-    gl, hl = np.cumsum(g[order]), np.cumsum(h[order])
+    """(gain, threshold, gl, hl) of the best split of a node's rows by one feature, rows in the order of v; ties by threshold."""
+    gl, hl = np.cumsum(g), np.cumsum(h)
     tg, th = gl[-1], hl[-1]
-    at = np.flatnonzero(v[:-1] < v[1:])
+    at = np.flatnonzero(v[:-1] < v[1:])  # never beside what is not a number, which comes last
     at = at[(hl[at] >= least_h) & (th - hl[at] >= least_h)]
     if not len(at):
         return None
     gl, hl = gl[at], hl[at]
     gain = 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma
     k = int(np.argmax(gain))
-    return (gain[k], (v[at[k]] + v[at[k] + 1]) / 2, gl[k], hl[k]) if gain[k] > 0 else None
-
-
-def _search(state: DataFrame, m: int, grown: list[list[Tree]], eta: float, loss: str, c: int, lam: float, gamma: float, least_h: float) -> Callable:
-    """search(splits, nodes) -> node -> its sums g and h and, if one gains, its best split; ties by feature, then threshold."""
-
-    def search(splits: dict[int, tuple], nodes: list[int]) -> dict[int, dict]:
-        def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            part = TaskContext.get().partitionId() << 32
-            for number, batch in enumerate(batches, part):
-                x = _matrix(batch.column("x"), m)
-                node = _nodes(x, splits)
-                keep = np.flatnonzero(np.isin(node, nodes))
-                if not len(keep):
-                    continue
-                y = np.asarray(batch.column("y"), float)
-                g, h = (d[keep, c].tobytes() for d in Loss(loss).grad_hess(_scores(batch, x, grown, eta), y))
-                firsts = list(range(0, m, BLOCK_COLUMNS))
-                blocks = [np.ascontiguousarray(x[keep, f : f + BLOCK_COLUMNS].T).tobytes() for f in firsts]
-                k = len(firsts)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(firsts, pa.int32()), pa.array([number] * k, pa.int64()), pa.array([node[keep].tobytes()] * k, pa.binary()), pa.array([g] * k, pa.binary()), pa.array([h] * k, pa.binary()), pa.array(blocks, pa.binary())],
-                    names=["first", "number", "node", "g", "h", "v"],
-                )
-
-        def best(table: pa.Table) -> pa.Table:
-            table = table.sort_by("number")  # sums don't depend on the order of arrival
-            first = table.column("first")[0].as_py()
-            wide = min(BLOCK_COLUMNS, m - first)
-            node = np.concatenate([np.frombuffer(b, np.int64) for b in table.column("node").to_pylist()])
-            g, h = (np.concatenate([np.frombuffer(b) for b in table.column(k).to_pylist()]) for k in ("g", "h"))
-            v = np.concatenate([np.frombuffer(b).reshape(wide, -1) for b in table.column("v").to_pylist()], 1)
-            out = []
-            for n in np.unique(node).tolist():
-                at = np.flatnonzero(node == n)
-                own = [(f, b) for f in range(wide) if (b := _best_of(v[f, at], g[at], h[at], lam, gamma, least_h))]
-                f, b = max(own, key=lambda e: (e[1][0], -e[0]), default=(None, (None,) * 4))
-                out.append((n, None if f is None else first + f, b[1], b[0], b[2], b[3], g[at].sum(), h[at].sum()))
-            names = ("node", "f", "threshold", "gain", "gl", "hl", "g", "h")
-            kinds = (pa.int64(), pa.int32(), *[pa.float64()] * 6)
-            return pa.table([pa.array(list(col), kind) for col, kind in zip(zip(*out), kinds)], names=names)
-
-        spread_out = state.mapInArrow(spread, "first int, number long, node binary, g binary, h binary, v binary")
-        found: dict[int, dict] = {}
-        asked = "node long, f int, threshold double, gain double, gl double, hl double, g double, h double"
-        for r in sorted(spread_out.groupBy("first").applyInArrow(best, asked).collect(), key=lambda r: (r["node"], -(r["gain"] or 0.0), r["f"] or 0)):
-            found.setdefault(r["node"], r.asDict())
-        return found
-
-    return search
+    return tuple(map(float, (gain[k], (v[at[k]] + v[at[k] + 1]) / 2, gl[k], hl[k]))) if gain[k] > 0 else None
+
+
+def _sorted_columns(rows: DataFrame, m: int) -> tuple[RDD, np.ndarray]:
+    """Cached blocks (first, order, values) of columns and the labels.
+
+    Rows are numbered by the hash of rid in every block and in the labels; a block has the numbers of its rows by value.
+    """
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part = TaskContext.get().partitionId() << 32
+        for number, batch in enumerate(batches, part):
+            x = _matrix(batch.column("x"), m)
+            firsts = [-1, *range(0, m, BLOCK_COLUMNS)]  # the labels go as a block of their own
+            blocks = [np.asarray(batch.column("y"), float).tobytes(), *[np.ascontiguousarray(x[:, f : f + BLOCK_COLUMNS].T).tobytes() for f in firsts[1:]]]
+            k, keys = len(firsts), np.asarray(batch.column("key")).tobytes()
+            yield pa.RecordBatch.from_arrays([pa.array(firsts, pa.int32()), pa.array([number] * k, pa.int64()), pa.array([keys] * k, pa.binary()), pa.array(blocks, pa.binary())], names=["first", "number", "keys", "v"])
+
+    def sort(block: tuple) -> tuple:
+        first, parts = block
+        parts = sorted(parts)
+        keys = [np.frombuffer(k, np.int64) for _, k, _ in parts]
+        v = np.concatenate([np.frombuffer(b).reshape(-1, len(k)) for (_, _, b), k in zip(parts, keys)], 1)[:, np.argsort(np.concatenate(keys), kind="stable")]
+        if first < 0:
+            return first, None, v[0]
+        order = np.argsort(v, 1, kind="stable").astype(np.int32)  # what is not a number comes last
+        return first, order, np.take_along_axis(v, order, 1)
+
+    dealt = rows.select(F.xxhash64("rid").alias("key"), "y", "x").mapInArrow(spread, "first int, number long, keys binary, v binary").rdd
+    parts = min(1 + -(-m // BLOCK_COLUMNS), dealt.context.defaultParallelism)
+    blocks = dealt.map(lambda r: (r[0], (r[1], bytes(r[2]), bytes(r[3])))).groupByKey(parts, lambda first: first // BLOCK_COLUMNS + 1).map(sort)
+    blocks.persist(StorageLevel.MEMORY_AND_DISK)
+    ((_, _, y),) = blocks.filter(lambda b: b[0] < 0).collect()
+    return blocks, y
+
+
+class _Search:
+    """Best splits of one tree's nodes: a job asks every block of columns; the driver holds the rows of each node.
+
+    search(nodes) -> node -> its sums g and h and, if one gains, its best split; ties by feature, then threshold. A node
+    other than the root is a child of one that was found before.
+    """
+
+    def __init__(self, blocks: RDD, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float):
+        self.blocks, self.g, self.h, self.terms = blocks, g, h, (lam, gamma, least_h)
+        self.held = blocks.context.broadcast((g, h))
+        self.rows: dict[int, np.ndarray] = {0: np.arange(len(g), dtype=np.int32)}
+        self.left: dict[int, np.ndarray] = {}  # of the rows of a node that can be split
+
+    def __call__(self, nodes: list[int]) -> dict[int, dict]:
+        for n in nodes:
+            if n not in self.rows:
+                up = (n - 1) // 2
+                own, left = self.rows.pop(up), self.left.pop(up)
+                self.rows |= {2 * up + 1: own[left], 2 * up + 2: own[~left]}
+        size, count, held, terms = len(self.g), len(nodes), self.held, self.terms
+        place = np.full(size, -1, np.int16 if count < 1 << 15 else np.int32)
+        for k, n in enumerate(nodes):
+            place[self.rows[n]] = k
+
+        def best(blocks: Iterator[tuple]) -> Iterator[tuple]:
+            g, h = held.value
+            found: dict[int, tuple] = {}
+            for first, order, values in blocks:
+                for f, (o, v) in enumerate(zip(order, values), first) if first >= 0 else ():
+                    at = np.flatnonzero(place[o] >= 0)
+                    at = at[np.argsort(place[o[at]], kind="stable")]
+                    o, v = o[at], v[at]
+                    ends = np.cumsum(np.bincount(place[o], minlength=count)).tolist()
+                    for k, (a, b) in enumerate(zip([0, *ends], ends)):
+                        got = _best_of(v[a:b], g[o[a:b]], h[o[a:b]], *terms) if a < b else None
+                        if got and (k not in found or (got[0], -f) > (found[k][0], -found[k][4])):
+                            found[k] = (*got, f, o[a : a + int(np.searchsorted(v[a:b], got[1], "right"))])
+            if found:
+                left = np.zeros(size, bool)
+                left[np.concatenate([b[5] for b in found.values()])] = True
+                yield {k: b[:5] for k, b in found.items()}, np.packbits(left).tobytes()
+
+        parts = self.blocks.mapPartitions(best).collect()
+        out: dict[int, dict] = {}
+        winners: dict[int, list] = {}
+        for k, n in enumerate(nodes):
+            own = self.rows[n]
+            if len(own):
+                out[n] = {"node": n, "gain": None, "g": float(self.g[own].sum()), "h": float(self.h[own].sum())}
+                if tried := [(b[0], -b[4], i) for i, (found, _) in enumerate(parts) if (b := found.get(k))]:
+                    winners.setdefault(max(tried)[2], []).append((k, n))
+        for i, won in winners.items():
+            left = np.unpackbits(np.frombuffer(parts[i][1], np.uint8), count=size).astype(bool)
+            for k, n in won:
+                gain, threshold, gl, hl, f = parts[i][0][k]
+                out[n] |= {"f": f, "threshold": threshold, "gain": gain, "gl": gl, "hl": hl}
+                self.left[n] = left[self.rows[n]]
+        return out
+
+    def outputs(self, tree: Tree) -> np.ndarray:
+        """The tree's value of each row; nodes that were asked ahead and are not in the tree count as the leaf above them."""
+        out = np.zeros(len(self.g))
+        for n, own in self.rows.items():
+            if n in tree.splits:
+                out[own] = np.where(self.left[n], tree.values[2 * n + 1], tree.values[2 * n + 2])
+                continue
+            while n and (n - 1) // 2 not in tree.splits:
+                n = (n - 1) // 2
+            out[own] = tree.values.get(n, 0.0)
+        return out
 
 
 def _split(tree: Tree, n: int, b: dict, lam: float) -> None:
@@ -314,7 +363,7 @@ def _levels_by_columns(search: Callable, depth: int, lam: float) -> Tree:
     tree = Tree()
     open_ = [0]
     for level in range(max(depth, 1)):
-        found = search(tree.splits, open_)
+        found = search(open_)
         if level == 0:
             tree.values[0] = leaf_value(found[0]["g"], found[0]["h"], lam) if found else 0.0
         gaining = {n: b for n, b in found.items() if b["gain"]} if depth else {}
@@ -328,9 +377,9 @@ def _levels_by_columns(search: Callable, depth: int, lam: float) -> Tree:
 def _leaves_by_columns(search: Callable, leaves: int, lam: float) -> Tree:
     """Best leaf first. Where a leaf's children are asked for, those of all open leaves are: their splits depend on no other leaf."""
     tree = Tree()
-    known = search({}, [0])
+    known = search([0])
     tree.values[0] = leaf_value(known[0]["g"], known[0]["h"], lam) if known else 0.0
-    ahead: dict[int, tuple] = {}
+    ahead: set[int] = set()
     heap = [(-b["gain"], n) for n, b in known.items() if b["gain"]]
     count = 1
     while heap and count < leaves:
@@ -340,38 +389,33 @@ def _leaves_by_columns(search: Callable, leaves: int, lam: float) -> Tree:
         if count < leaves:
             if n not in ahead:
                 new = [k for k in (n, *[k for _, k in heap]) if k not in ahead]
-                ahead |= {k: (known[k]["f"], known[k]["threshold"]) for k in new}
-                known |= search(ahead, [child for k in new for child in (2 * k + 1, 2 * k + 2)])
+                ahead |= set(new)
+                known |= search([child for k in new for child in (2 * k + 1, 2 * k + 2)])
             for child in (2 * n + 1, 2 * n + 2):
                 if child in known and known[child]["gain"]:
                     heapq.heappush(heap, (-known[child]["gain"], child))
     return tree
 
 
-def _fit_columns(model: GBDTModel, state: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple, checkpoint_every: int) -> None:
-    """Trees that are not yet in the score column are replayed on each block; every few rounds they are added to it."""
-    grown: list[list[Tree]] = []
-    for t in range(rounds):
+def _fit_columns(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple) -> None:
+    """Columns are dealt and sorted once; labels, scores and nodes of rows, not their features, are on the driver."""
+    blocks, y = _sorted_columns(rows, m)
+    score = np.zeros((len(y), model.classes))
+    some = [slice(k, k + SCORED_ROWS) for k in range(0, len(y), SCORED_ROWS)]
+    for _ in range(rounds):
         began = time.perf_counter()
-        trees = [grow(_search(state, m, list(grown), model.eta, loss, c, *terms)) for c in range(model.classes)]
+        trees, outs = [], []
+        for c in range(model.classes):
+            g, h = map(np.concatenate, zip(*[[d[:, c] for d in Loss(loss).grad_hess(score[s], y[s])] for s in some]))
+            search = _Search(blocks, g, h, *terms)
+            trees.append(grow(search))
+            outs.append(search.outputs(trees[-1]))
+            search.held.destroy()
         model.trees.append(trees)
-        grown.append(trees)
-        if t % checkpoint_every == checkpoint_every - 1 and t < rounds - 1:
-
-            def add(batches: Iterator[pa.RecordBatch], grown=list(grown)) -> Iterator[pa.RecordBatch]:
-                for batch in batches:
-                    score = _scores(batch, _matrix(batch.column("x"), m), grown, model.eta)
-                    yield pa.RecordBatch.from_arrays([batch.column("y"), batch.column("x"), pa.array(score.tolist(), pa.list_(pa.float64()))], names=["y", "x", "score"])
-
-            old, state = state, state.mapInArrow(add, state.schema)
-            if state.sparkSession.sparkContext.getCheckpointDir():
-                state = state.checkpoint(eager=True)
-            state = state.persist(StorageLevel.MEMORY_AND_DISK)
-            state.count()
-            old.unpersist()
-            grown = []
-        model.history.append({"round": t, "wall_s": time.perf_counter() - began})
-    state.unpersist()
+        for c, out in enumerate(outs):
+            score[:, c] += model.eta * out
+        model.history.append({"round": len(model.history), "wall_s": time.perf_counter() - began})
+    blocks.unpersist()
 
 
 def _fit(df, kind, loss, classes, rounds, eta, grow, by_columns, terms, checkpoint_every=5) -> GBDTModel:
@@ -380,11 +424,12 @@ def _fit(df, kind, loss, classes, rounds, eta, grow, by_columns, terms, checkpoi
     features = "x" if kind == "dense" else "feats"
     base = df.filter(F.col("y").isNotNull()).select("rid", "y", features)
     if kind == "dense":
-        wide = base.select(F.col("y").cast("double").alias("y"), F.col("x").cast("array<double>").alias("x"), F.array(*[F.lit(0.0)] * classes).alias("score"))
+        wide = base.select("rid", F.col("y").cast("double").alias("y"), F.col("x").cast("array<double>").alias("x"))
         wide = wide.persist(StorageLevel.MEMORY_AND_DISK)
         n, m = wide.agg(F.count(F.lit(1)), F.max(F.size("x"))).first()
         if n <= COLUMN_ROWS and m and m > 0:
-            _fit_columns(model, wide, m, loss, rounds, by_columns, terms, checkpoint_every)
+            _fit_columns(model, wide, m, loss, rounds, by_columns, terms)
+            wide.unpersist()
             return model
         wide.unpersist()
     state = base.withColumn("score", F.array(*[F.lit(0.0)] * classes)).persist(StorageLevel.MEMORY_AND_DISK)

@@ -3,6 +3,7 @@
 import os
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -137,6 +138,36 @@ def test_trees_by_columns_equal_those_by_values(spark, monkeypatch):
             assert a.splits == {k: tuple(v) for k, v in b.splits.items()} and a.values == pytest.approx(b.values)
 
 
+def test_a_level_is_one_job(spark):
+    rows = spark.createDataFrame([(i, [float(i % 7), float(i * i % 11), float(i * 37 % 101)], float((i % 7 > 3) ^ (i * i % 11 > 5))) for i in range(200)], "rid long, x array<double>, y double")
+    spark.sparkContext.setJobGroup("levels", "")
+    try:
+        model = trees.fit_gbdt_depth(rows, depth=3, rounds=6)
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(model.trees) == 6 and len(spark.sparkContext.statusTracker().getJobIdsForGroup("levels")) <= 6 * 3 + 5  # counting and dealing aside
+
+
+@pytest.mark.parametrize("loss", ["logistic", "softmax"])
+def test_trees_by_columns_in_later_rounds(loss, spark):
+    from softsplit.functions.losses import Loss
+
+    data = [(i * 7 % 150, [float(i % 7), float(i * i % 11), float(i * 37 % 101) / 7, float(i % 2), float(i % 5) / 3], float(i * i % 11 % 3 if loss == "softmax" else (i % 7 > 3) ^ (i * i % 11 > 5))) for i in range(150)]
+    rows = spark.createDataFrame(data, "rid long, x array<double>, y double")
+    fits = [trees.fit_gbdt_leaf(rows.repartition(n), leaves=6, rounds=3, loss=loss, classes=3) for n in (1, 3)]
+    assert fits[0].trees == fits[1].trees  # the sums don't depend on how rows are dealt
+    x, y = np.array([d[1] for d in data]), np.array([d[2] for d in data])
+    score = np.zeros((len(data), fits[0].classes))
+    for grown in fits[0].trees:
+        g, h = Loss(loss).grad_hess(score, y)
+        for c, tree in enumerate(grown):
+            node = trees._nodes(x, tree.splits)
+            assert len(set(node.tolist())) == 1 + len(tree.splits) > 2
+            for n in set(node.tolist()):
+                assert tree.values[n] == pytest.approx(-g[node == n, c].sum() / (h[node == n, c].sum() + 1.0))
+            score[:, c] += 0.3 * trees._outputs(x, tree)
+
+
 def test_many_splits_are_replayed_alike(spark, monkeypatch):
     rows = spark.createDataFrame([(i, [float(i % 7), float(i * i % 11), float(i * 37 % 101)], i * 0.1 if i % 9 else float("nan"), float(i % 3 == 0)) for i in range(150)], "rid long, x array<double>, w double, y double")
     model = trees.fit_gbdt_depth(rows, depth=4, rounds=2)
