@@ -279,6 +279,38 @@ def test_dedup_of_several_files(spark, parted, con):
     assert got.inputFiles() and got.count() == sources.load(spark, parted, "events").count()
 
 
+def test_dedup_keeps_no_key_in_a_state_store(spark, sf_dir, con, monkeypatch):
+    from softsplit import streaming as st
+
+    made = []
+    inner = st.Workspace
+    monkeypatch.setattr(st, "Workspace", lambda *a: made.append(inner(*a)) or made[-1])
+    assert list(map(tuple, q.stream_dedup(spark, sf_dir).collect())) == con.execute(q.ORACLES["stream_dedup"]).fetchall()
+    (kept,) = made
+    assert os.path.isdir(f"{kept.root.removeprefix('file://')}/state/commits") and not os.path.exists(f"{kept.root.removeprefix('file://')}/state/state")
+
+
+def test_dedup_over_batches(spark, tmp_path):
+    from softsplit import streaming as st
+
+    batches = [
+        [(1, "10:00", "a"), (2, "10:05", None), (2, "10:05", "c"), (None, "10:06", "d"), (3, "10:10", "e")],
+        [(1, "10:30", "copy"), (None, "10:40", "copy"), (4, "14:00", "f"), (4, "14:00", "f")],
+        [(1, "13:30", "copy"), (5, "12:00", "g"), (4, "14:10", "copy"), (6, "14:20", "h")],
+        [(1, "14:30", "seen, but long ago"), (7, "12:59", "late"), (8, "13:10", "i"), (9, "14:20", "j"), (6, "14:25", "copy")],
+    ]
+    for n, rows in enumerate(batches):
+        made = spark.createDataFrame([(i, f"2024-01-01 {t}:00", p) for i, t, p in rows], "event_id long, ts string, props string")
+        made.withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(str(tmp_path / "events"))
+        for f in (tmp_path / "events").glob("*.parquet"):
+            if f.stat().st_mtime > 1e9 + 10:
+                os.utime(f, (1e9 + n, 1e9 + n))
+    stream = spark.readStream.schema("event_id long, ts timestamp, props string").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "events"))
+    got = [(r["event_id"], r["ts"].strftime("%H:%M")) for r in st.run_without_copies(stream, "ssb_batches").collect()]
+    want = [(r["event_id"], r["ts"].strftime("%H:%M")) for r in st.run_available(st.without_copies(stream), "ssb_batches_store").collect()]
+    assert sorted(got, key=str) == sorted(want, key=str) and len(got) == 10
+
+
 def test_stream_score_trains_off_the_driver(spark, sf_dir, monkeypatch):
     from softsplit.operators.boost import fit
     from softsplit.plans.kernel import Spec
