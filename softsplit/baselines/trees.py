@@ -5,14 +5,17 @@ scores and its node. A level is one aggregate: features are spread, sums of g an
 (node, feature, value), running sums over values give every split's gain, and one best split a node goes
 back to the driver. What is shuffled grows with nodes, features and values; that is what soft splits avoid.
 
-Dense tables of up to COLUMN_ROWS rows are searched by columns instead: blocks of columns are dealt to tasks, sorted and
-cached once; a level is one job without a shuffle, which gets each row's node and gives each node's best split with a bit a
-row, and a leaf-wise tree asks for all its open leaves at once. Both search every value.
+Dense tables of up to COLUMN_ROWS rows are searched by columns instead. Up to TASK_NUMBERS numbers, one task sorts the
+columns once, keeps each open node's rows in every column's order and grows all rounds. Above, blocks of columns are dealt
+to tasks, sorted and cached once; a level is one job without a shuffle, which gets each row's node and gives each node's
+best split with a bit a row, and a leaf-wise tree asks for all its open leaves at once. All search every value; the two
+by columns add in the same order and give the same trees.
 """
 
 from __future__ import annotations
 
 import heapq
+import pickle
 import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
@@ -25,6 +28,8 @@ from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
 
 COLUMN_ROWS = 1_000_000
+TASK_NUMBERS = 1 << 22  # rows times features up to which a level takes one task less time than a job takes to start
+SEARCHED = 1 << 15  # numbers whose sums and gains are held at once
 MANY_SPLITS = 64
 BLOCK_COLUMNS = 4  # columns of a block that a task holds sorted: 48 bytes a row
 SCORED_ROWS = 1 << 16  # rows whose derivatives by all classes are held at once
@@ -234,18 +239,31 @@ def _outputs(x: np.ndarray, tree: Tree) -> np.ndarray:
     return np.vectorize(lambda n: tree.values.get(n, 0.0), otypes=[float])(_nodes(x, tree.splits)) if len(x) else np.zeros(0)
 
 
-def _best_of(v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float) -> tuple | None:
-    """(gain, threshold, gl, hl) of the best split of a node's rows by one feature, rows in the order of v; ties by threshold."""
-    gl, hl = np.cumsum(g), np.cumsum(h)
-    tg, th = gl[-1], hl[-1]
-    at = np.flatnonzero(v[:-1] < v[1:])  # never beside what is not a number, which comes last
-    at = at[(hl[at] >= least_h) & (th - hl[at] >= least_h)]
-    if not len(at):
-        return None
-    gl, hl = gl[at], hl[at]
-    gain = 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma
-    k = int(np.argmax(gain))
-    return tuple(map(float, (gain[k], (v[at[k]] + v[at[k] + 1]) / 2, gl[k], hl[k]))) if gain[k] > 0 else None
+def _best_of(o: np.ndarray, v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float) -> tuple | None:
+    """(gain, threshold, gl, hl, column) of the best split of a node; rows o and values v of each column in the order of v; ties by column, then threshold."""
+    best = None
+    step = max(1, SEARCHED // max(1, v.shape[1]))
+    for first in range(0, len(v) if v.shape[1] > 1 else 0, step):
+        rows, low, high = o[first : first + step], v[first : first + step, :-1], v[first : first + step, 1:]
+        gl, hl = np.cumsum(g[rows], 1), np.cumsum(h[rows], 1)
+        tg, th = gl[:, -1:], hl[:, -1:]
+        gl, hl = gl[:, :-1], hl[:, :-1]
+        free = (low < high) & (hl >= least_h) & (th - hl >= least_h)  # never beside what is not a number, which comes last
+        with np.errstate(divide="ignore", invalid="ignore"):
+            gain = np.where(free, 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma, -np.inf)
+        at = gain.argmax(1)
+        most = gain[np.arange(len(at)), at]
+        c = int(np.where(most > 0, most, -np.inf).argmax())
+        k = at[c]
+        if most[c] > 0 and (best is None or most[c] > best[0]):
+            best = *map(float, (most[c], (low[c, k] + high[c, k]) / 2, gl[c, k], hl[c, k])), first + c
+    return best
+
+
+def _arranged(v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each column, rows and values in the order of values."""
+    order = np.argsort(v, 1, kind="stable").astype(np.int32)  # what is not a number comes last
+    return order, np.take_along_axis(v, order, 1)
 
 
 def _sorted_columns(rows: DataFrame, m: int) -> tuple[RDD, np.ndarray]:
@@ -270,8 +288,7 @@ def _sorted_columns(rows: DataFrame, m: int) -> tuple[RDD, np.ndarray]:
         v = np.concatenate([np.frombuffer(b).reshape(-1, len(k)) for (_, _, b), k in zip(parts, keys)], 1)[:, np.argsort(np.concatenate(keys), kind="stable")]
         if first < 0:
             return first, None, v[0]
-        order = np.argsort(v, 1, kind="stable").astype(np.int32)  # what is not a number comes last
-        return first, order, np.take_along_axis(v, order, 1)
+        return first, *_arranged(v)
 
     dealt = rows.select(F.xxhash64("rid").alias("key"), "y", "x").mapInArrow(spread, "first int, number long, keys binary, v binary").rdd
     parts = min(1 + -(-m // BLOCK_COLUMNS), dealt.context.defaultParallelism)
@@ -281,63 +298,108 @@ def _sorted_columns(rows: DataFrame, m: int) -> tuple[RDD, np.ndarray]:
     return blocks, y
 
 
-class _Search:
-    """Best splits of one tree's nodes: a job asks every block of columns; the driver holds the rows of each node.
-
-    search(nodes) -> node -> its sums g and h and, if one gains, its best split; ties by feature, then threshold. A node
-    other than the root is a child of one that was found before.
-    """
+class _Blocks:
+    """Best splits of a tree's nodes by a job that asks every block of columns."""
 
-    def __init__(self, blocks: RDD, g: np.ndarray, h: np.ndarray, lam: float, gamma: float, least_h: float):
-        self.blocks, self.g, self.h, self.terms = blocks, g, h, (lam, gamma, least_h)
+    def __init__(self, blocks: RDD, g: np.ndarray, h: np.ndarray, terms: tuple):
+        self.blocks, self.size, self.terms = blocks, len(g), terms
         self.held = blocks.context.broadcast((g, h))
-        self.rows: dict[int, np.ndarray] = {0: np.arange(len(g), dtype=np.int32)}
-        self.left: dict[int, np.ndarray] = {}  # of the rows of a node that can be split
 
-    def __call__(self, nodes: list[int]) -> dict[int, dict]:
-        for n in nodes:
-            if n not in self.rows:
-                up = (n - 1) // 2
-                own, left = self.rows.pop(up), self.left.pop(up)
-                self.rows |= {2 * up + 1: own[left], 2 * up + 2: own[~left]}
-        size, count, held, terms = len(self.g), len(nodes), self.held, self.terms
+    def __call__(self, nodes: list[int], rows: dict[int, np.ndarray]) -> dict[int, tuple]:
+        size, count, held, terms = self.size, len(nodes), self.held, self.terms
         place = np.full(size, -1, np.int16 if count < 1 << 15 else np.int32)
         for k, n in enumerate(nodes):
-            place[self.rows[n]] = k
+            place[rows[n]] = k
+        ends = np.cumsum([size - sum(len(rows[n]) for n in nodes), *[len(rows[n]) for n in nodes]]).tolist()
 
         def best(blocks: Iterator[tuple]) -> Iterator[tuple]:
             g, h = held.value
             found: dict[int, tuple] = {}
             for first, order, values in blocks:
-                for f, (o, v) in enumerate(zip(order, values), first) if first >= 0 else ():
-                    at = np.flatnonzero(place[o] >= 0)
-                    at = at[np.argsort(place[o[at]], kind="stable")]
-                    o, v = o[at], v[at]
-                    ends = np.cumsum(np.bincount(place[o], minlength=count)).tolist()
-                    for k, (a, b) in enumerate(zip([0, *ends], ends)):
-                        got = _best_of(v[a:b], g[o[a:b]], h[o[a:b]], *terms) if a < b else None
-                        if got and (k not in found or (got[0], -f) > (found[k][0], -found[k][4])):
-                            found[k] = (*got, f, o[a : a + int(np.searchsorted(v[a:b], got[1], "right"))])
+                if first < 0:
+                    continue
+                by_node = np.argsort(place[order], 1, kind="stable")
+                o, v = np.take_along_axis(order, by_node, 1), np.take_along_axis(values, by_node, 1)
+                for k, (a, b) in enumerate(zip(ends, ends[1:])):
+                    got = _best_of(o[:, a:b], v[:, a:b], g, h, *terms)
+                    if got and (k not in found or (got[0], -first - got[4]) > (found[k][0], -found[k][4])):
+                        c = got[4]
+                        found[k] = (*got[:4], first + c, o[c, a : a + int(np.searchsorted(v[c, a:b], got[1], "right"))])
             if found:
                 left = np.zeros(size, bool)
                 left[np.concatenate([b[5] for b in found.values()])] = True
                 yield {k: b[:5] for k, b in found.items()}, np.packbits(left).tobytes()
 
         parts = self.blocks.mapPartitions(best).collect()
-        out: dict[int, dict] = {}
-        winners: dict[int, list] = {}
+        lefts = [np.unpackbits(np.frombuffer(bits, np.uint8), count=size).astype(bool) for _, bits in parts]
+        out = {}
         for k, n in enumerate(nodes):
+            if tried := [(b[0], -b[4], i) for i, (found, _) in enumerate(parts) if (b := found.get(k))]:
+                i = max(tried)[2]
+                out[n] = (*parts[i][0][k], lefts[i][rows[n]])
+        return out
+
+    def close(self) -> None:
+        self.held.destroy()
+
+
+class _Columns:
+    """Best splits of a tree's nodes by all columns at hand: rows and values of a node stay in each column's order."""
+
+    def __init__(self, order: np.ndarray, values: np.ndarray, g: np.ndarray, h: np.ndarray, terms: tuple):
+        self.g, self.h, self.terms = g, h, terms
+        self.nodes = {0: (order, values)}
+
+    def __call__(self, nodes: list[int], rows: dict[int, np.ndarray]) -> dict[int, tuple]:
+        out, inside = {}, np.zeros(len(self.g), bool)
+        for n in nodes:
+            if n not in self.nodes:
+                up = (n - 1) // 2
+                order, values = self.nodes.pop(up)
+                inside[:] = False
+                inside[rows[2 * up + 1]] = True
+                left = inside[order].ravel()
+                for child, own in ((2 * up + 1, np.flatnonzero(left)), (2 * up + 2, np.flatnonzero(~left))):
+                    self.nodes[child] = order.ravel()[own].reshape(len(order), -1), values.ravel()[own].reshape(len(order), -1)
+            order, values = self.nodes[n]
+            if got := _best_of(order, values, self.g, self.h, *self.terms):
+                f = got[4]
+                inside[:] = False
+                inside[order[f, : int(np.searchsorted(values[f], got[1], "right"))]] = True
+                out[n] = (*got, inside[rows[n]])
+        return out
+
+    def close(self) -> None:
+        self.nodes = {}
+
+
+class _Search:
+    """Best splits of one tree's nodes; holds the rows of each node.
+
+    search(nodes) -> node -> its sums g and h and, if one gains, its best split; ties by feature, then threshold. A node
+    other than the root is a child of one that was found before. ask(nodes, rows) gives the best splits with a bit a row.
+    """
+
+    def __init__(self, ask: Callable, g: np.ndarray, h: np.ndarray):
+        self.ask, self.g, self.h = ask, g, h
+        self.rows: dict[int, np.ndarray] = {0: np.arange(len(g), dtype=np.int32)}
+        self.left: dict[int, np.ndarray] = {}  # of the rows of a node that can be split
+
+    def __call__(self, nodes: list[int]) -> dict[int, dict]:
+        for n in nodes:
+            if n not in self.rows:
+                up = (n - 1) // 2
+                own, left = self.rows.pop(up), self.left.pop(up)
+                self.rows |= {2 * up + 1: own[left], 2 * up + 2: own[~left]}
+        best = self.ask(nodes, self.rows)
+        out: dict[int, dict] = {}
+        for n in nodes:
             own = self.rows[n]
             if len(own):
                 out[n] = {"node": n, "gain": None, "g": float(self.g[own].sum()), "h": float(self.h[own].sum())}
-                if tried := [(b[0], -b[4], i) for i, (found, _) in enumerate(parts) if (b := found.get(k))]:
-                    winners.setdefault(max(tried)[2], []).append((k, n))
-        for i, won in winners.items():
-            left = np.unpackbits(np.frombuffer(parts[i][1], np.uint8), count=size).astype(bool)
-            for k, n in won:
-                gain, threshold, gl, hl, f = parts[i][0][k]
+            if n in best:
+                gain, threshold, gl, hl, f, self.left[n] = best[n]
                 out[n] |= {"f": f, "threshold": threshold, "gain": gain, "gl": gl, "hl": hl}
-                self.left[n] = left[self.rows[n]]
         return out
 
     def outputs(self, tree: Tree) -> np.ndarray:
@@ -397,9 +459,8 @@ def _leaves_by_columns(search: Callable, leaves: int, lam: float) -> Tree:
     return tree
 
 
-def _fit_columns(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple) -> None:
-    """Columns are dealt and sorted once; labels, scores and nodes of rows, not their features, are on the driver."""
-    blocks, y = _sorted_columns(rows, m)
+def _boost(model: GBDTModel, y: np.ndarray, loss: str, rounds: int, grow: Callable, asked: Callable) -> None:
+    """All rounds; asked(g, h) gives what a tree's search asks."""
     score = np.zeros((len(y), model.classes))
     some = [slice(k, k + SCORED_ROWS) for k in range(0, len(y), SCORED_ROWS)]
     for _ in range(rounds):
@@ -407,17 +468,44 @@ def _fit_columns(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: i
         trees, outs = [], []
         for c in range(model.classes):
             g, h = map(np.concatenate, zip(*[[d[:, c] for d in Loss(loss).grad_hess(score[s], y[s])] for s in some]))
-            search = _Search(blocks, g, h, *terms)
+            ask = asked(g, h)
+            search = _Search(ask, g, h)
             trees.append(grow(search))
             outs.append(search.outputs(trees[-1]))
-            search.held.destroy()
+            ask.close()
         model.trees.append(trees)
         for c, out in enumerate(outs):
             score[:, c] += model.eta * out
         model.history.append({"round": len(model.history), "wall_s": time.perf_counter() - began})
+
+
+def _fit_columns(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple) -> None:
+    """Columns are dealt and sorted once; labels, scores and nodes of rows, not their features, are on the driver."""
+    blocks, y = _sorted_columns(rows, m)
+    _boost(model, y, loss, rounds, grow, lambda g, h: _Blocks(blocks, g, h, terms))
     blocks.unpersist()
 
 
+def _fit_in_task(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: int, grow: Callable, terms: tuple) -> None:
+    """The same rounds in one task, which has all columns; the driver gets the trees."""
+    own = GBDTModel(model.kind, model.eta, model.classes)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [(np.asarray(b.column("key")), np.asarray(b.column("y"), float), _matrix(b.column("x"), m)) for b in batches]
+        if not parts:
+            return
+        key, y, x = map(np.concatenate, zip(*parts))
+        del parts
+        by_key = np.argsort(key, kind="stable")
+        order, values = _arranged(np.ascontiguousarray(x[by_key].T))
+        _boost(own, y[by_key], loss, rounds, grow, lambda g, h: _Columns(order, values, g, h, terms))
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((own.trees, own.history))], pa.binary())], names=["model"])
+
+    dealt = rows.select(F.xxhash64("rid").alias("key"), "y", "x").repartition(1)
+    ((made,),) = dealt.mapInArrow(run, "model binary").collect()
+    model.trees, model.history = pickle.loads(made)
+
+
 def _fit(df, kind, loss, classes, rounds, eta, grow, by_columns, terms, checkpoint_every=5) -> GBDTModel:
     classes = classes if loss == "softmax" else 1
     model = GBDTModel(kind, eta, classes)
@@ -425,13 +513,15 @@ def _fit(df, kind, loss, classes, rounds, eta, grow, by_columns, terms, checkpoi
     base = df.filter(F.col("y").isNotNull()).select("rid", "y", features)
     if kind == "dense":
         wide = base.select("rid", F.col("y").cast("double").alias("y"), F.col("x").cast("array<double>").alias("x"))
-        wide = wide.persist(StorageLevel.MEMORY_AND_DISK)
+        kept = df.storageLevel.useMemory or df.storageLevel.useDisk
+        wide = wide if kept else wide.persist(StorageLevel.MEMORY_AND_DISK)
         n, m = wide.agg(F.count(F.lit(1)), F.max(F.size("x"))).first()
-        if n <= COLUMN_ROWS and m and m > 0:
-            _fit_columns(model, wide, m, loss, rounds, by_columns, terms)
+        if by_column := n <= COLUMN_ROWS and m and m > 0:
+            (_fit_in_task if n * m <= TASK_NUMBERS else _fit_columns)(model, wide, m, loss, rounds, by_columns, terms)
+        if not kept:
             wide.unpersist()
+        if by_column:
             return model
-        wide.unpersist()
     state = base.withColumn("score", F.array(*[F.lit(0.0)] * classes)).persist(StorageLevel.MEMORY_AND_DISK)
     for t in range(rounds):
         began = time.perf_counter()

@@ -317,3 +317,24 @@ def test_accuracy_gives_all_methods_the_same_rounds(spark):
     got = run_accuracy([Workload("s", rows, rows, Spec("sparse", 4), "softmax", "map", 3)], rounds=1, engine="local", depth=2)
     assert [(r["method"], r["rounds"]) for r in got] == [("soft_split", 1), ("depth_trees", 1), ("leaf_trees", 1)]
     assert [r["value"] for r in got[1:]] == [1.0, 1.0]
+
+
+def test_accuracy_measures_all_methods_together(spark):
+    from softsplit.experiments import Workload, run_accuracy
+    from softsplit.plans.kernel import Spec
+
+    rows = spark.range(200).selectExpr("id as rid", "array(cast(id % 7 as double), cast(id * id % 11 as double)) as x", "cast((id % 7 > 3) <> (id % 3 = 0) as double) as y")
+    for loss, metric, most in (("logistic", "auc", 24), ("squared", "rmse", 18)):
+        w = Workload("d", rows, rows, Spec("dense", 4, 2), loss, metric)
+        spark.sparkContext.setJobGroup(metric, "")
+        try:
+            got = run_accuracy([w], rounds=3, engine="local", depth=2, at_once=True)
+        finally:
+            spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        assert len(spark.sparkContext.statusTracker().getJobIdsForGroup(metric)) <= most  # threads hold the group too
+        plain = run_accuracy([w], rounds=3, engine="local", depth=2)
+        assert [(r["method"], r["value"], r["rounds"]) for r in got] == [(r["method"], r["value"], r["rounds"]) for r in plain]
+        from softsplit.baselines import trees
+        from softsplit.experiments import test_value as alone
+
+        assert got[1]["value"] == pytest.approx(alone(w, trees.fit_gbdt_depth(rows, depth=2, rounds=3, loss=loss).transform(rows)))

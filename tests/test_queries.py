@@ -148,6 +148,35 @@ def test_a_level_is_one_job(spark):
     assert len(model.trees) == 6 and len(spark.sparkContext.statusTracker().getJobIdsForGroup("levels")) <= 6 * 3 + 5  # counting and dealing aside
 
 
+@pytest.mark.parametrize("loss", ["logistic", "softmax"])
+def test_small_tables_train_in_one_task(loss, spark, monkeypatch):
+    made = lambda i: [float(i % 7), None if i % 13 == 0 else float(i * i % 11), float("nan") if i % 5 == 0 else float(i * 37 % 101) / 7, 2.0]
+    rows = spark.createDataFrame([(i, made(i), float(i * i % 7 % 3 if loss == "softmax" else (i % 7 > 3) ^ (i * i % 11 > 5))) for i in range(300)], "rid long, x array<double>, y double")
+    terms = {"rounds": 3, "loss": loss, "classes": 3}
+    spark.sparkContext.setJobGroup(f"one task {loss}", "")
+    try:
+        got = [trees.fit_gbdt_depth(rows, depth=4, **terms), trees.fit_gbdt_leaf(rows, leaves=9, **terms)]
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"one task {loss}")) <= 2 * 6  # no job a round or a level
+    monkeypatch.setattr(trees, "TASK_NUMBERS", -1)
+    searches = []
+    inner = trees._leaves_by_columns
+    monkeypatch.setattr(trees, "_leaves_by_columns", lambda search, *a: inner(lambda *b: searches.append(b) or search(*b), *a))
+    for one, many in zip(got, [trees.fit_gbdt_depth(rows, depth=4, **terms), trees.fit_gbdt_leaf(rows, leaves=9, **terms)]):
+        assert one.trees == many.trees and len(one.history) == 3  # the same sums, to the last bit
+    assert 0 < len(searches) < 8 * 3 * got[1].classes  # one by one, nine leaves take eight searches after the root's
+    for chunk in (1, 700):
+        monkeypatch.setattr(trees, "SEARCHED", chunk)
+        assert trees.fit_gbdt_depth(rows, depth=4, **terms).trees == got[0].trees
+
+
+def test_auc_of_groups_by_ranges(spark):
+    rows = spark.range(400).selectExpr("id % 3 as g", "if(id % 17 = 0, null, id * 7 % 29 / 3D) as score", "if(id % 3 = 2, 1, if(id % 11 = 0, null, cast(id % 5 < 2 as int))) as y")
+    assert sorted(metrics.auc(rows, by=("g",), ranged=True).collect()) == (want := sorted(metrics.auc(rows, by=("g",)).collect()))
+    assert [r["auc"] is None for r in want] == [False, False, True]
+
+
 @pytest.mark.parametrize("loss", ["logistic", "softmax"])
 def test_trees_by_columns_in_later_rounds(loss, spark):
     from softsplit.functions.losses import Loss
