@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 from ..functions.losses import Loss, logistic_expr, softmax_expr, squared_expr
 
 COLUMN_ROWS = 1_000_000
-TASK_NUMBERS = 1 << 22  # rows times features up to which a level takes one task less time than a job takes to start
+TASK_NUMBERS = 1 << 23  # rows times features: 12 bytes each stay in the task, and the other methods' tasks run beside it
 SEARCHED = 1 << 15  # numbers whose sums and gains are held at once
 MANY_SPLITS = 64
 BLOCK_COLUMNS = 4  # columns of a block that a task holds sorted: 48 bytes a row
@@ -245,12 +245,13 @@ def _best_of(o: np.ndarray, v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: fl
     step = max(1, SEARCHED // max(1, v.shape[1]))
     for first in range(0, len(v) if v.shape[1] > 1 else 0, step):
         rows, low, high = o[first : first + step], v[first : first + step, :-1], v[first : first + step, 1:]
-        gl, hl = np.cumsum(g[rows], 1), np.cumsum(h[rows], 1)
+        gl, hl = np.cumsum(g.take(rows), 1), np.cumsum(h.take(rows), 1)
         tg, th = gl[:, -1:], hl[:, -1:]
         gl, hl = gl[:, :-1], hl[:, :-1]
         free = (low < high) & (hl >= least_h) & (th - hl >= least_h)  # never beside what is not a number, which comes last
         with np.errstate(divide="ignore", invalid="ignore"):
-            gain = np.where(free, 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma, -np.inf)
+            gain = 0.5 * (gl * gl / (hl + lam) + (tg - gl) ** 2 / (th - hl + lam) - tg * tg / (th + lam)) - gamma
+        np.copyto(gain, -np.inf, where=~free)
         at = gain.argmax(1)
         most = gain[np.arange(len(at)), at]
         c = int(np.where(most > 0, most, -np.inf).argmax())
@@ -262,7 +263,9 @@ def _best_of(o: np.ndarray, v: np.ndarray, g: np.ndarray, h: np.ndarray, lam: fl
 
 def _arranged(v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Of each column, rows and values in the order of values."""
-    order = np.argsort(v, 1, kind="stable").astype(np.int32)  # what is not a number comes last
+    order = np.empty(v.shape, np.int32)
+    for o, column in zip(order, v):
+        o[:] = np.argsort(column, kind="stable")  # what is not a number comes last
     return order, np.take_along_axis(v, order, 1)
 
 
@@ -358,9 +361,9 @@ class _Columns:
                 order, values = self.nodes.pop(up)
                 inside[:] = False
                 inside[rows[2 * up + 1]] = True
-                left = inside[order].ravel()
+                left = inside.take(order).ravel()
                 for child, own in ((2 * up + 1, np.flatnonzero(left)), (2 * up + 2, np.flatnonzero(~left))):
-                    self.nodes[child] = order.ravel()[own].reshape(len(order), -1), values.ravel()[own].reshape(len(order), -1)
+                    self.nodes[child] = order.take(own).reshape(len(order), -1), values.take(own).reshape(len(order), -1)
             order, values = self.nodes[n]
             if got := _best_of(order, values, self.g, self.h, *self.terms):
                 f = got[4]
@@ -497,7 +500,9 @@ def _fit_in_task(model: GBDTModel, rows: DataFrame, m: int, loss: str, rounds: i
         key, y, x = map(np.concatenate, zip(*parts))
         del parts
         by_key = np.argsort(key, kind="stable")
-        order, values = _arranged(np.ascontiguousarray(x[by_key].T))
+        x = np.ascontiguousarray(x[by_key].T)
+        order, values = _arranged(x)
+        del x
         _boost(own, y[by_key], loss, rounds, grow, lambda g, h: _Columns(order, values, g, h, terms))
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((own.trees, own.history))], pa.binary())], names=["model"])
 
